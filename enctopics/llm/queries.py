@@ -5,11 +5,28 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from enctopics.llm import chat, decontaminate, sharding
+from enctopics.llm import chat, decontaminate, langid, sharding, simhash
 from enctopics.llm.common import documents
 
 
+def remainder(n: int):
+    """crc32 of doc_id as text, modulo n: what fixes the rows that are held out."""
+    return F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(n))
+
+
+def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.near_duplicates(documents(spark, sf_dir))
+
+
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    model = langid.learn(docs.where(remainder(4) != 2))
+    held_out = (remainder(4) == 2).alias("held_out")
+    return langid.predict(docs, model).select("doc_id", held_out, "lang_pred", "score", "rejected")
+
+
 def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contamination(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
@@ -27,6 +44,8 @@ def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_simhash_near_dedup": op1_simhash_near_dedup,
+        "op2_language_id": op2_language_id,
         "op3_benchmark_decontamination": op3_benchmark_decontamination,
         "op7_chat_formatting": op7_chat_formatting,
         "op10_sharding": op10_sharding,
