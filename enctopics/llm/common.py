@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -51,3 +52,10 @@ def no_null(column: Column) -> Column:
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """body of value, which is computed once: Spark writes a column's expression anew wherever it is used, lambdas included."""
     return F.transform(F.array(value), body)[0]
+
+
+def save(df: DataFrame) -> DataFrame:
+    """df as a table in the shared folder: like cut(), with columns compressed, for the larger intermediate results."""
+    path = f"{shared_folder(df.sparkSession).rstrip('/')}/{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
