@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from enctopics.llm import chat, decontaminate, langid, sharding, simhash, suffixes
+from enctopics.llm import chat, decontaminate, langid, packing, sharding, simhash, suffixes
 from enctopics.llm.common import documents
 
 
@@ -42,6 +42,17 @@ def op7_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digest(chat.format_chats(turns.unionByName(probe)))
 
 
+def word_bpe() -> str:
+    """The tokenizer of the packing contract, as installed on driver and executors alike."""
+    import public_tokenizers
+
+    return public_tokenizers.path("word_bpe_49k.json")
+
+
+def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(documents(spark, sf_dir), word_bpe())
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard(documents(spark, sf_dir))
 
@@ -53,6 +64,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_benchmark_decontamination": op3_benchmark_decontamination,
         "op4_suffix_dedup": op4_suffix_dedup,
         "op7_chat_formatting": op7_chat_formatting,
+        "op8_best_fit_packing": op8_best_fit_packing,
         "op10_sharding": op10_sharding,
     }
 
