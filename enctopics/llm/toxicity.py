@@ -30,8 +30,8 @@ from pyspark.sql import functions as F
 
 from enctopics.llm.common import BROADCAST_ROWS, narrow
 
-LABELLED, LEXICON, LEAST, RELIABLE, STARTS = BROADCAST_ROWS, 50_000, 4, 0.35, (4, 5, 6)
-SYMBOLS, CHANGE, KEPT, Z = 64, 1.5, 500_000, 1.28
+LABELLED, LEXICON, LEAST, RELIABLE, STARTS = BROADCAST_ROWS, 50_000, 3, 0.42, (4, 5, 6)
+SYMBOLS, CHANGE, KEPT, Z = 64, 1.5, 500_000, 2.0
 #: What look-alike characters may stand for.
 LOOKS = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "€": "e"}
 _MARKS = re.escape("".join(LOOKS))
