@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from enctopics.llm import chat, decontaminate, langid, packing, sharding, simhash, suffixes, toxicity
-from enctopics.llm.common import documents
+from enctopics.llm import audio, chat, decontaminate, langid, packing, sharding, simhash, suffixes, token_counts, toxicity
+from enctopics.llm.common import cut, documents
 
 
 def remainder(n: int):
@@ -35,6 +35,29 @@ def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixes.digest(suffixes.repeats(documents(spark, sf_dir)))
 
 
+def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Three edits a document, at places and of kinds that its id and their number give."""
+    docs = documents(spark, sf_dir)
+    draw = lambda what, k, n: F.pmod(F.xxhash64("doc_id", F.lit(what), F.lit(k)), n)
+    said = F.array(*map(F.lit, ["", " edited", "\n\n", "x", "  two  spaces ", "'s 12,5 %"]))
+    edits = F.array(*[F.struct(F.lit(k).alias("seq"), draw("start", k, F.length("text") + 1).alias("start"), draw("n_delete", k, F.lit(40)).alias("n_delete"), F.element_at(said, (draw("said", k, F.lit(6)) + 1).cast("int")).alias("inserted")) for k in range(3)])
+    import public_tokenizers
+
+    counted = token_counts.count_tokens(docs.withColumn("edits", edits), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+    return counted.select("doc_id", "n_tokens", "n_tokens_after", "n_chars_after", F.size("leaf_tokens").alias("n_leaves"), "chars_reencoded")
+
+
+def op6_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recordings of all vectors; those whose id is divisible by 100 are looked up among all."""
+    media = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
+    prints = cut(audio.fingerprints(media, "vec_id", "embedding", audio.melody))
+    asked = audio.class_of(prints).where("id % 100 = 0")
+    found = audio.align(prints, asked.select("class_id").distinct())
+    return asked.join(found, F.col("query_id") == asked["class_id"], "left").select(
+        asked["id"].alias("vec_id"), asked["class_id"].alias("own_class"), asked["copies"].alias("own_copies"), found["class_id"].alias("match_class"), found["copies"].alias("match_copies"), "offset", "votes", "bit_error", "n_frames"
+    )
+
+
 def op7_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "role", "text")
     said = "</s>[INST] ok [/INST]"
@@ -70,6 +93,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_language_id": op2_language_id,
         "op3_benchmark_decontamination": op3_benchmark_decontamination,
         "op4_suffix_dedup": op4_suffix_dedup,
+        "op5_token_counts": op5_token_counts,
+        "op6_media_columns": op6_media_columns,
         "op7_chat_formatting": op7_chat_formatting,
         "op8_best_fit_packing": op8_best_fit_packing,
         "op9_toxicity": op9_toxicity,
