@@ -59,3 +59,15 @@ def save(df: DataFrame) -> DataFrame:
     path = f"{shared_folder(df.sparkSession).rstrip('/')}/{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def remainder(n: int, id_col: str = "doc_id") -> Column:
+    """crc32 of an id as text, modulo n: what fixes the rows that are held out."""
+    return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(n))
+
+
+def word_bpe() -> str:
+    """The tokenizer of the packing contract, as installed on driver and executors alike."""
+    import public_tokenizers
+
+    return public_tokenizers.path("word_bpe_49k.json")

@@ -113,3 +113,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, similarity: float = SIM
     )
     best = F.min_by(F.struct("start", "n_words", hamming.alias("hamming"), "similarity"), F.struct(-F.col("similarity"), F.col("start")))
     return found.groupBy("doc_id", "item_id").agg(best.alias("best")).select("doc_id", "item_id", F.col("best.start").cast("long").alias("start_word"), "best.n_words", "best.hamming", F.round("best.similarity", 6).alias("similarity"))
+
+
+def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs without those that hold a passage of benchmark; rows without an id stay."""
+    found = cut(contamination(docs, benchmark, id_col=id_col, text_col=text_col).select(F.col("doc_id").alias("__id")).distinct())
+    return docs.join(small(found, found.count()), docs[id_col] == F.col("__id"), "left_anti")

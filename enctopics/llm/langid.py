@@ -126,34 +126,51 @@ def learn(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     return Model(langs, idf, np.concatenate(centroids) if langs else np.zeros((0, DIMS), np.float32), owner, np.array(floor))
 
 
+def _judge(texts: pa.Array, model: Model) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Language, cosine and rejection of each text."""
+    n = len(texts)
+    lang, score, rejected = np.full(n, "und", object), np.zeros(n), np.ones(n, bool)
+    at, tf = [], []
+
+    def flush() -> None:
+        if at and len(model.langs):
+            cos = _weighted(np.stack(tf), model.idf) @ model.centroids.T
+            best = cos.argmax(axis=1)
+            own = model.owner[best]
+            lang[at] = np.array(model.langs, object)[own]
+            score[at] = np.clip(cos[np.arange(len(at)), best], 0, 1)
+            rejected[at] = (score[at] < model.floor[own]) & (np.sum(tf, axis=1) >= LEAST)
+        at.clear()
+        tf.clear()
+
+    for i, t in enumerate(texts):
+        if t.is_valid and (c := counts(t.as_py())) is not None:
+            at.append(i)
+            tf.append(c)
+            if len(at) == BLOCK:
+                flush()
+    flush()
+    return lang, score, rejected
+
+
 def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, lang_pred, score (the cosine), rejected."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n = len(batch)
-            lang, score, rejected = np.full(n, "und", object), np.zeros(n), np.ones(n, bool)
-            at, tf = [], []
-
-            def flush() -> None:
-                if at and len(model.langs):
-                    cos = _weighted(np.stack(tf), model.idf) @ model.centroids.T
-                    best = cos.argmax(axis=1)
-                    own = model.owner[best]
-                    lang[at] = np.array(model.langs, object)[own]
-                    score[at] = np.clip(cos[np.arange(len(at)), best], 0, 1)
-                    rejected[at] = (score[at] < model.floor[own]) & (np.sum(tf, axis=1) >= LEAST)
-                at.clear()
-                tf.clear()
-
-            for i, t in enumerate(batch.column(1)):
-                if t.is_valid and (c := counts(t.as_py())) is not None:
-                    at.append(i)
-                    tf.append(c)
-                    if len(at) == BLOCK:
-                        flush()
-            flush()
+            lang, score, rejected = _judge(batch.column(1), model)
             yield pa.record_batch([batch.column(0), pa.array(lang, pa.string()), pa.array(score), pa.array(rejected)], ["doc_id", "lang_pred", "score", "rejected"])
 
     rows = narrow(docs, doc_id=id_col, text=text_col)
     return rows.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, lang_pred string, score double, rejected boolean")
+
+
+def accepted(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
+    """The rows of docs that aren't rejected, with all their columns."""
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(~_judge(batch.column(at), model)[2]))
+
+    return docs.mapInArrow(run, docs.schema)

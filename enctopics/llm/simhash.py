@@ -158,3 +158,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     least = known.groupBy("label").agg(F.min("least").alias("component_id"))
     owned = known.join(least, "label").select("fp", "component_id")
     return found.join(owned, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The document with the least id of each component, with all columns; rows without an id stay."""
+    least = near_duplicates(docs, id_col, text_col).where("doc_id = component_id").select(F.col("doc_id").alias("__id")).distinct()
+    kept = docs.where(docs[id_col].isNotNull()).join(least, docs[id_col] == least["__id"], "left_semi")
+    once = kept.withColumn("__copy", F.xxhash64(text_col)).dropDuplicates([id_col, "__copy"]).drop("__copy")
+    return once.unionByName(docs.where(docs[id_col].isNull()))

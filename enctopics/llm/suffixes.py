@@ -295,8 +295,16 @@ def digest(found: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
 
 
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH) -> DataFrame:
-    """docs with the repeated strings cut out of the texts; a character that loses a byte is replaced by nothing."""
-    kept = F.pandas_udf(lambda texts, removed: texts.combine(removed, lambda t, r: None if t is None else keep(t.encode(), list(r) if r is not None else [])[0].decode("utf-8", "ignore")), "string")
+    """docs with the repeated strings cut out of the texts; characters that are cut in two go as a whole."""
     found = repeats(docs, id_col, text_col, length)
-    cut_text = F.when(F.col("__removed").isNotNull(), kept(F.col(text_col), F.col("__removed"))).otherwise(F.col(text_col))
-    return found.withColumn(text_col, cut_text).select(*docs.columns)
+    at, last, names = found.columns.index(text_col), found.columns.index("__removed"), list(docs.columns)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = []
+            for text, removed in zip(batch.column(at), batch.column(last).to_pylist()):
+                texts.append(keep(text.as_buffer().to_pybytes(), removed)[0].decode("utf-8", "ignore") if removed else text.as_py())
+            kept = pa.array(texts, batch.schema.field(at).type)
+            yield pa.record_batch([kept if i == at else c for i, c in enumerate(batch.columns) if i != last], names=names)
+
+    return found.mapInArrow(run, docs.schema)
