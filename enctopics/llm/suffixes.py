@@ -8,12 +8,12 @@ A byte goes if a LENGTH-byte string over it also starts in a document with a sma
 2. Rows meet by g, sorted. Runs with equal (g, c) are equal: all but the least document's go. Copies inside one
    batch of documents are settled before the shuffle, so a hot copy sends a row a batch.
 3. A gram with several different runs leaves open which strings of the least document's runs repeat. Only those
-   runs are fetched as bytes and sorted by bucket-pointer refinement: buckets by the first GRAM/2 bytes are refined
-   by the bucket ids at later offsets, 8 + 8, 16 + 16, then 32 and 32 from LENGTH - 32, and each refinement uses
-   the ids that the one before has made. What stays in one bucket is equal over LENGTH bytes.
+   runs are fetched as bytes and sorted by bucket-pointer refinement: buckets by 8 bytes are refined
+   by the bucket ids at later offsets, which are ids of earlier refinements, until what shares a bucket is equal over
+   LENGTH bytes.
 4. Places return to their documents, where they are merged.
 
-Hashes g and c have 64 bits each and must both agree. Memory is bounded by a batch of documents, a batch of runs
+Hashes g and c have 64 and 40 bits and must both agree. Memory is bounded by a batch of documents, a batch of runs
 and the different open runs of one gram.
 
 Nulls: a null text is empty; a null id counts as larger than all others. Rows that share an id never match each
@@ -34,7 +34,7 @@ from enctopics.llm.common import no_null, save
 
 LENGTH, GRAM = 50, 16
 #: Bytes of text that are hashed at once; bytes of runs that are sorted at once; a null id.
-CHUNK, SORTED, NO_ID = 1 << 21, 1 << 23, (1 << 63) - 1
+CHUNK, SORTED, NO_ID = 1 << 21, 1 << 22, (1 << 63) - 1
 _BASE = 0x9E3779B97F4A7C15
 _TABLE = np.random.default_rng(7).integers(1, 1 << 63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
 _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
@@ -86,9 +86,13 @@ def _pieces(text: bytes, length: int) -> Iterator[tuple[int, bytes]]:
         yield at, text[at : at + CHUNK + length - 1]
 
 
-def _tag(text: bytes) -> int:
-    """Tells rows with one id but different texts apart."""
-    return int.from_bytes(hashlib.blake2b(text, digest_size=8).digest(), "little", signed=True)
+def _place(start: np.ndarray, many: np.ndarray, tag: np.ndarray | int) -> np.ndarray:
+    """Start, number of strings and tag as one number: 42, 6 and 15 bits."""
+    return (start << 21) | (many << 15) | tag
+
+
+def _placed(place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    return place >> 21, (place >> 15) & 63, place & 0x7FFF
 
 
 def _joined(doc: np.ndarray, tag: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple:
@@ -108,25 +112,26 @@ def _joined(doc: np.ndarray, tag: np.ndarray, start: np.ndarray, end: np.ndarray
 def _rows(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator[pa.RecordBatch]:
     """Runs of each batch of documents; many = 0 marks a place that is already known to go, up to c."""
     for batch in batches:
-        cols: list[list[np.ndarray]] = [[] for _ in range(6)]
+        cols: list[list[np.ndarray]] = [[] for _ in range(4)]
         for doc, text, tag in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
             raw = text.as_buffer().to_pybytes()
             for at, piece in _pieces(raw, length):
                 g, c, start, many = runs(piece, length, gram)
-                for col, x in zip(cols, (g.view(np.int64), c.view(np.int64), np.full(len(g), doc), np.full(len(g), tag), start + at, many)):
+                for col, x in zip(cols, (g.view(np.int64), (c >> np.uint64(24)).view(np.int64), np.full(len(g), doc), _place(start + at, many, tag))):
                     col.append(x)
         if not cols[0]:
             continue
-        g, c, doc, tag, start, many = (np.concatenate(col) for col in cols)
+        g, c, doc, place = (np.concatenate(col) for col in cols)
         order = np.lexsort((doc, c, g))
-        g, c, doc, tag, start, many = (x[order] for x in (g, c, doc, tag, start, many))
+        g, c, doc, place = (x[order] for x in (g, c, doc, place))
         first = np.flatnonzero(np.r_[True, (g[1:] != g[:-1]) | (c[1:] != c[:-1])])
         least = np.repeat(doc[first], np.diff(np.r_[first, len(g)]))
         known = doc > least
-        d, t, s, e = _joined(doc[known], tag[known], start[known], start[known] + many[known] + length - 1)
+        start, many, tag = _placed(place[known])
+        d, t, s, e = _joined(doc[known], tag, start, start + many + length - 1)
         mix = (d * 0x9E3779B1 ^ s * 0x85EBCA77).astype(np.int64) * 0x9E3779B1
-        out = [np.concatenate(x) for x in ((g[~known], mix), (c[~known], e), (doc[~known], d), (tag[~known], t), (start[~known], s), (many[~known], 0 * s))]
-        yield pa.record_batch([pa.array(x) for x in out[:5]] + [pa.array(out[5].astype(np.int16))], ["g", "c", "doc", "tag", "start", "many"])
+        out = [np.concatenate(x) for x in ((g[~known], mix), (c[~known], e), (doc[~known], d), (place[~known], _place(s, 0 * s, t)))]
+        yield pa.record_batch([pa.array(x) for x in out], ["g", "c", "doc", "place"])
 
 
 def _meet(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
@@ -140,12 +145,13 @@ def _meet(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
         return pa.record_batch([pa.array(x.astype(np.int64)) for x in cols], ["g", "doc", "tag", "start", "end", "open"])
 
     for batch in batches:
-        g, c, doc, tag, start, many = (batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in range(6))
+        g, c, doc, place = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(4))
+        start, many, tag = _placed(place)
         if not len(g):
             continue
         parts = []
         done = many == 0
-        parts.append((g[done], doc[done], tag[done], start[done], c[done], many[done]))
+        parts.append((0 * g[done], doc[done], tag[done], start[done], c[done], many[done]))
         g, c, doc, tag, start, many = (x[~done] for x in (g, c, doc, tag, start, many))
         if len(g):
             new_g = np.r_[g[0] != last_g, g[1:] != g[:-1]]
@@ -158,7 +164,7 @@ def _meet(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
             which = np.cumsum(new_c) - 1
             least = np.where(which >= 0, doc[at][which] if len(at) else 0, last_doc if last_doc is not None else 0)
             goes = doc > least
-            parts.append((g[goes], doc[goes], tag[goes], start[goes], start[goes] + many[goes] + length - 1, 0 * g[goes]))
+            parts.append((0 * g[goes], doc[goes], tag[goes], start[goes], start[goes] + many[goes] + length - 1, 0 * g[goes]))
             gram_no = np.cumsum(new_g)  # 0: goes on from the last batch
             classes = np.bincount(gram_no, weights=new_c, minlength=gram_no[-1] + 1)
             classes[0] += (2 if several else 1) if last_g is not None and not new_g[0] else 0
@@ -176,21 +182,22 @@ def _meet(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
             yield batch_of(parts)
 
 
-def refine(data: np.ndarray, starts: np.ndarray, group: np.ndarray, length: int = LENGTH) -> np.ndarray:
-    """Bucket ids of the length-byte strings at starts: equal if strings and groups are equal.
+def refine(data: np.ndarray, starts: np.ndarray, group: np.ndarray, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
+    """Which of the strings at starts share their bucket with another, and the bucket of each of these.
 
-    Bucket-pointer refinement over all places of data: buckets of 8 bytes, then of twice the depth by the pair of
-    ids at a place and at the place that many bytes later.
+    Bucket-pointer refinement: places are in buckets by 8 bytes, then by the pair of bucket ids at a place and 8 bytes
+    later. Strings of one group and bucket are refined by the ids 16 bytes later, and so on, up to their last 16
+    bytes; a string alone in its bucket is done.
     """
     padded = np.concatenate([data, np.zeros(64, np.uint8)])
     ids = np.unique(np.ndarray((len(data),), "<u8", padded.tobytes(), strides=(1,)), return_inverse=True)[1].astype(np.int64)
-    depth = 8
-    while 2 * depth <= length:
-        later = np.concatenate([ids[depth:], np.zeros(min(depth, len(ids)), np.int64)])
-        ids = np.unique(ids * (len(ids) + 1) + later, return_inverse=True)[1].astype(np.int64)
-        depth *= 2
-    rest = np.unique(ids[starts] * (len(ids) + 1) + ids[starts + length - depth], return_inverse=True)[1].astype(np.int64)
-    return np.unique(rest * (int(group.max()) + 1) + group, return_inverse=True)[1]
+    ids = np.unique(ids * (len(ids) + 1) + np.concatenate([ids[8:], np.zeros(min(8, len(ids)), np.int64)]), return_inverse=True)[1].astype(np.int64)
+    left, bucket = np.arange(len(starts)), group.astype(np.int64)
+    for later in [*range(0, length - 16, 16), length - 16]:
+        bucket, size = np.unique(bucket * (len(ids) + 1) + ids[starts[left] + later], return_inverse=True, return_counts=True)[1:]
+        shared = size[bucket] > 1
+        left, bucket = left[shared], bucket[shared].astype(np.int64)
+    return left, bucket
 
 
 def _sort(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
@@ -202,12 +209,13 @@ def _sort(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
         base = np.cumsum([0, *map(len, raw)])[:-1]
         run = np.repeat(np.arange(len(g)), many)
         inside = np.arange(len(run)) - np.repeat(np.cumsum(many) - many, many)
-        bucket = refine(data, base[run] + inside, np.unique(g, return_inverse=True)[1][run], length)
-        least = np.full(bucket.max() + 1, NO_ID)
+        left, bucket = refine(data, base[run] + inside, np.unique(g, return_inverse=True)[1][run], length)
+        run, inside = run[left], inside[left]
+        least = np.full(int(bucket.max(initial=-1)) + 1, NO_ID)
         np.minimum.at(least, bucket, doc[run])
         hit = doc[run] > least[bucket]
-        at = start[run] + inside
-        d, t, s, e = _joined(doc[run][hit], tag[run][hit], at[hit], at[hit] + length)
+        at = start[run[hit]] + inside[hit]
+        d, t, s, e = _joined(doc[run[hit]], tag[run[hit]], at, at + length)
         return pa.record_batch([pa.array(x.astype(np.int64)) for x in (d, t, s, e)], ["doc", "tag", "start", "end"])
 
     part: list[tuple] = []
@@ -246,9 +254,10 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", len
         raise ValueError("strings have 32 to 64 bytes, grams 8 to 16")
     doc = F.coalesce(docs[id_col].cast("long"), F.lit(NO_ID))
     text = no_null(docs[text_col])
-    keyed = docs.select(doc.alias("__doc"), F.xxhash64(text).alias("__tag"), *[docs[c] for c in docs.columns])
-    rows = docs.select(doc.alias("doc"), text.alias("text"), F.xxhash64(text).alias("tag")).where(F.octet_length("text") >= length)
-    every = rows.mapInArrow(lambda b: _rows(b, length, gram), "g long, c long, doc long, tag long, start long, many short")
+    tag = F.pmod(F.xxhash64(text), F.lit(1 << 15))  # tells rows with one id but different texts apart
+    keyed = docs.select(doc.alias("__doc"), tag.alias("__tag"), *[docs[c] for c in docs.columns])
+    rows = docs.select(doc.alias("doc"), text.alias("text"), tag.alias("tag")).where(F.octet_length("text") >= length)
+    every = rows.mapInArrow(lambda b: _rows(b, length, gram), "g long, c long, doc long, place long")
     met = save(every.repartition("g").sortWithinPartitions("g", "c", "doc").mapInArrow(lambda b: _meet(b, length), "g long, doc long, tag long, start long, end long, open long"))
     asked = met.where("open > 0").groupBy("doc", "tag").agg(F.collect_list(F.struct("g", "start", "end", "open")).alias("asked"))
     wanted = rows.join(asked, ["doc", "tag"]).select("doc", "tag", "text", "asked")
