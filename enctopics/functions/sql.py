@@ -8,6 +8,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 
@@ -19,14 +20,14 @@ def register(spark: SparkSession, **views: DataFrame) -> None:
     spark.udtf.register("tokens_of", token_udtf)
 
 
-@udtf(returnType="tok string, pos int")
+@udtf(returnType=T.StructType([T.StructField("tok", T.StringType()), T.StructField("pos", T.IntegerType())]))
 class token_udtf:  # noqa: N801  a table function
     def eval(self, text: str) -> Iterator[tuple[str, int]]:
         for i, m in enumerate(re.finditer(r"[^\W\d_]{3,}", (text or "").lower())):
             yield m[0], i
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def cosine_udf(a: pd.Series, b: pd.Series) -> pd.Series:
     """The batched twin of the expression in operators.vectors."""
     import numpy as np
@@ -35,7 +36,7 @@ def cosine_udf(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series((x * y).sum(axis=1) / np.linalg.norm(x, axis=1) / np.linalg.norm(y, axis=1))
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def coherency_udf(v: pd.Series) -> float:
     """Mean cosine of a group's vectors; the grouped twin of metrics.coherency."""
     import numpy as np
