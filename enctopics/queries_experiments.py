@@ -5,7 +5,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from enctopics.config import Config
 from enctopics.operators import kestimate, tokens
 from enctopics.plans import experiments as x
 from enctopics.queries_core import batches
@@ -67,8 +66,8 @@ def updates(spark: SparkSession, d: str) -> DataFrame:
 
 @query("coherency_ci")
 def coherency_ci(spark: SparkSession, d: str) -> DataFrame:
-    """Mean and interval, by batch, over two samplings."""
-    return x.interval(x.updates(spark, _deal(spark, d), 2, Config(unit=10.0)), "batch_id", "with_reclustering", 2)
+    """Mean and interval over three samplings of the base."""
+    return x.interval(x.sampled_coherency(spark, _deal(spark, d), 3), "scheme", "coherency", 3)
 
 
 @query("exp_index_growth")
