@@ -5,15 +5,15 @@ A byte goes if a LENGTH-byte string over it also starts in a document with a sma
 1. Every LENGTH-byte string has one anchor: the leftmost least hash among its GRAM-byte grams. Consecutive strings
    of one anchor form a run, LENGTH to LENGTH + span - 1 bytes; equal strings lie in runs whose anchors have equal
    grams. Per run there is one row: the gram's hash g, the run's hash c, the document and the place.
-2. Rows meet by g, sorted. Runs with equal (g, c) are equal: all but the least document's go. Copies inside one
-   batch of documents are settled before the shuffle, so a hot copy sends a row a batch.
+2. Rows meet by g, sorted. Runs with equal (g, c) are equal: all but the least document's go. Copies among SETTLED
+   bytes of documents are settled before the shuffle, so a hot copy sends a row for as many bytes.
 3. A gram with several different runs leaves open which strings of the least document's runs repeat. Only those
    runs are fetched as bytes and sorted by bucket-pointer refinement: buckets by 8 bytes are refined
    by the bucket ids at later offsets, which are ids of earlier refinements, until what shares a bucket is equal over
    LENGTH bytes.
 4. Places return to their documents, where they are merged.
 
-Hashes g and c have 64 and 40 bits and must both agree. Memory is bounded by a batch of documents, a batch of runs
+Hashes g and c have 64 and 40 bits and must both agree. Memory is bounded by these constants, a batch of documents
 and the different open runs of one gram.
 
 Nulls: a null text is empty; a null id counts as larger than all others. Rows that share an id never match each
@@ -33,8 +33,9 @@ from pyspark.sql import functions as F
 from enctopics.llm.common import no_null, save
 
 LENGTH, GRAM = 50, 16
-#: Bytes of text that are hashed at once; bytes of runs that are sorted at once; a null id.
-CHUNK, SORTED, NO_ID = 1 << 21, 1 << 22, (1 << 63) - 1
+#: Bytes of text that are hashed at once and that are settled before the shuffle, bytes of runs that are sorted at once, runs that are fetched at once.
+CHUNK, SETTLED, SORTED, FETCHED = 1 << 20, 1 << 23, 1 << 20, 10_000
+NO_ID = (1 << 63) - 1  # for a null id
 _BASE = 0x9E3779B97F4A7C15
 _TABLE = np.random.default_rng(7).integers(1, 1 << 63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
 _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
@@ -110,28 +111,38 @@ def _joined(doc: np.ndarray, tag: np.ndarray, start: np.ndarray, end: np.ndarray
 
 
 def _rows(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator[pa.RecordBatch]:
-    """Runs of each batch of documents; many = 0 marks a place that is already known to go, up to c."""
-    for batch in batches:
-        cols: list[list[np.ndarray]] = [[] for _ in range(4)]
-        for doc, text, tag in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
-            raw = text.as_buffer().to_pybytes()
-            for at, piece in _pieces(raw, length):
-                g, c, start, many = runs(piece, length, gram)
-                for col, x in zip(cols, (g.view(np.int64), (c >> np.uint64(24)).view(np.int64), np.full(len(g), doc), _place(start + at, many, tag))):
-                    col.append(x)
-        if not cols[0]:
-            continue
+    """Runs of some documents at a time; no strings in a place marks one that is already known to go, up to c."""
+    cols: list[list[np.ndarray]] = [[] for _ in range(4)]
+    held = 0
+
+    def settled() -> pa.RecordBatch:
         g, c, doc, place = (np.concatenate(col) for col in cols)
+        for col in cols:
+            col.clear()
         order = np.lexsort((doc, c, g))
-        g, c, doc, place = (x[order] for x in (g, c, doc, place))
-        first = np.flatnonzero(np.r_[True, (g[1:] != g[:-1]) | (c[1:] != c[:-1])])
-        least = np.repeat(doc[first], np.diff(np.r_[first, len(g)]))
-        known = doc > least
+        g2, c2, doc2 = g[order], c[order], doc[order]
+        first = np.flatnonzero(np.r_[True, (g2[1:] != g2[:-1]) | (c2[1:] != c2[:-1])])
+        known = np.empty(len(g), bool)
+        known[order] = doc2 > np.repeat(doc2[first], np.diff(np.r_[first, len(g)]))  # rows stay in document order, which packs better
         start, many, tag = _placed(place[known])
         d, t, s, e = _joined(doc[known], tag, start, start + many + length - 1)
         mix = (d * 0x9E3779B1 ^ s * 0x85EBCA77).astype(np.int64) * 0x9E3779B1
         out = [np.concatenate(x) for x in ((g[~known], mix), (c[~known], e), (doc[~known], d), (place[~known], _place(s, 0 * s, t)))]
-        yield pa.record_batch([pa.array(x) for x in out], ["g", "c", "doc", "place"])
+        return pa.record_batch([pa.array(x) for x in out], ["g", "c", "doc", "place"])
+
+    for batch in batches:
+        for i in range(len(batch)):
+            doc, raw, tag = batch.column(0)[i].as_py(), batch.column(1)[i].as_buffer().to_pybytes(), batch.column(2)[i].as_py()
+            for at, piece in _pieces(raw, length):
+                g, c, start, many = runs(piece, length, gram)
+                for col, x in zip(cols, (g.view(np.int64), (c >> np.uint64(24)).view(np.int64), np.full(len(g), doc), _place(start + at, many, tag))):
+                    col.append(x)
+                held += len(piece)
+                if held > SETTLED:
+                    yield settled()
+                    held = 0
+    if cols[0]:
+        yield settled()
 
 
 def _meet(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
@@ -238,14 +249,23 @@ def _sort(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
 
 
 def _fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The bytes of the runs that are asked for."""
+    """The bytes of the runs that are asked for, some thousands at a time."""
+    out: list[tuple] = []
+
+    def some() -> pa.RecordBatch:
+        cols = list(zip(*out))
+        out.clear()
+        return pa.record_batch([pa.array(x, pa.int64()) for x in cols[:5]] + [pa.array(cols[5], pa.binary())], ["g", "doc", "tag", "start", "many", "raw"])
+
     for batch in batches:
-        out: list[tuple] = []
-        for doc, tag, text, asked in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), batch.column(3).to_pylist()):
-            raw = text.as_buffer().to_pybytes()
-            out += [(a["g"], doc, tag, a["start"], a["open"], raw[a["start"] : a["end"]]) for a in asked]
-        cols = list(zip(*out)) if out else [()] * 6
-        yield pa.record_batch([pa.array(x, pa.int64()) for x in cols[:5]] + [pa.array(cols[5], pa.binary())], ["g", "doc", "tag", "start", "many", "raw"])
+        for i in range(len(batch)):
+            doc, tag, raw = batch.column(0)[i].as_py(), batch.column(1)[i].as_py(), batch.column(2)[i].as_buffer().to_pybytes()
+            for a in batch.column(3)[i].values.to_pylist():
+                out.append((a["g"], doc, tag, a["start"], a["open"], raw[a["start"] : a["end"]]))
+                if len(out) == FETCHED:
+                    yield some()
+    if out:
+        yield some()
 
 
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
@@ -292,9 +312,9 @@ def digest(found: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out = []
-            for text, removed in zip(batch.column(1), batch.column(2).to_pylist()):
+            for text, removed in zip(batch.column(1), batch.column(2)):
                 raw = text.as_buffer().to_pybytes() if text.is_valid else b""
-                kept, spans = keep(raw, removed)
+                kept, spans = keep(raw, removed.as_py())
                 out.append((len(raw), len(raw) - len(kept), spans, hashlib.sha256(kept).hexdigest()))
             cols = list(zip(*out)) if out else [()] * 4
             yield pa.record_batch([batch.column(0), *[pa.array(x, pa.int64()) for x in cols[:3]], pa.array(cols[3], pa.string())], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
@@ -311,8 +331,9 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = []
-            for text, removed in zip(batch.column(at), batch.column(last).to_pylist()):
-                texts.append(keep(text.as_buffer().to_pybytes(), removed)[0].decode("utf-8", "ignore") if removed else text.as_py())
+            for text, removed in zip(batch.column(at), batch.column(last)):
+                gone = removed.as_py()
+                texts.append(keep(text.as_buffer().to_pybytes(), gone)[0].decode("utf-8", "ignore") if gone else text.as_py())
             kept = pa.array(texts, batch.schema.field(at).type)
             yield pa.record_batch([kept if i == at else c for i, c in enumerate(batch.columns) if i != last], names=names)
 
