@@ -19,7 +19,7 @@ from __future__ import annotations
 
 import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterable, Iterator
 from functools import cache
 
 import numpy as np
@@ -115,23 +115,34 @@ def decode(token: str, model: np.ndarray) -> str:
 
 
 class Reader:
-    """The words of restored texts; readings are kept."""
+    """What `of` makes of the words of a text's different tokens and spelled-out words, restored; tokens are read once."""
 
-    def __init__(self, model: np.ndarray):
-        self.model, self.read = model, {}
+    def __init__(self, model: np.ndarray, of: Callable[[list[str]], Iterable]):
+        self.model, self.of, self.read = model, of, {}
 
     def restore(self, match: re.Match) -> str:
-        token = match[0]
-        if len(token) > 2 * _LONGEST:
-            return token  # no word: separators, tables, keys
-        if token not in self.read:
-            if len(self.read) >= KEPT:
-                self.read.clear()
-            self.read[token] = decode(token, self.model)
-        return f"{self.read[token]} {token}"
-
-    def words(self, text: str) -> set[str]:
-        return {w for w in set(_WORD.findall(_SUSPECT.sub(self.restore, text.lower()))) if len(w) <= _LONGEST}
+        return f"{decode(match[0], self.model)} {match[0]}" if len(match[0]) <= 2 * _LONGEST else match[0]
+
+    def token(self, token: str) -> tuple:
+        if len(self.read) >= KEPT:
+            self.read.clear()
+        words = set(_WORD.findall(_SUSPECT.sub(self.restore, token)))
+        got = self.read[token] = tuple(self.of([w for w in words if len(w) <= _LONGEST]))
+        return got
+
+    def __call__(self, text: str) -> set:
+        tokens = text.lower().split()
+        found: set = set()
+        different = set(tokens)
+        if sum(len(t) == 1 for t in tokens) > 3:
+            different.update(m[0] for m in re.finditer(_SPACED, text.lower()))
+        known = self.read.get
+        for t in different:
+            if (got := known(t)) is None:
+                got = self.token(t)
+            if got:
+                found.update(got)
+        return found
 
 
 def features(word: str) -> list[int]:
@@ -160,14 +171,11 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     total, toxic = texts.agg(F.count("*"), F.coalesce(F.sum("toxic"), F.lit(0))).first()
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        reader, seen = Reader(model), ({}, {})
+        reader = Reader(model, lambda words: {f for w in words for f in features(w)})
         for batch in batches:
             n: tuple[Counter, Counter] = (Counter(), Counter())
             for text, label in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                found: set[int] = set()
-                for w in reader.words(text or ""):
-                    found.update(features(w))
-                n[int(label > 0)].update(found)
+                n[int(label > 0)].update(reader(text or ""))
             every = np.fromiter(set(n[0]) | set(n[1]), np.int64)
             yield pa.record_batch([pa.array(every), *[pa.array([n[k][f] for f in every.tolist()], pa.int64()) for k in (1, 0)]], ["feature", "toxic", "other"])
 
@@ -183,18 +191,17 @@ def score(docs: DataFrame, lexicon: Lexicon, id_col: str = "doc_id", text_col: s
     """doc_id, score, n_toxic_words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        reader, weight = Reader(lexicon.model), {}
+        def toxic(words: list[str]) -> list[tuple[str, float]]:
+            weighed = ((w, max(lexicon.weight.get(f, 0.0) for f in features(w))) for w in words)
+            return [x for x in weighed if x[1]]
+
+        reader = Reader(lexicon.model, toxic)
         for batch in batches:
             scores, hits = [], []
             for t in batch.column(1):
                 left, n = 1 - lexicon.base, 0
-                for w in reader.words(t.as_py() or ""):
-                    if (p := weight.get(w)) is None:
-                        if len(weight) >= KEPT:
-                            weight.clear()
-                        p = weight[w] = max(lexicon.weight.get(f, 0.0) for f in features(w))
-                    if p:
-                        left, n = left * (1 - p), n + 1
+                for _, p in sorted(reader(t.as_py() or "")):
+                    left, n = left * (1 - p), n + 1
                 scores.append(1 - left)
                 hits.append(n)
             yield pa.record_batch([batch.column(0), pa.array(scores, pa.float64()), pa.array(hits, pa.int64())], ["doc_id", "score", "n_toxic_words"])
