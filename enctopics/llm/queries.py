@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from enctopics.llm import audio, chat, decontaminate, langid, packing, sharding, simhash, suffixes, token_counts, toxicity
-from enctopics.llm.common import cut, documents, remainder, word_bpe
+from enctopics.llm.common import cut, documents, narrow, remainder, word_bpe
 
 
 def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -28,7 +28,7 @@ def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
 
 
 def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffixes.digest(suffixes.repeats(documents(spark, sf_dir)))
+    return suffixes.digest(suffixes.repeats(narrow(documents(spark, sf_dir), doc_id="doc_id", text="text")))
 
 
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -274,25 +274,22 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", len
         raise ValueError("strings have 32 to 64 bytes, grams 8 to 16")
     doc = F.coalesce(docs[id_col].cast("long"), F.lit(NO_ID))
     text = no_null(docs[text_col])
-    tag = F.pmod(F.xxhash64(text), F.lit(1 << 15))  # tells rows with one id but different texts apart
-    keyed = docs.select(doc.alias("__doc"), tag.alias("__tag"), *[docs[c] for c in docs.columns])
+    tag = F.xxhash64(text).bitwiseAND(F.lit(0x7FFF))  # tells rows with one id but different texts apart
+    own = [f"__c{i}" for i in range(len(docs.columns))]  # no name of docs can clash with ours
+    body = own[docs.columns.index(text_col)]
+    keyed = docs.select(doc.alias("__doc"), tag.alias("__tag"), *[docs[c].alias(o) for o, c in zip(own, docs.columns)])
     rows = docs.select(doc.alias("doc"), text.alias("text"), tag.alias("tag")).where(F.octet_length("text") >= length)
     every = rows.mapInArrow(lambda b: _rows(b, length, gram), "g long, c long, doc long, place long")
     met = save(every.repartition("g").sortWithinPartitions("g", "c", "doc").mapInArrow(lambda b: _meet(b, length), "g long, doc long, tag long, start long, end long, open long"))
     asked = met.where("open > 0").groupBy("doc", "tag").agg(F.collect_list(F.struct("g", "start", "end", "open")).alias("asked"))
-    wanted = rows.join(asked, ["doc", "tag"]).select("doc", "tag", "text", "asked")
+    at = (F.col("__doc") == F.col("doc")) & (F.col("__tag") == F.col("tag"))
+    # all columns go along, so that both joins with keyed read one and the same exchange of the texts
+    wanted = keyed.join(asked, at).select("doc", "tag", F.col(body).alias("text"), "asked", *[o for o in own if o != body])
     fetched = wanted.mapInArrow(_fetch, "g long, doc long, tag long, start long, many long, raw binary")
     sorted_out = fetched.repartition("g").sortWithinPartitions("g").mapInArrow(lambda b: _sort(b, length), "doc long, tag long, start long, end long")
     places = met.where("open = 0").select("doc", "tag", "start", "end").union(sorted_out)
     removed = places.groupBy("doc", "tag").agg(F.array_sort(F.collect_set(F.struct("start", "end"))).alias("__removed"))
-    at = (F.col("__doc") == F.col("doc")) & (F.col("__tag") == F.col("tag"))
-    return keyed.join(removed, at, "left").drop("__doc", "__tag", "doc", "tag") if not {"doc", "tag"} & set(docs.columns) else _apart(keyed, removed)
-
-
-def _apart(keyed: DataFrame, removed: DataFrame) -> DataFrame:
-    """The last join for inputs whose own columns are called like ours."""
-    removed = removed.withColumnsRenamed({"doc": "__d", "tag": "__t"})
-    return keyed.join(removed, (keyed["__doc"] == removed["__d"]) & (keyed["__tag"] == removed["__t"]), "left").drop("__doc", "__tag", "__d", "__t")
+    return keyed.join(removed, at, "left").select(*[F.col(o).alias(c) for o, c in zip(own, docs.columns)], "__removed")
 
 
 def keep(text: bytes, removed: list) -> tuple[bytes, int]:

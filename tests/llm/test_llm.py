@@ -209,6 +209,14 @@ def test_suffix_dedup_of_odd_rows(spark, odd, none):
     assert suffixes.deduplicate(odd).columns == odd.columns and suffixes.digest(suffixes.repeats(none)).isEmpty()
 
 
+def test_suffix_dedup_with_columns_called_like_its_own(spark):
+    said = "a passage that is surely longer than fifty bytes, said twice"
+    names = ["doc_id", "text", "doc", "tag", "asked", "__doc", "__tag", "__c0", "start"]
+    docs = spark.createDataFrame([(i, t, *[str(i)] * 7) for i, t in enumerate([said, "x " + said, "else"])], ", ".join(f"`{n}` {'long' if n == 'doc_id' else 'string'}" for n in names))
+    got = sorted(map(tuple, suffixes.deduplicate(docs).collect()))
+    assert suffixes.deduplicate(docs).columns == names and got == [(0, said, *["0"] * 7), (1, "x ", *["1"] * 7), (2, "else", *["2"] * 7)]
+
+
 # 5
 
 def test_edited_counts_equal_the_whole(spark):
