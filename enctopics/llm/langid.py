@@ -111,7 +111,7 @@ def learn(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     share = F.lit(0.0)
     for lang, n in size.items():
         share = F.when(F.col("lang") == lang, F.lit(min(1.0, a_lang / n))).otherwise(share)
-    chosen = rows.where(F.pmod(F.xxhash64("doc_id", F.lit("sample")), F.lit(1_000_000)) < share * 1_000_000).limit(2 * SAMPLE)
+    chosen = rows.where(F.pmod(F.xxhash64("doc_id", F.lit("sample")), F.lit(1_000_000)) < share * 1_000_000).orderBy("doc_id", "lang", "text").limit(2 * SAMPLE)  # in one order, so that a run again learns the same
     got: dict[str, list] = {}
     for r in chosen.select("lang", "text").mapInArrow(_vectors, "lang string, places array<int>, hits array<int>").toLocalIterator():
         tf = np.zeros(DIMS, np.float32)
