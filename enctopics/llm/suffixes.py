@@ -34,7 +34,7 @@ from enctopics.llm.common import no_null, save
 
 LENGTH, GRAM = 50, 16
 #: Bytes of text that are hashed at once and that are settled before the shuffle, bytes of runs that are sorted at once, runs that are fetched at once.
-CHUNK, SETTLED, SORTED, FETCHED = 1 << 20, 1 << 23, 1 << 20, 10_000
+CHUNK, SETTLED, SORTED, FETCHED = 1 << 19, 1 << 22, 1 << 19, 5_000
 NO_ID = (1 << 63) - 1  # for a null id
 _BASE = 0x9E3779B97F4A7C15
 _TABLE = np.random.default_rng(7).integers(1, 1 << 63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
