@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from enctopics.llm import decontaminate, langid, packing, simhash, suffixes
+from enctopics.llm import decontaminate, langid, packing, similar, suffixes
 from enctopics.llm.common import remainder, shared_folder, word_bpe
 
 
@@ -17,8 +17,8 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, the one with the least id, of each group of near-duplicates."""
-    return simhash.one_of_each(docs)
+    """One document, the one with the least id, of each group linked by 0.8 or more of equal five-word shingles."""
+    return similar.one_of_each(docs)
 
 
 def suffix_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -12,7 +12,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from enctopics.llm import audio, chat, components, decontaminate, langid, packing, sharding, simhash, suffixes, token_counts, toxicity
+from enctopics.llm import audio, chat, components, decontaminate, langid, packing, sharding, similar, simhash, suffixes, token_counts, toxicity
 from enctopics.llm.common import remainder, word_bpe
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
@@ -100,6 +100,36 @@ def test_near_dedup_on_odd_rows(spark, odd, none):
     assert kept.columns == odd.columns and kept.where("doc_id = 2").count() <= 2
 
 
+def test_near_dedup_stage_against_brute_force(spark, odd, none):
+    import corpus_pipeline
+
+    rng = random.Random(12)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(4))
+    ts = []
+    for n in (6, 40, 90, 200):
+        base = [word() for _ in range(n)]
+        ts.append(" ".join(base))
+        for edits in (0, 1, 1, 2, 3, 4, 6, 9):
+            new = list(base)
+            for _ in range(edits):
+                new[rng.randrange(len(new))] = word()
+            ts.append(" ".join(new[rng.randrange(3) :]))
+    ts += ["", " ", "one two", "One  two", "one", ts[-1] + " end", None]
+    rng.shuffle(ts)
+    words = [(t or "").lower().split() for t in ts]
+    sets = [{tuple(w[i : i + 5]) for i in range(max(len(w) - 4, 1))} if w else set() for w in words]
+    label = list(range(len(ts)))
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if a == sets[j] or 5 * len(a & sets[j]) >= 4 * len(a | sets[j]):
+                x, y = label[i], label[j]
+                label = [min(x, y) if v in (x, y) else v for v in label]
+    kept = {r.doc_id for r in corpus_pipeline.near_dedup(spark, frame(spark, ts), "").collect()}
+    assert kept == set(label) and len(kept) < len(ts) - 10
+    assert {r.doc_id: r.component_id for r in similar.near_duplicates(frame(spark, ts)).collect()} == dict(enumerate(label))
+    assert similar.near_duplicates(odd).count() == 6 and similar.near_duplicates(none).isEmpty() and similar.one_of_each(odd).columns == odd.columns
+
+
 # 2
 
 def test_language_held_out(spark):
