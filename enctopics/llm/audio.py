@@ -5,8 +5,10 @@ of these, each as wide as its place in WIDTHS says, compare the logarithms of tw
 integer a frame. Recordings share integers where they sound alike: for two recordings, a histogram of the
 differences of places finds their offset, and the share of unequal bits over the overlap decides.
 
-Recordings of one fingerprint form a class, and are compared once. Integers meet in an index by two neighbours at
-a time. A null or empty recording, or one too short for a filter, has an empty fingerprint and matches nothing.
+Recordings of one fingerprint form a class, and are compared once. Integers meet in an index where one
+of three blocks of their bits is equal: cuts between two frames and noise leave few integers as they were, while blocks
+survive up to the accepted error. So short keys meet often, and queries and recordings are gone through list by list,
+each two lists in one task: the work grows with queries times recordings. A null or empty recording, or one too short for a filter, has an empty fingerprint and matches nothing.
 Repeated rows each get a row. An empty table gives no rows. Other columns are ignored.
 """
 
@@ -22,11 +24,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import cut, narrow
+from enctopics.llm.common import cut, narrow, small
 
 RATE, FRAME, HOP, SPAN = 4000, 1024, 256, 12
 WIDTHS, EDGES = (2, 4, 8, 12), (-0.25, 0.0, 0.25)
 ERROR, VOTES = 0.25, 2
+#: First bit and width of the blocks under which integers meet; cells of a histogram that is kept whole.
+BLOCKS, DENSE = ((0, 11), (11, 11), (22, 10)), 1 << 22
 
 
 @cache
@@ -125,10 +129,68 @@ def class_of(prints: DataFrame) -> DataFrame:
     return keyed.join(keyed.groupBy("key", "key2").agg(F.min("id").alias("class_id"), F.count("*").alias("copies")), ["key", "key2"]).drop("key", "key2")
 
 
-def _index(rows: DataFrame, name: str) -> DataFrame:
-    """Two neighbouring integers as one key, with their place."""
-    key = F.transform(F.sequence(F.lit(1), F.size("frames") - 1), lambda i: F.shiftleft(F.element_at("frames", i).cast("long"), 32).bitwiseXOR(F.element_at("frames", i + 1).cast("long")))
-    return rows.where("size(frames) > 1").select(F.col("class_id").alias(name), F.posexplode(key).alias(f"{name}_at", "key"))
+def _keys(frames: np.ndarray) -> list[np.ndarray]:
+    """The blocks of each integer, as one array a block."""
+    return [(frames >> np.uint32(at)) & np.uint32((1 << width) - 1) for at, width in BLOCKS]
+
+
+class _Index:
+    """Recordings, one after the other in an array, with their sorted keys."""
+
+    def __init__(self, recordings: list[np.ndarray]):
+        self.size = np.array([len(r) for r in recordings])
+        self.frames = np.concatenate(recordings)
+        self.first = np.cumsum(self.size) - self.size
+        self.owner = np.repeat(np.arange(len(recordings)), self.size)
+        self.place = np.arange(len(self.frames)) - self.first[self.owner]
+        orders = [np.argsort(k, kind="stable") for k in _keys(self.frames)]
+        self.sorted = [(k[o], o) for k, o in zip(_keys(self.frames), orders)]
+
+    def best(self, query: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Recordings that share a key with the query, the offset with most votes (then the least), its votes."""
+        hits, froms = [], []
+        for key, (known, order) in zip(_keys(query), self.sorted):
+            lo, n = np.searchsorted(known, key), np.searchsorted(known, key, "right")
+            n -= lo
+            skip = np.repeat(lo - np.cumsum(n) + n, n)
+            hits.append(order[skip + np.arange(len(skip))])
+            froms.append(np.repeat(np.arange(len(query)), n))
+        hit, start = np.concatenate(hits), np.concatenate(froms)
+        wide = len(query) + int(self.size.max())
+        code = self.owner[hit] * wide + self.place[hit] - start + len(query)
+        if len(self.size) * wide <= DENSE:
+            votes = np.bincount(code, minlength=len(self.size) * wide).reshape(-1, wide)
+            at = votes.argmax(axis=1)
+            most = votes[np.arange(len(at)), at]
+            owner = np.flatnonzero(most)
+            return owner, at[owner] - len(query), most[owner]
+        code, votes = np.unique(code, return_counts=True)
+        code, votes = (x[np.lexsort((code, -votes, code // wide))] for x in (code, votes))
+        owner, at = np.unique(code // wide, return_index=True)
+        return owner, code[at] % wide - len(query), votes[at]
+
+    def wrong(self, query: np.ndarray, owner: np.ndarray, offset: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Unequal bits, and frames, of the overlap of the query with each owner at its offset."""
+        n = np.minimum(len(query) - np.maximum(-offset, 0), self.size[owner] - np.maximum(offset, 0))
+        bits = np.zeros(len(owner), np.int64)
+        start = self.first[owner] + np.maximum(offset, 0)
+        run = max(1, DENSE // max(1, int(n.max(initial=1))))
+        for at in range(0, len(owner), run):
+            m = n[at : at + run]
+            inside = np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m)
+            mine = query[np.repeat(np.maximum(-offset[at : at + run], 0), m) + inside]
+            unequal = np.bitwise_count(mine ^ self.frames[np.repeat(start[at : at + run], m) + inside])
+            bits[at : at + run] = np.add.reduceat(unequal.astype(np.int64), np.cumsum(m) - m)
+        return bits, n
+
+
+def _blocks(rows: DataFrame, name: str, frames: int) -> tuple[DataFrame, int]:
+    """Recordings of like length as lists of about so many frames, and at most how many lists."""
+    length = F.floor(F.log2(F.size("frames"))).cast("int")
+    parts = {r["length"]: -(-r["n"] // max(1, frames >> r["length"])) for r in rows.groupBy(length.alias("length")).agg(F.count("*").alias("n")).collect()}
+    many = F.element_at(F.create_map(*[F.lit(x) for kv in parts.items() for x in kv]), length) if parts else F.lit(1)
+    block = F.struct(length, F.pmod(F.xxhash64("class_id"), many))
+    return rows.groupBy(block.alias("block")).agg(F.collect_list(F.struct("class_id", "frames")).alias(name)).select(name), sum(parts.values())
 
 
 def align(prints: DataFrame, queries: DataFrame, error: float = ERROR, votes: int = VOTES) -> DataFrame:
@@ -137,17 +199,27 @@ def align(prints: DataFrame, queries: DataFrame, error: float = ERROR, votes: in
     Of each two the offset with most votes, then the least offset, counts; the query's own class isn't listed.
     """
     every = cut(classes(prints))
-    asked = queries.join(every.select("class_id", "frames"), "class_id").distinct()
-    met = _index(asked, "query_id").join(_index(every, "class_id"), "key").where("query_id <> class_id")
-    histogram = met.groupBy("query_id", "class_id", (F.col("class_id_at") - F.col("query_id_at")).alias("offset")).agg(F.count("*").alias("votes")).where(F.col("votes") >= votes)
-    best = histogram.groupBy("query_id", "class_id").agg(F.min(F.struct((-F.col("votes")).alias("v"), "offset")).alias("b")).select("query_id", "class_id", F.col("b.offset").alias("offset"), (-F.col("b.v")).alias("votes"))
-    both = best.join(asked.select(F.col("class_id").alias("query_id"), F.col("frames").alias("qf")), "query_id").join(every, "class_id")
-    n = F.least(F.size("qf") - F.greatest(-F.col("offset"), F.lit(0)), F.size("frames") - F.greatest("offset", F.lit(0)))
-    part = lambda col, skip: F.slice(col, F.greatest(skip, F.lit(0)) + 1, F.col("n_frames"))
-    wrong = F.aggregate(F.zip_with(part("qf", -F.col("offset")), part("frames", F.col("offset")), lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda s, x: s + x)
-    return (
-        both.withColumn("n_frames", n)
-        .withColumn("bit_error", F.round(wrong / (32 * F.col("n_frames")), 6))
-        .where(F.col("bit_error") <= error)
-        .select("query_id", "class_id", "copies", "offset", "votes", "bit_error", "n_frames")
-    )
+    asked = cut(queries.join(every.select("class_id", "frames"), "class_id").distinct())
+    (left, n_left), (right, n_right) = _blocks(asked, "asked", 1 << 12), _blocks(every.select("class_id", "frames"), "known", 1 << 16)
+    kind = pa.list_(pa.int32())
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in range(batch.num_rows):
+                (q_ids, q), (ids, r) = ((x.field(0), x.field(1).cast(kind)) for x in (batch.column(i)[row].values for i in (0, 1)))
+                index = _Index([x.values.to_numpy(zero_copy_only=False).view(np.uint32) for x in r])
+                for at, x in enumerate(q):
+                    query = x.values.to_numpy(zero_copy_only=False).view(np.uint32)
+                    owner, offset, most = index.best(query)
+                    enough = most >= votes
+                    owner, offset, most = owner[enough], offset[enough], most[enough]
+                    bits, n = index.wrong(query, owner, offset)
+                    near = np.flatnonzero(np.round(bits / (32 * n), 6) <= error)
+                    found = [owner[near], offset[near].astype(np.int32), most[near], bits[near] / (32 * n[near]), n[near].astype(np.int32)]
+                    yield pa.record_batch([q_ids.take(pa.array(np.full(len(near), at))), ids.take(pa.array(found[0])), *map(pa.array, found[1:])], ["query_id", "class_id", "offset", "votes", "bit_error", "n_frames"])
+
+    name = dict(every.dtypes)["class_id"]
+    tasks = max(1, min(n_left * n_right, 4 * prints.sparkSession.sparkContext.defaultParallelism))
+    met = right.crossJoin(small(left, n_left)).select("asked", "known").repartition(tasks)
+    found = met.mapInArrow(run, f"query_id {name}, class_id {name}, offset int, votes long, bit_error double, n_frames int").where("query_id <> class_id")
+    return found.join(every.select("class_id", "copies"), "class_id").select("query_id", "class_id", "copies", "offset", "votes", F.round("bit_error", 6).alias("bit_error"), "n_frames")

@@ -291,6 +291,33 @@ def test_recordings_are_aligned(spark):
     assert {r.id: r.copies for r in audio.class_of(prints).collect()}[11] == 2
 
 
+@pytest.mark.parametrize("dense", [1 << 22, 1])
+def test_recordings_that_are_cut_anywhere_or_noisy_are_found(spark, monkeypatch, dense):
+    monkeypatch.setattr(audio, "DENSE", dense)
+    rng = np.random.default_rng(8)
+    sounds = {i: audio.melody(rng.normal(0, 0.2, 64).tolist())[0] for i in range(12)}
+    made = [(100, 0.0), (128, 0.0), (1128, 0.1), (3000, 0.3), (0, 0.3), (0, 0.6)]
+    for i in range(12):
+        for k, (skip, noise) in enumerate(made):
+            cut = sounds[i][skip:]
+            sounds[100 * (k + 1) + i] = cut + rng.normal(0, noise, len(cut)) if noise else cut
+    prints = {i: audio.fingerprint(x) for i, x in sounds.items()}
+
+    def error(q, f):
+        every = [(q[max(-d, 0) :], f[max(d, 0) :]) for d in range(8 - len(q), len(f) - 7)]
+        return min(np.bitwise_count(a[: len(b)] ^ b[: len(a)]).mean() / 32 for a, b in every)
+
+    brute = {(i, 100 * k + i) for i in range(12) for k in range(1, 7) if error(prints[i], prints[100 * k + i]) <= audio.ERROR}
+    table = spark.createDataFrame([(i, f.view(np.int32).tolist()) for i, f in prints.items()], "id long, frames array<int>")
+    got = audio.align(table, spark.createDataFrame([(i,) for i in range(12)], "class_id long")).collect()
+    assert len(brute) > 60 and len(brute & {(r.query_id, r.class_id) for r in got}) >= 0.9 * len(brute)
+    for k in (1, 2, 5):
+        assert sum((r.query_id, r.class_id) in brute and r.class_id // 100 == k for r in got) >= 11
+    for r in got:
+        a, b = prints[r.query_id][max(-r.offset, 0) :], prints[r.class_id][max(r.offset, 0) :]
+        assert r.n_frames == min(len(a), len(b)) and abs(np.bitwise_count(a[: len(b)] ^ b[: len(a)]).mean() / 32 - r.bit_error) < 1e-6
+
+
 def test_recordings_from_wav_and_odd_rows(spark):
     import io
     import wave
