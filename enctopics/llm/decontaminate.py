@@ -2,6 +2,8 @@
 
 Texts become lower-case runs of letters and digits; shingles are five words (all words, if fewer). Similarity is
 the weighted Jaccard of two shingle multisets, and a window of an item's own number of words counts at 0.8 or more.
+A document with fewer words than an item is its own only window for it. Items of under five words are one shingle, and
+meet the runs of as many words of each document.
 
 1. A window that similar holds at least 0.8 of its item's shingles, so only documents that hold as many of them
    somewhere are looked at again, and only their windows that hold as many.
@@ -18,6 +20,8 @@ Empty tables give no rows. Other columns of the inputs are ignored.
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -30,11 +34,13 @@ def words(text: Column) -> Column:
     return F.filter(F.split(F.lower(no_null(text)), r"[^\p{L}\p{N}]+"), lambda w: w != "")
 
 
-def shingles(ws: Column, k: int = WORDS) -> Column:
+def shingles(ws: Column, k: int | Column = WORDS) -> Column:
     """Hashes of all runs of k words; of the whole sequence, if it is shorter; none of no words."""
 
+    k = F.lit(k) if isinstance(k, int) else k
+
     def of(w: Column) -> Column:
-        runs = F.transform(F.sequence(F.lit(1), F.size(w) - k + 1), lambda i: F.xxhash64(F.slice(w, i, F.lit(k))))
+        runs = F.transform(F.sequence(F.lit(1), F.size(w) - k + 1), lambda i: F.xxhash64(F.slice(w, i, k)))
         return F.when(F.size(w) >= k, runs).when(F.size(w) > 0, F.array(F.xxhash64(w))).otherwise(F.array().cast("array<bigint>"))
 
     return let(ws, of)
@@ -72,13 +78,14 @@ def contamination(docs: DataFrame, benchmark: DataFrame, similarity: float = SIM
         .withColumn("item", F.monotonically_increasing_id())
         .withColumn("item_fp", fingerprint(F.col("item_hashes")))
     )
-    n_items, n_shingles = items.agg(F.count("*"), F.coalesce(F.sum(F.size("item_hashes")), F.lit(0))).first()
+    width = F.least("n_words", F.lit(WORDS))
+    n_items, n_shingles, widths = items.agg(F.count("*"), F.coalesce(F.sum(F.size("item_hashes")), F.lit(0)), F.collect_set(width)).first()
     wanted = small(items.select("item", "n_words", F.size("item_hashes").alias("total"), F.explode("item_hashes").alias("h")).groupBy("item", "n_words", "total", "h").agg(F.count("*").cast("int").alias("w")), n_shingles)
 
     texts = narrow(docs, doc_id=id_col, text=text_col).withColumn("row", F.xxhash64("doc_id", "text"))
     # _outer: a plain explode makes Spark test the array's size first, and so compute it twice
-    hashed = texts.select("row", shingles(words(F.col("text"))).alias("hashes"))
-    hits = hashed.select("row", F.posexplode_outer("hashes").alias("at", "h")).join(wanted, "h")
+    at_width = lambda k: texts.select("row", shingles(words(F.col("text")), k).alias("hashes")).select("row", F.posexplode_outer("hashes").alias("at", "h"))
+    hits = reduce(DataFrame.union, map(at_width, sorted(widths) or [WORDS])).join(wanted, "h")
     enough = F.ceil(F.lit(similarity) * F.col("total") - 1e-9)
     near = (
         hits.groupBy("row", "item", "n_words", "total")
@@ -90,11 +97,12 @@ def contamination(docs: DataFrame, benchmark: DataFrame, similarity: float = SIM
         lambda s: F.size(F.filter("ats", lambda p: p.between(s, s + F.col("total") - 1))) >= enough,
     )
     asked = near.select("row", "n_words", "total", F.explode(starts).alias("start")).distinct()
-    asked = asked.groupBy("row").agg(F.collect_list(F.struct("n_words", "total", "start")).alias("asked"))
+    asked = asked.groupBy("row", width.alias("k")).agg(F.collect_list(F.struct("n_words", "total", "start")).alias("asked"))
 
-    full = texts.join(asked, "row").select("doc_id", "asked", words(F.col("text")).alias("ws")).select("doc_id", "asked", F.size("ws").alias("size"), shingles(F.col("ws")).alias("hashes"))
+    full = texts.join(asked, "row").select("doc_id", "asked", "k", words(F.col("text")).alias("ws")).select("doc_id", "asked", F.size("ws").alias("size"), shingles(F.col("ws"), F.col("k")).alias("hashes"))
+    fits = lambda a: (a["start"] + a["n_words"] <= F.col("size")) | ((a["start"] == 0) & (F.col("size") < a["n_words"]))
     windows = (
-        full.select("doc_id", F.transform(F.filter("asked", lambda a: a["start"] + a["n_words"] <= F.col("size")), lambda a: F.struct(a["n_words"].alias("n_words"), a["start"].alias("start"), F.slice("hashes", a["start"] + 1, a["total"]).alias("window"))).alias("windows"))
+        full.select("doc_id", F.transform(F.filter("asked", fits), lambda a: F.struct(a["n_words"].alias("n_words"), F.least(a["n_words"], F.col("size")).alias("held_words"), a["start"].alias("start"), F.slice("hashes", a["start"] + 1, a["total"]).alias("window"))).alias("windows"))
         .select("doc_id", F.inline_outer("windows"))
         .where("window IS NOT NULL")
         .withColumn("fp", fingerprint(F.col("window")))
@@ -111,7 +119,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, similarity: float = SIM
         .withColumn("similarity", F.col("shared") / (F.size("window") + F.size("item_hashes") - F.col("shared")))
         .where(F.col("similarity") >= similarity)
     )
-    best = F.min_by(F.struct("start", "n_words", hamming.alias("hamming"), "similarity"), F.struct(-F.col("similarity"), F.col("start")))
+    best = F.min_by(F.struct("start", F.col("held_words").alias("n_words"), hamming.alias("hamming"), "similarity"), F.struct(-F.col("similarity"), F.col("start")))
     return found.groupBy("doc_id", "item_id").agg(best.alias("best")).select("doc_id", "item_id", F.col("best.start").cast("long").alias("start_word"), "best.n_words", "best.hamming", F.round("best.similarity", 6).alias("similarity"))
 
 

@@ -184,6 +184,28 @@ def test_contamination_against_brute_force(spark):
     assert decontaminate.clean(docs, bench).where("doc_id IN (0, 2, 4)").isEmpty()
 
 
+def test_short_documents_and_items_against_brute_force(spark):
+    from collections import Counter
+
+    rng = random.Random(31)
+    pad = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(6)) for _ in range(n))
+    items = [pad(40), pad(12), pad(5), pad(4), pad(2), pad(1), "same " * 30]
+    w = items[0].split()
+    ts = [" ".join(w[:39]), " ".join(w[6:]), " ".join(w[:30]), " ".join(items[1].split()[1:]), " ".join(items[1].split()[4:]), f"{pad(9)} {items[3]} {pad(3)}", f"{items[4]} {pad(8)}", f"{pad(7)} {items[5]}", items[4], items[3] + " x", " ".join(items[2].split()[:4]), "same " * 26, pad(3), ""]
+    got = {(r.doc_id, r.item_id): (r.similarity, r.start_word, r.n_words) for r in decontaminate.contamination(frame(spark, ts), spark.createDataFrame(list(enumerate(items)), "item_id long, text string")).collect()}
+    shingles = lambda w: Counter([tuple(w[i : i + 5]) for i in range(len(w) - 4)] or [tuple(w)])
+    want = {}
+    for i, t in enumerate(ts):
+        for j, item in enumerate(items):
+            w, v = t.split(), item.split()
+            for at in range(max(len(w) - len(v), 0) + 1) if w else ():
+                a, b = shingles(w[at : at + len(v)]), shingles(v)
+                s = round(sum((a & b).values()) / sum((a | b).values()), 6)
+                if s >= 0.8 and s > want.get((i, j), (0,))[0]:
+                    want[i, j] = (s, at, min(len(w), len(v)))
+    assert got == want and {(0, 0), (1, 0), (3, 1), (5, 3), (6, 4), (7, 5), (8, 4), (9, 3), (11, 6)} <= set(got)
+
+
 def test_contamination_of_odd_rows(spark, odd, none):
     bench = spark.createDataFrame([(1, "same words here and there same words"), (2, None)], "item_id long, text string")
     assert {r.doc_id for r in decontaminate.contamination(odd, bench).collect()} == {2}
