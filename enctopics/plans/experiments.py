@@ -151,20 +151,10 @@ def updates(spark: SparkSession, deal, samplings: int = 10, cfg: Config = Config
     return spark.createDataFrame(rows, "seed int, batch_id int, recluster boolean, with_reclustering double, without double")
 
 
-def sampled_coherency(spark: SparkSession, deal, samplings: int = 10, cfg: Config = Config()) -> DataFrame:
-    """scheme, seed, coherency of the fixed number of clusters on the base of each sampling."""
-    rows = []
-    for seed in range(samplings):
-        a = kept(kestimate.trim(deal(seed).where("batch_id = 0").select("tok", "doc_id", "f"), cfg.trim))
-        got = metrics.coherency(labelled(baselines.fixed_k(a, cfg.fixed_k), vectors.hashed_profiles(a))).first()["coherency"]
-        rows.append(("fixed_ten", seed, got))
-    return spark.createDataFrame(rows, "scheme string, seed int, coherency double")
-
-
-def interval(df: DataFrame, by: str, value: str, n: int, confidence: float = 0.95) -> DataFrame:
+def interval(df: DataFrame, by: str | tuple[str, ...], value: str, n: int, confidence: float = 0.95) -> DataFrame:
     """Mean and half width of the confidence interval of n values a group."""
     t = student_quantile(n - 1, confidence) if n > 1 else math.nan
-    return df.groupBy(by).agg(F.count(value).alias("n"), F.round(F.avg(value), 6).alias("mean"), F.round(F.lit(t) * F.stddev_samp(value) / F.sqrt(F.count(value)), 6).alias("half_width"))
+    return df.groupBy(*([by] if isinstance(by, str) else by)).agg(F.count(value).alias("n"), F.round(F.avg(value), 6).alias("mean"), F.round(F.lit(t) * F.stddev_samp(value) / F.sqrt(F.count(value)), 6).alias("half_width"))
 
 
 def index_growth(docs: DataFrame, shares: tuple[float, ...] = (0.25, 0.5, 0.75, 1.0), cfg: Config = Config()) -> DataFrame:

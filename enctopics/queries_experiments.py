@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from enctopics.config import Config
 from enctopics.operators import kestimate, tokens
 from enctopics.plans import experiments as x
 from enctopics.queries_core import batches
@@ -66,8 +67,9 @@ def updates(spark: SparkSession, d: str) -> DataFrame:
 
 @query("coherency_ci")
 def coherency_ci(spark: SparkSession, d: str) -> DataFrame:
-    """Mean and interval over three samplings of the base."""
-    return x.interval(x.sampled_coherency(spark, _deal(spark, d), 3), "scheme", "coherency", 3)
+    """Mean and interval after each batch, with re-clustering and without, over the samplings of exp_updates."""
+    runs = x.updates(spark, _deal(spark, d))
+    return x.interval(runs.unpivot(["batch_id"], ["with_reclustering", "without"], "scheme", "coherency"), ("batch_id", "scheme"), "coherency", Config.samplings)
 
 
 @query("exp_index_growth")

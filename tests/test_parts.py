@@ -189,3 +189,31 @@ def test_interval(spark):
     rows = spark.createDataFrame([("a", 1.0), ("a", 2.0), ("a", 3.0)], "k string, v double")
     r = interval(rows, "k", "v", 3).first()
     assert r["mean"] == 2 and r.half_width == pytest.approx(4.302653 / math.sqrt(3), abs=1e-4)
+
+
+def _asked_of(monkeypatch, name, rows):
+    """What a stand-in for a function of the experiments was called with, defaults included."""
+    import inspect
+
+    from enctopics import queries_experiments as q
+
+    shape, got = inspect.signature(getattr(q.x, name)), {}
+
+    def stand_in(*args, **named):
+        bound = shape.bind(*args, **named)
+        bound.apply_defaults()
+        got.update(bound.arguments)
+        return rows
+
+    monkeypatch.setattr(q.x, name, stand_in)
+    monkeypatch.setattr(q, "_deal", lambda spark, d: None)
+    return q, got
+
+
+def test_coherency_intervals_are_over_the_updates(spark, monkeypatch):
+    rows = [(s, b, False, 0.1 * s + b, 0.5) for s in range(10) for b in range(1, 6)]
+    q, got = _asked_of(monkeypatch, "updates", spark.createDataFrame(rows, "seed int, batch_id int, recluster boolean, with_reclustering double, without double"))
+    out = {(r.batch_id, r.scheme): r for r in q.coherency_ci(spark, "").collect()}
+    assert got["samplings"] == 10 and set(out) == {(b, s) for b in range(1, 6) for s in ("with_reclustering", "without")}
+    assert {r.n for r in out.values()} == {10} and abs(out[2, "with_reclustering"].mean - 2.45) < 1e-6 and out[2, "without"].half_width == 0
+    assert abs(out[1, "with_reclustering"].half_width - student_quantile(9, 0.95) * 0.1 * math.sqrt(110 / 12 / 10)) < 1e-5
