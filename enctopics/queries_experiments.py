@@ -61,8 +61,7 @@ def _deal(spark: SparkSession, d: str):
 
 @query("exp_updates")
 def updates(spark: SparkSession, d: str) -> DataFrame:
-    """One sampling; experiments.updates takes ten unless told otherwise."""
-    return x.updates(spark, _deal(spark, d), 1)
+    return x.updates(spark, _deal(spark, d))
 
 
 @query("coherency_ci")

@@ -217,3 +217,9 @@ def test_coherency_intervals_are_over_the_updates(spark, monkeypatch):
     assert got["samplings"] == 10 and set(out) == {(b, s) for b in range(1, 6) for s in ("with_reclustering", "without")}
     assert {r.n for r in out.values()} == {10} and abs(out[2, "with_reclustering"].mean - 2.45) < 1e-6 and out[2, "without"].half_width == 0
     assert abs(out[1, "with_reclustering"].half_width - student_quantile(9, 0.95) * 0.1 * math.sqrt(110 / 12 / 10)) < 1e-5
+
+
+def test_update_query_runs_all_samplings(spark, monkeypatch):
+    q, got = _asked_of(monkeypatch, "updates", None)
+    q.updates(spark, "")
+    assert got["samplings"] == 10
