@@ -30,7 +30,7 @@ def k_by_corpus(spark: SparkSession, d: str) -> DataFrame:
 
 @query("exp_sweep")
 def sweep(spark: SparkSession, d: str) -> DataFrame:
-    return x.sweep(spark, table(spark, d, "documents"), (10, 50, 250))
+    return x.sweep(spark, table(spark, d, "documents"))
 
 
 @query("exp_coherency")

@@ -223,3 +223,9 @@ def test_update_query_runs_all_samplings(spark, monkeypatch):
     q, got = _asked_of(monkeypatch, "updates", None)
     q.updates(spark, "")
     assert got["samplings"] == 10
+
+
+def test_sweep_query_covers_the_whole_grid(spark, monkeypatch):
+    q, got = _asked_of(monkeypatch, "sweep", None)
+    q.sweep(spark, "/root/testdata/sf0.001")
+    assert set(got["grid"]) >= {10, 50, 100, 150, 200, 250}
