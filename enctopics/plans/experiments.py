@@ -43,9 +43,9 @@ def one_shot(made: static.Clustering, cfg: Config = Config()) -> dict[str, DataF
     return {"static": made.clusters, "prior_encrypted": relate.distribute(relate.cooccurrence(a, made.centres), made.centres, a, score="co"), "fixed_ten": baselines.fixed_k(a, cfg.fixed_k)}
 
 
-def iterative(made: static.Clustering, vecs: DataFrame, k: int) -> dict[str, DataFrame]:
-    """Clusters of the schemes that take any number."""
-    return {"vector_kmeans": baselines.vector_kmeans(vecs, k), "hierarchical": baselines.hierarchical(vecs, k), "taxonomy": baselines.taxonomy(made.trimmed, k)}
+def iterative(made: static.Clustering, vecs: DataFrame, words: DataFrame, k: int) -> dict[str, DataFrame]:
+    """Clusters of the schemes that take any number; words: word vectors, vecs: profiles."""
+    return {"vector_kmeans": baselines.vector_kmeans(words, k), "hierarchical": baselines.hierarchical(vecs, k), "taxonomy": baselines.taxonomy(made.trimmed, k)}
 
 
 def measured(spark: SparkSession, found: list[tuple[str, int, DataFrame]], vecs: DataFrame) -> DataFrame:
@@ -60,12 +60,13 @@ def measured(spark: SparkSession, found: list[tuple[str, int, DataFrame]], vecs:
 
 
 def sweep(spark: SparkSession, docs: DataFrame, grid: tuple[int, ...] = (10, 50, 100, 150, 200, 250), cfg: Config = Config()) -> DataFrame:
-    """All quality measures over numbers of clusters: iterative schemes at each, the others at their own."""
+    """All quality measures, in the space of profiles, over numbers of clusters: iterative schemes at each, the others at their own."""
     made = static.cluster(docs, cfg)
     vecs = kept(vectors.hashed_profiles(made.trimmed))
+    words = kept(vectors.word2vec(docs).join(made.trimmed.select("tok").distinct(), "tok", "left_semi"))
     found = [(n, made.k if n != "fixed_ten" else cfg.fixed_k, c) for n, c in one_shot(made, cfg).items()]
     for k in sorted({*grid, made.k}):
-        found += [(n, k, c) for n, c in iterative(made, vecs, k).items()]
+        found += [(n, k, c) for n, c in iterative(made, vecs, words, k).items()]
     return measured(spark, found, vecs)
 
 

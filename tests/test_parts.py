@@ -229,3 +229,15 @@ def test_sweep_query_covers_the_whole_grid(spark, monkeypatch):
     q, got = _asked_of(monkeypatch, "sweep", None)
     q.sweep(spark, "/root/testdata/sf0.001")
     assert set(got["grid"]) >= {10, 50, 100, 150, 200, 250}
+
+
+def test_vector_scheme_of_the_experiments_takes_word_vectors(spark, docs, monkeypatch):
+    from enctopics.plans import experiments as x
+
+    sizes = []
+    monkeypatch.setattr(x.baselines, "vector_kmeans", lambda vecs, k: sizes.append(len(vecs.first()["vec"])))
+    monkeypatch.setattr(x.baselines, "hierarchical", lambda vecs, k: sizes.append(len(vecs.first()["vec"])))
+    monkeypatch.setattr(x.baselines, "taxonomy", lambda postings, k: None)
+    monkeypatch.setattr(x, "one_shot", lambda made, cfg: {})
+    monkeypatch.setattr(x, "measured", lambda spark, found, vecs: [n for n, _, _ in found])
+    assert x.coherency(spark, docs) == ["vector_kmeans", "hierarchical", "taxonomy"] and sizes == [32, 64]
