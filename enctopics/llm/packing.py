@@ -4,7 +4,8 @@ Texts are tokenized once; longer ones are cut into pieces of the capacity. The p
 have each length, at most CAPACITY numbers: lengths above a third of the capacity are matched greedily, the longest
 with the longest that still fits, at most two a bin; the smaller ones, longest first, go where they leave least.
 A step of the plan fills many equal bins at once, so its size depends on the capacity and not on the documents.
-Pieces find their bin by their rank within their length; ranks are counted in parallel, popular lengths in parts.
+Pieces find their bin by their rank within their length; ranks are counted in parallel, popular lengths in as many
+parts as their pieces ask for. A text that spells a special token of the tokenizer gets that token's id, as the tokenizer has it.
 
 Nulls: a null text is empty, and an empty text is the end token alone; null ids are ordinary rows. Repeated rows
 are packed each. An empty table gives no rows. Other columns are ignored.
@@ -26,8 +27,8 @@ from pyspark.sql import functions as F
 from enctopics.llm.common import cut, narrow
 
 CAPACITY, END = 4096, 1
-#: Pieces of one length that are ranked together, most parts of a length, words and parts of words kept by a worker.
-PART, PARTS, KEPT = 100_000, 64, 1_000_000
+#: Pieces of one length that are ranked together, at least, and parts of all lengths, at most, besides one a length; words and parts of words kept by a worker.
+PART, PARTS, KEPT = 1_000, 100_000, 1_000_000
 #: Words of these characters alone are split as the tokenizer does by the pattern below; others go to the tokenizer.
 _PLAIN = re.compile(r"[!-~À-ÖØ-öø-ſ¡«»¿]+")
 _PARTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
@@ -49,7 +50,8 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        added = [re.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.added = re.compile("|".join(added) or r"(?!)", re.IGNORECASE)  # texts with one of these go to the tokenizer whole
         self.words: dict[str, bytes] = {}
         self.parts: dict[str, bytes] = {}
 
@@ -72,7 +74,7 @@ class Encoder:
         return got
 
     def __call__(self, text: str) -> bytes:
-        if _ODD.search(text):
+        if _ODD.search(text) or self.added.search(text):
             return self.whole(text)
         known = self.words.get
         return b"".join([known(w) or self.word(w) for w in text.split()])
@@ -178,7 +180,8 @@ def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, id_col: str
     histogram = {r["length"]: r["count"] for r in found.groupBy("length").count().collect()}
     steps = sorted(Plan(histogram, capacity).steps)
     spark = docs.sparkSession
-    parts = spark.createDataFrame([(x, min(PARTS, -(-n // PART))) for x, n in histogram.items()], "length long, parts int")
+    part = max(PART, sum(histogram.values()) // PARTS)
+    parts = spark.createDataFrame([(x, -(-n // part)) for x, n in histogram.items()], "length long, parts int")
     dealt = found.join(F.broadcast(parts), "length").withColumn("part", F.pmod(F.xxhash64("row"), F.col("parts")))
     before = Window.partitionBy("length").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     bases = dealt.groupBy("length", "part").count().select("length", "part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("base"))
