@@ -2,7 +2,8 @@
 
 Letters in lower case, everything else as one space, give bigrams and trigrams, hashed to DIMS places. Document
 frequencies come from every document that may be learned from; spherical k-means of each language works on a
-sample of at most SAMPLE documents in all, chosen by a hash of their ids. The prediction is the language of the
+sample: of each language as many documents as its part of SAMPLE, give or take what chance does, chosen by a hash of
+id and text over the whole language. Equal rows count once in the sample. The prediction is the language of the
 nearest centroid. A text is rejected if its cosine is under REJECT times what all but QUANTILE of its language's
 sample reach, or if it has no letter; texts with fewer than LEAST n-grams tell too little to be rejected by distance.
 
@@ -69,13 +70,15 @@ def _frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        langs, places, hits = [], [], []
-        for lang, t in zip(batch.column(0).to_pylist(), batch.column(1)):
+        langs, keys, places, hits = [], [], [], []
+        for lang, key, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)):
             if (c := counts(t.as_py())) is not None:
                 langs.append(lang)
+                keys.append(key)
                 places.append(at := np.flatnonzero(c).astype(np.int32))
                 hits.append(c[at].astype(np.int32))
-        yield pa.record_batch([pa.array(langs, pa.string()), pa.array(places, pa.list_(pa.int32())), pa.array(hits, pa.list_(pa.int32()))], ["lang", "places", "hits"])
+        lists = [pa.array(x, pa.list_(pa.int32())) for x in (places, hits)]
+        yield pa.record_batch([pa.array(langs, pa.string()), pa.array(keys, pa.int64()), *lists], ["lang", "key", "places", "hits"])
 
 
 def _k_means(x: np.ndarray, k: int) -> np.ndarray:
@@ -111,15 +114,17 @@ def learn(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     share = F.lit(0.0)
     for lang, n in size.items():
         share = F.when(F.col("lang") == lang, F.lit(min(1.0, a_lang / n))).otherwise(share)
-    chosen = rows.where(F.pmod(F.xxhash64("doc_id", F.lit("sample")), F.lit(1_000_000)) < share * 1_000_000).orderBy("doc_id", "lang", "text").limit(2 * SAMPLE)  # in one order, so that a run again learns the same
+    key = F.xxhash64("doc_id", "text", F.lit("sample"))
+    chosen = rows.withColumn("key", key).where(F.shiftrightunsigned("key", 11).cast("double") < share * float(1 << 53))
+    chosen = chosen.groupBy("lang", "key").agg(F.first("text").alias("text")).select("lang", "key", "text")
     got: dict[str, list] = {}
-    for r in chosen.select("lang", "text").mapInArrow(_vectors, "lang string, places array<int>, hits array<int>").toLocalIterator():
+    for r in chosen.mapInArrow(_vectors, "lang string, key long, places array<int>, hits array<int>").toLocalIterator():
         tf = np.zeros(DIMS, np.float32)
         tf[r["places"]] = r["hits"]
-        got.setdefault(r["lang"], []).append(_weighted(tf, idf))
+        got.setdefault(r["lang"], []).append((r["key"], _weighted(tf, idf)))
     langs, centroids, floor = sorted(got), [], []
     for lang in langs:
-        x = np.stack(got[lang])
+        x = np.stack([v for _, v in sorted(got[lang], key=lambda kv: kv[0])])  # in one order, so that a run again learns the same
         centroids.append(_k_means(x, CENTROIDS))
         floor.append(REJECT * np.quantile((x @ centroids[-1].T).max(axis=1), QUANTILE))
     owner = np.repeat(np.arange(len(langs)), [len(c) for c in centroids]) if langs else np.zeros(0, int)
