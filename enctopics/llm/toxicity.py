@@ -3,13 +3,15 @@
 1. Character trigrams of every document, over 64 symbols, make a language model.
 2. Words that mix letters with look-alike characters, letters spelled out with gaps, and letters repeated three
    times or more become lattices: a character may stand for itself or for what it looks like, a repeated letter for
-   one, two or all of them. Viterbi takes the path that the model finds likeliest, less a cost for each change.
+   one, two or all of them. Viterbi takes the path that the model finds likeliest, less a cost for each change. Letters
+   that are spelled out are read twice: as one word, and with breaks at gaps where the model favours them.
 3. Words of restored texts, and their beginnings, are counted once a document by label, copies of a text once.
    A feature's weight is the lower bound of the share of toxic documents among those that have it.
 4. A document's score is the chance that at least one of its different words is toxic, by its best feature.
 
 Labels are learned from at most LABELLED rows, chosen by a hash of their ids where there are more; the language
-model and the scores cover all documents. At most LEXICON features are kept, the most frequent of the reliable.
+model and the scores cover all documents. Every reliable feature is kept: their number is bounded by what that many
+labelled texts hold. Words and runs of any length are read.
 
 Nulls: a null or empty text has the base rate; null labels are not learned. Repeated rows each get a score.
 With nothing to learn from, every score is the base rate, 0 then. Other columns are ignored.
@@ -28,10 +30,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import BROADCAST_ROWS, narrow
+from enctopics.llm.common import BROADCAST_ROWS, narrow, small
 
-LABELLED, LEXICON, LEAST, RELIABLE, STARTS = BROADCAST_ROWS, 50_000, 3, 0.42, (4, 5, 6)
-SYMBOLS, CHANGE, KEPT, Z = 64, 1.5, 500_000, 2.0
+LABELLED, LEAST, RELIABLE, STARTS = BROADCAST_ROWS, 3, 0.42, (4, 5, 6)
+SYMBOLS, CHANGE, BREAK, KEPT, Z = 64, 1.5, 1.0, 500_000, 2.0
 #: What look-alike characters may stand for.
 LOOKS = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "€": "e"}
 _MARKS = re.escape("".join(LOOKS))
@@ -39,8 +41,8 @@ _MIXED = rf"[^\W_]*(?:[^\W\d_][{_MARKS}]+[^\W\d_]|[{_MARKS}][^\W\d_])[{_MARKS}\w
 _SPACED = r"(?<!\w)\w(?:[ .\-_*]\w){3,}(?!\w)"
 _REPEATED = r"[^\W_]*([^\W\d_])\1\1[^\W_]*"
 _SUSPECT = re.compile(f"{_SPACED}|{_MIXED}|{_REPEATED}")
+_SPELLED = re.compile(_SPACED)
 _WORD = re.compile(r"[^\W\d_]+")
-_LONGEST = 40
 
 
 @cache
@@ -78,40 +80,50 @@ def language_model(docs: DataFrame, text_col: str = "text") -> np.ndarray:
     return np.log((n + 8 * back[None]) / (n.sum(axis=2, keepdims=True) + 8)).astype(np.float32)
 
 
-def lattice(token: str) -> list[list[tuple[str, float]]]:
-    """For each place of a token: what it may stand for, and at what cost. Gaps between single letters go first."""
-    if re.fullmatch(_SPACED, token):
+def lattice(token: str, breaks: bool = False) -> list[list[tuple[str, float]]]:
+    """For each place of a token: what it may stand for, and at what cost. Gaps between single letters are nothing, or
+    with breaks what may end a word."""
+    spelled = bool(_SPELLED.fullmatch(token))
+    if spelled:
         token = token[::2]
     places, at = [], 0
     while at < len(token):
         c, end = token[at], at + 1
-        while end < len(token) and token[end] == c:
+        while end < len(token) and token[end] == c and not (spelled and breaks):
             end += 1
         ways = [c, *LOOKS.get(c, "")] if not c.isalpha() else [c]
         n = end - at
         times = {n: 0.0, 1: CHANGE, 2: CHANGE} if n > 2 else {n: 0.0}
+        if spelled and breaks and places:
+            places.append([("", 0.0), (" ", BREAK)])
         places.append([(w * k, cost + CHANGE * (w != c)) for w in ways for k, cost in times.items()])
         at = end
     return places
 
 
-def decode(token: str, model: np.ndarray) -> str:
-    """The likeliest reading of a token, as a word between blanks."""
+def decode(token: str, model: np.ndarray, breaks: bool = False) -> str:
+    """The likeliest reading of a token, between blanks; paths are kept as links, so the work grows with the length."""
     table = _symbol()
-    best: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
-    for ways in [*lattice(token), [(" ", 0.0)]]:
-        after: dict[tuple[int, int], tuple[float, str]] = {}
+    best: dict[tuple[int, int], tuple[float, tuple | None]] = {(0, 0): (0.0, None)}
+    for ways in [*lattice(token, breaks), [(" ", 0.0)]]:
+        after: dict[tuple[int, int], tuple[float, tuple | None]] = {}
         for (a, b), (score, said) in best.items():
             for way, cost in ways:
                 x, y, now = a, b, score - cost
-                for c in way:
+                for c in way if len(way) < 4 else way[:3]:  # letters that go on as they are change the state no more
                     z = int(table[ord(c)])
                     now += float(model[x, y, z]) - 2.0 * (z == 0 and c != " ")
                     x, y = y, z
+                if len(way) > 3:
+                    now += (len(way) - 3) * (float(model[x, y, z]) - 2.0 * (z == 0 and c != " "))
                 if (x, y) not in after or after[x, y][0] < now:
-                    after[x, y] = (now, said + way)
+                    after[x, y] = (now, (said, way))
         best = after
-    return max(best.values())[1].strip()
+    said, ways = max(best.values(), key=lambda v: v[0])[1], []
+    while said:
+        said, way = said
+        ways.append(way)
+    return "".join(reversed(ways)).strip()
 
 
 class Reader:
@@ -121,21 +133,20 @@ class Reader:
         self.model, self.of, self.read = model, of, {}
 
     def restore(self, match: re.Match) -> str:
-        return f"{decode(match[0], self.model)} {match[0]}" if len(match[0]) <= 2 * _LONGEST else match[0]
+        apart = f" {decode(match[0], self.model, True)}" if _SPELLED.fullmatch(match[0]) else ""
+        return f"{decode(match[0], self.model)}{apart} {match[0]}"
 
     def token(self, token: str) -> tuple:
         if len(self.read) >= KEPT:
             self.read.clear()
-        words = set(_WORD.findall(_SUSPECT.sub(self.restore, token)))
-        got = self.read[token] = tuple(self.of([w for w in words if len(w) <= _LONGEST]))
+        got = self.read[token] = tuple(self.of(sorted(set(_WORD.findall(_SUSPECT.sub(self.restore, token))))))
         return got
 
     def __call__(self, text: str) -> set:
-        tokens = text.lower().split()
+        text = text.lower()
         found: set = set()
-        different = set(tokens)
-        if sum(len(t) == 1 for t in tokens) > 3:
-            different.update(m[0] for m in re.finditer(_SPACED, text.lower()))
+        different = set(text.split())
+        different.update(m[0] for m in _SPELLED.finditer(text))
         known = self.read.get
         for t in different:
             if (got := known(t)) is None:
@@ -165,9 +176,9 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     n = known.count()
     share = min(1.0, 0.95 * LABELLED / max(n, 1))
     known = known.where(F.pmod(F.xxhash64("doc_id", F.lit("label")), F.lit(1_000_000)) < share * 1_000_000)
-    texts = narrow(docs, doc_id=id_col, text=text_col).join(F.broadcast(known), "doc_id")
-    once = texts.groupBy(F.xxhash64("text").alias("copy")).agg(F.min("doc_id").alias("doc_id")).select("doc_id")
-    texts = texts.join(F.broadcast(once), "doc_id", "left_semi")
+    texts = narrow(docs, doc_id=id_col, text=text_col).join(F.broadcast(known), "doc_id")  # LABELLED rows at most
+    once = texts.groupBy(F.xxhash64("text").alias("copy")).agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct()
+    texts = texts.join(small(once, min(n, LABELLED)), "doc_id", "left_semi")
     total, toxic = texts.agg(F.count("*"), F.coalesce(F.sum("toxic"), F.lit(0))).first()
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -183,7 +194,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     n_, p = F.col("toxic") + F.col("other"), F.col("toxic") / (F.col("toxic") + F.col("other"))
     low = (p + Z * Z / (2 * n_) - Z * F.sqrt(p * (1 - p) / n_ + Z * Z / (4 * n_ * n_))) / (1 + Z * Z / n_)
     base = toxic / total if total else 0.0
-    kept = sums.where(F.col("toxic") >= LEAST).withColumn("weight", low).where(F.col("weight") >= max(RELIABLE, 2 * base)).orderBy(F.desc("toxic"), "feature").limit(LEXICON)
+    kept = sums.where(F.col("toxic") >= LEAST).withColumn("weight", low).where(F.col("weight") >= max(RELIABLE, 2 * base))
     return Lexicon({r["feature"]: r["weight"] for r in kept.select("feature", "weight").collect()}, base, model)
 
 
