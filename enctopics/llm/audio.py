@@ -85,12 +85,16 @@ def fingerprint(samples: np.ndarray, rate: int = RATE) -> np.ndarray:
 
 
 def read_wav(cell: bytes) -> tuple[np.ndarray, int]:
-    """Samples, mixed to one channel, and rate of 16-bit WAV data."""
-    with wave.open(io.BytesIO(cell)) as w:
-        if w.getsampwidth() != 2:
-            raise ValueError("only 16-bit samples are read")
-        x = np.frombuffer(w.readframes(w.getnframes()), "<i2").reshape(-1, w.getnchannels())
-        return x.mean(axis=1), w.getframerate()
+    """Samples, mixed to one channel, and rate of 8-, 16- or 32-bit WAV data; of anything else, or damaged data, none."""
+    try:
+        with wave.open(io.BytesIO(cell)) as w:
+            kind = {1: "u1", 2: "<i2", 4: "<i4"}[w.getsampwidth()]
+            raw = w.readframes(w.getnframes())
+            wide = w.getsampwidth() * w.getnchannels()
+            x = np.frombuffer(raw[: len(raw) // wide * wide], kind).astype(np.float64).reshape(-1, w.getnchannels())
+            return (x - 128 if kind == "u1" else x).mean(axis=1), max(w.getframerate(), 1)
+    except (wave.Error, EOFError, KeyError, ValueError, RuntimeError):
+        return np.zeros(0), RATE
 
 
 def melody(cell: list[float]) -> tuple[np.ndarray, int]:

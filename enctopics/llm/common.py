@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -14,10 +13,12 @@ BROADCAST_ROWS = 200_000
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that the cluster names for checkpoints; tests, which name none, get one of their own."""
+    """The folder that the cluster names for checkpoints; a local session, which names none, gets one under its warehouse."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
-        named = tempfile.mkdtemp(prefix="checkpoints-")
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("on a cluster, set spark.checkpoint.dir to a folder that all executors share")
+        named = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/checkpoints-{spark.sparkContext.applicationId}"
         spark.sparkContext.setCheckpointDir(named)
     return named
 
@@ -45,6 +46,30 @@ def small(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
+def free_name(df: DataFrame, name: str) -> str:
+    """name, or the like of it, that no column of df has."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
+def without(docs: DataFrame, ids: DataFrame, id_col: str) -> DataFrame:
+    """docs less the rows whose id is the one column of ids; rows without an id stay."""
+    name = free_name(docs, "id")
+    gone = ids.select(F.col(ids.columns[0]).alias(name))
+    return docs.join(small(gone, ids.count()), docs[id_col] == F.col(name), "left_anti")
+
+
+def first_copies(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """The rows of docs whose id is the one column of ids, each id and text once; rows without an id stay."""
+    name, copy = free_name(docs, "id"), free_name(docs, "copy")
+    least = ids.select(F.col(ids.columns[0]).alias(name)).distinct()
+    kept = docs.where(docs[id_col].isNotNull()).join(least, docs[id_col] == F.col(name), "left_semi")
+    once = kept.withColumn(copy, F.xxhash64(text_col)).dropDuplicates([id_col, copy]).drop(copy)
+    return once.unionByName(docs.where(docs[id_col].isNull()))
+
+
 def no_null(column: Column) -> Column:
     return F.coalesce(column, F.lit(""))
 

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import cut, narrow, small
+from enctopics.llm.common import cut, first_copies, narrow, small
 from enctopics.llm.components import components
 
 RADIUS, SHINGLE, SEED, HOT = 3, 3, 42, 20_000
@@ -162,7 +162,5 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The document with the least id of each component, with all columns; rows without an id stay."""
-    least = near_duplicates(docs, id_col, text_col).where("doc_id = component_id").select(F.col("doc_id").alias("__id")).distinct()
-    kept = docs.where(docs[id_col].isNotNull()).join(least, docs[id_col] == least["__id"], "left_semi")
-    once = kept.withColumn("__copy", F.xxhash64(text_col)).dropDuplicates([id_col, "__copy"]).drop("__copy")
-    return once.unionByName(docs.where(docs[id_col].isNull()))
+    least = near_duplicates(docs, id_col, text_col).where("doc_id = component_id").select("doc_id")
+    return first_copies(docs, least, id_col, text_col)

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import cut, narrow, save, small
+from enctopics.llm.common import cut, first_copies, narrow, save, small
 from enctopics.llm.components import components
 
 WORDS, SIMILARITY, SEED, BUCKETS = 5, 0.8, 42, 1 << 18
@@ -143,7 +143,5 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, id_col: str
 
 def one_of_each(docs: DataFrame, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The document with the least id of each component, with all columns; rows without an id stay."""
-    least = near_duplicates(docs, similarity, id_col, text_col).where("doc_id = component_id").select(F.col("doc_id").alias("__id")).distinct()
-    kept = docs.where(docs[id_col].isNotNull()).join(least, docs[id_col] == least["__id"], "left_semi")
-    once = kept.withColumn("__copy", F.xxhash64(text_col)).dropDuplicates([id_col, "__copy"]).drop("__copy")
-    return once.unionByName(docs.where(docs[id_col].isNull()))
+    least = near_duplicates(docs, similarity, id_col, text_col).where("doc_id = component_id").select("doc_id")
+    return first_copies(docs, least, id_col, text_col)

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import narrow
+from enctopics.llm.common import free_name, narrow
 
 LEAF = 512
 _CUT = re.compile(r"(?<=\S)(?= \S)")
@@ -121,11 +121,15 @@ class TokenTree:
             touched = {i // 2 for i in touched}
 
 
-def with_edits(docs: DataFrame, edits: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """docs and the column edits: the edits of each document (seq, start, n_delete, inserted), in order."""
+def with_edits(docs: DataFrame, edits: DataFrame, id_col: str = "doc_id", edits_col: str = "edits") -> DataFrame:
+    """docs and the column edits: the edits of each document (seq, start, n_delete, inserted), in order.
+
+    A column of that name in docs is replaced; name another if it is to stay.
+    """
     one = F.struct(*[F.col(c).cast(t).alias(c) for c, t in (("seq", "int"), ("start", "bigint"), ("n_delete", "bigint"), ("inserted", "string"))])
-    listed = edits.groupBy(F.col(id_col).alias("__id")).agg(F.sort_array(F.collect_list(one)).alias("edits"))
-    return docs.join(listed, docs[id_col].eqNullSafe(listed["__id"]), "left").drop("__id")
+    name = free_name(docs, "edits_of")
+    listed = edits.groupBy(F.col(id_col).alias(name)).agg(F.sort_array(F.collect_list(one)).alias(edits_col))
+    return docs.drop(edits_col).join(listed, docs[id_col].eqNullSafe(listed[name]), "left").drop(name)
 
 
 def count_tokens(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", edits_col: str = "edits") -> DataFrame:
