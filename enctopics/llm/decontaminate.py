@@ -112,9 +112,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, similarity: float = SIM
         spans = F.transform(a["ats"], lambda p, i: F.when(first(p, i) <= F.least(p, last), F.sequence(first(p, i), F.least(p, last))).otherwise(F.array().cast("array<int>")))
         return F.flatten(spans)
 
-    each = full.select("doc_id", "size", "hashes", F.explode("asked").alias("a")).select("doc_id", "size", "hashes", "a.n_words", "a.total", F.explode(starts(F.col("a"))).alias("start"))
-    windows = each.select("doc_id", "n_words", F.least("n_words", "size").alias("held_words"), "start", F.slice("hashes", F.col("start") + 1, F.col("total")).alias("window")).withColumn("fp", fingerprint(F.col("window")))
-    probes = windows.select("*", F.posexplode(blocks(F.col("fp"), radius)).alias("block", "value"))
+    each = full.select("doc_id", "size", "hashes", F.explode_outer("asked").alias("a")).select("doc_id", "size", "hashes", "a.n_words", "a.total", F.explode_outer(starts(F.col("a"))).alias("start")).where("start IS NOT NULL")
+    windows = each.select("doc_id", "n_words", F.least("n_words", "size").alias("held_words"), "start", F.slice("hashes", F.col("start") + 1, F.col("total")).alias("window")).withColumn("fp", F.coalesce(fingerprint(F.col("window")), F.lit(0).cast("bigint")))  # never null, so no filter computes it again
+    probes = windows.select("*", F.posexplode_outer(blocks(F.col("fp"), radius)).alias("block", "value"))
     index = items.select("item", "item_id", F.col("n_words").alias("size"), "item_hashes", "item_fp", F.posexplode(blocks(F.col("item_fp"), radius)).alias("b", "v"))
     hamming = F.bit_count(F.col("fp").bitwiseXOR(F.col("item_fp")))
     met = (F.col("block") == F.col("b")) & (F.col("value") == F.col("v")) & (F.col("n_words") == F.col("size"))
@@ -122,8 +122,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, similarity: float = SIM
     found = (
         probes.join(small(index, n_items * (radius + 1)), met)
         .where((hamming <= radius) & (agree == F.col("block")))  # once a pair: where its first equal block meets
-        .withColumn("shared", overlap(F.col("window"), F.col("item_hashes")))
-        .withColumn("similarity", F.col("shared") / (F.size("window") + F.size("item_hashes") - F.col("shared")))
+        .withColumn("similarity", let(overlap(F.col("window"), F.col("item_hashes")), lambda n: n / (F.size("window") + F.size("item_hashes") - n)))
         .where(F.col("similarity") >= similarity)
     )
     best = F.min_by(F.struct("start", F.col("held_words").alias("n_words"), hamming.alias("hamming"), "similarity"), F.struct(-F.col("similarity"), F.col("start")))
