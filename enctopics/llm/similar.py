@@ -1,12 +1,17 @@
-"""Near-duplicates by exact similarity: prefix filter over word shingles, verified Jaccard, connected components.
+"""SimHash near-duplicates at a similarity of 0.8: rare shingles, pigeonring over fingerprints, verified Jaccard.
 
 A text becomes the set of its five-word shingles (all its words, if fewer); words are what white space parts, in
-lower case. Two texts are linked at a Jaccard similarity of 0.8 or more, and no such pair is lost:
-
-1. All sets are put into one order, shingles of crowded buckets last. Of n shingles, two similar texts share one
-   among the first n - ceil(0.8 n) + 1 of each, so these are the keys under which texts meet.
-2. Neighbours by size under a key are compared first. What they connect needs no further comparison; then all pairs
-   that meet under a key and aren't connected yet are compared.
+lower case. Two texts are linked at a Jaccard similarity of 0.8 or more. Their SimHashes may then differ in some 20
+of 64 bits, too many for equal blocks of bits to be keys that tell much. So texts meet as follows:
+
+1. All sets are put into one order, frequent shingles last. Of n shingles, two similar texts share one among the
+   first n - ceil(0.8 n) + 1 of each, so these are the keys under which texts meet. How frequent a shingle is comes
+   from a sketch of all texts; it decides how many texts meet, never which links are found.
+2. Pairs that meet must have fitting sizes and fingerprints within RADIUS: chains of consecutive 16-bit segments
+   have to keep their cumulative differences within proportional budgets, then the whole distance counts. Sets of under
+   LEAST shingles, whose fingerprints are coarse, are not judged by them.
+3. What is left is verified by the exact similarity. Neighbours by size under a key come first. What they connect
+   needs no further comparison; then all pairs that meet under a key and aren't connected yet are compared.
 
 Texts of one set are one node, so copies cost nothing. Nulls: texts without a word, null ones too, are copies of
 each other. An empty table gives no rows. Other columns are ignored.
@@ -14,7 +19,9 @@ each other. An empty table gives no rows. Other columns are ignored.
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -25,7 +32,9 @@ from pyspark.sql import functions as F
 from enctopics.llm.common import cut, first_copies, narrow, save, small
 from enctopics.llm.components import components
 
-WORDS, SIMILARITY, SEED, BUCKETS = 5, 0.8, 42, 1 << 18
+WORDS, SIMILARITY, SEED, RADIUS, LEAST = 5, 0.8, 42, 26, 32
+#: Cells of the sketch, in how many slices; keys of texts that a worker knows it has sent already.
+BUCKETS, SLICES, KNOWN = 1 << 21, 64, 200_000
 _ODD, _TURN = np.uint64(0x9E3779B97F4A7C15), np.uint64(29)
 
 
@@ -52,43 +61,93 @@ def _needed(n: int | Column, similarity: float):
     return F.ceil(n * F.lit(similarity) - 1e-9) if isinstance(n, Column) else int(np.ceil(n * similarity - 1e-9))
 
 
-def _mapped(docs: DataFrame, of: Callable[[np.ndarray], tuple], schema: str) -> DataFrame:
-    """The columns of `of` for each text's shingles: lists, one for each column of schema."""
+def _fingerprint(hashes: np.ndarray) -> int:
+    """64 bits, each set if it is set in over half of the hashes, as a signed number."""
+    ones = np.zeros(64, np.int64)
+    for at in range(0, len(hashes), 1 << 16):
+        ones += np.unpackbits(hashes[at : at + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return int(np.packbits(2 * ones > len(hashes), bitorder="little").view(np.int64)[0])
+
+
+def _mapped(docs: DataFrame, of: Callable[[int, np.ndarray], tuple], schema: str) -> DataFrame:
+    """The columns of `of` for the key and the shingles of each different text, as far as a worker knows: lists, one a column."""
     names = [c.split()[0] for c in schema.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()
         for batch in batches:
             for at in range(0, batch.num_rows, 64):
-                made = [of(shingles(t.as_buffer().to_pybytes() if t.is_valid else b"")) for t in batch.column(0)[at : at + 64]]
-                parts = [pa.concat_arrays([m[i] for m in made]) for i in range(len(names))]
-                yield pa.record_batch(parts, names)
+                made = []
+                for t in batch.column(0)[at : at + 64]:
+                    hashes = shingles(t.as_buffer().to_pybytes() if t.is_valid else b"")
+                    if (key := _key(hashes)) not in seen:
+                        if len(seen) >= KNOWN:
+                            seen.clear()
+                        seen.add(key)
+                        made.append(of(key, hashes))
+                if made:
+                    yield pa.record_batch([pa.concat_arrays([m[i] for m in made]) for i in range(len(names))], names)
 
     return docs.select("text").mapInArrow(run, schema)
 
 
 def _surveyed(docs: DataFrame) -> DataFrame:
-    """doc_id, key of each text's set, n null; and how many of the partition's shingles a bucket (as key) has, as n."""
+    """doc_id, key of each text's set, counts null; and slices (as key) of how many shingles fall into each cell."""
     kind = dict(docs.dtypes)["doc_id"]
+    names = ["doc_id", "key", "counts"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = np.zeros(BUCKETS, np.int64)
-        ids = pa.null()
+        held = np.zeros(BUCKETS, np.uint32)
+        ids = None
         for batch in batches:
             ids, keys = batch.column(0).type, []
             for t in batch.column(1):
                 hashes = shingles(t.as_buffer().to_pybytes() if t.is_valid else b"")
                 np.add.at(held, (hashes % np.uint64(BUCKETS)).astype(np.int64), 1)
                 keys.append(_key(hashes))
-            yield pa.record_batch([batch.column(0), pa.array(keys, pa.int64()), pa.nulls(len(keys), pa.int64())], ["doc_id", "key", "n"])
-        at = np.flatnonzero(held)
-        if len(at):
-            yield pa.record_batch([pa.nulls(len(at), ids), pa.array(at), pa.array(held[at])], ["doc_id", "key", "n"])
+            yield pa.record_batch([batch.column(0), pa.array(keys, pa.int64()), pa.nulls(len(keys), pa.binary())], names)
+        if ids is not None:
+            slices = [zlib.compress(x.tobytes(), 1) for x in held.reshape(SLICES, -1)]
+            yield pa.record_batch([pa.nulls(SLICES, ids), pa.array(range(SLICES), pa.int64()), pa.array(slices, pa.binary())], names)
+
+    return docs.mapInArrow(run, f"doc_id {kind}, key long, counts binary")
+
+
+def _crowd(slices: DataFrame) -> np.ndarray:
+    """How many binary digits the count of each cell has, over all partitions."""
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for key, raw in zip(batch.column(0).to_pylist(), batch.column(1)):
+                part = np.frombuffer(zlib.decompress(raw.as_buffer()), np.uint32).astype(np.uint64)
+                sums[key] = sums[key] + part if key in sums else part
+        digits = [zlib.compress(np.ceil(np.log2(x + 1.0)).astype(np.uint8).tobytes(), 1) for x in sums.values()]
+        yield pa.record_batch([pa.array(sums.keys(), pa.int64()), pa.array(digits, pa.binary())], ["key", "digits"])
+
+    crowd = np.zeros((SLICES, BUCKETS // SLICES), np.uint8)
+    for r in slices.repartition("key").mapInArrow(add, "key long, digits binary").collect():
+        crowd[r["key"]] = np.frombuffer(zlib.decompress(r["digits"]), np.uint8)
+    return crowd.reshape(-1)
+
+
+def _chained(a: str, b: str, radius: int = RADIUS) -> Column:
+    """Whether two fingerprints keep to the budgets from some segment on around the ring, and to radius as a whole."""
+    gap = F.col(a).bitwiseXOR(F.col(b))
+    d = [F.bit_count(F.shiftrightunsigned(gap, 16 * i).bitwiseAND(F.lit(0xFFFF))) for i in range(4)]
+    chain = lambda i: reduce(lambda x, y: x & y, [4 * sum((d[(i + j) % 4] for j in range(1, n)), d[i]) <= n * radius for n in (1, 2, 3)])
+    return reduce(lambda x, y: x | y, map(chain, range(4))) & (F.bit_count(gap) <= radius)
 
-    return docs.mapInArrow(run, f"doc_id {kind}, key long, n long")
 
+def _alike(pairs: DataFrame, docs: DataFrame, similarity: float) -> DataFrame:
+    """The pairs a, b whose sets are similar; the sets are made anew for the texts that are asked for."""
 
-def _alike(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
-    """The pairs a, b whose sets are similar."""
+    def whole(key: int, hashes: np.ndarray) -> tuple:
+        return pa.array([key]), pa.array([hashes.view(np.int64)], pa.list_(pa.int64()))
+
+    keys = cut(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct())
+    sets = _mapped(docs, whole, "key long, hashes array<long>").join(small(keys, keys.count()), "key", "left_semi")
+    sets = save(sets.groupBy("key").agg(F.first("hashes").alias("hashes")))
     both = pairs.join(sets.select(F.col("key").alias("a"), F.col("hashes").alias("x")), "a").join(sets.select(F.col("key").alias("b"), F.col("hashes").alias("y")), "b")
     shared = both.select("a", "b", (F.size("x") + F.size("y")).alias("n"), F.size(F.array_intersect("x", "y")).alias("shared"))
     return shared.where(F.col("shared") >= _needed(F.col("n") - F.col("shared"), similarity)).select("a", "b")
@@ -97,44 +156,39 @@ def _alike(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
 def _linked(docs: DataFrame, crowd: np.ndarray, similarity: float) -> DataFrame:
     """node, label of the sets that are linked to another."""
 
-    def first(hashes: np.ndarray) -> tuple:
+    def first(key: int, hashes: np.ndarray) -> tuple:
         n = len(hashes)
         order = np.lexsort((hashes, crowd[(hashes % np.uint64(BUCKETS)).astype(np.int64)]))
         chosen = hashes[order[: n - _needed(n, similarity) + 1]] if n else hashes
-        return pa.array(np.full(len(chosen), _key(hashes))), pa.array(np.full(len(chosen), n)), pa.array(chosen.view(np.int64))
+        same = lambda x: pa.array(np.full(len(chosen), x))
+        return pa.array(chosen.view(np.int64)), same(key), same(n), same(_fingerprint(hashes))
 
-    def whole(hashes: np.ndarray) -> tuple:
-        return pa.array([_key(hashes)]), pa.array([hashes.view(np.int64)], pa.list_(pa.int64()))
-
-    met = _mapped(docs, first, "key long, n long, h long").distinct()
-    order = Window.partitionBy("h").orderBy("n", "key")
-    met = met.select("*", F.lag("key").over(order).alias("before"), F.lag("n").over(order).alias("n_before"), F.lead("key").over(order).alias("after"))
-    met = save(met.where("before IS NOT NULL OR after IS NOT NULL").drop("after"))
     near = lambda less, more: F.col(less) >= _needed(F.col(more), similarity)
-    close = cut(met.where(F.col("before").isNotNull() & near("n_before", "n")).select(F.col("before").alias("a"), F.col("key").alias("b")).distinct())
-
-    keys = met.select("key").distinct()
-    sets = _mapped(docs, whole, "key long, hashes array<long>").join(small(keys, keys.count()), "key", "left_semi")
-    sets = save(sets.groupBy("key").agg(F.first("hashes").alias("hashes")))
-    links = cut(_alike(close, sets, similarity))
-
-    grouped = met.select("h", "key", "n").join(components(links).withColumnRenamed("node", "key"), "key", "left").select("h", "key", "n", F.coalesce("label", "key").alias("label"))
+    fits = lambda n, m, f, g: near(n, m) & ((F.col(n) < LEAST) | (F.col(m) < LEAST) | _chained(f, g))
+    order = Window.partitionBy("h").orderBy("n", "key")
+    met = _mapped(docs, first, "h long, key long, n long, fp long").repartition("h")
+    met = met.withColumns({"before": F.lag("key").over(order), "after": F.lead("key").over(order), "n_before": F.lag("n").over(order), "fp_before": F.lag("fp").over(order)})
+    copy = F.col("before").eqNullSafe(F.col("key"))
+    met = save(met.where(~copy & (F.col("before").isNotNull() | F.col("after").isNotNull())).drop("after"))
+    close = cut(met.where(F.col("before").isNotNull() & fits("n_before", "n", "fp_before", "fp")).select(F.col("before").alias("a"), F.col("key").alias("b")).distinct())
+    links = cut(_alike(close, docs, similarity))
+
+    grouped = met.select("h", "key", "n", "fp").join(components(links).withColumnRenamed("node", "key"), "key", "left").select("h", "key", "n", "fp", F.coalesce("label", "key").alias("label"))
     open_keys = grouped.groupBy("h").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("h")
     grouped = cut(grouped.join(open_keys, "h", "left_semi"))
-    left, right = (grouped.select("h", *[F.col(c).alias(f"{c}{side}") for c in ("key", "n", "label")]) for side in ("_a", "_b"))
+    left, right = (grouped.select("h", *[F.col(c).alias(f"{c}{side}") for c in ("key", "n", "fp", "label")]) for side in ("_a", "_b"))
     ahead = F.struct("n_a", "key_a") < F.struct("n_b", "key_b")
-    rest = left.join(right, "h").where((F.col("label_a") != F.col("label_b")) & ahead & near("n_a", "n_b")).select(F.col("key_a").alias("a"), F.col("key_b").alias("b")).distinct()
-    return components(links.union(_alike(rest.join(close, ["a", "b"], "left_anti"), sets, similarity)))
+    rest = left.join(right, "h").where((F.col("label_a") != F.col("label_b")) & ahead & fits("n_a", "n_b", "fp_a", "fp_b")).select(F.col("key_a").alias("a"), F.col("key_b").alias("b")).distinct()
+    rest = cut(rest.join(close, ["a", "b"], "left_anti"))
+    return components(links if rest.isEmpty() else links.union(_alike(rest, docs, similarity)))
 
 
 def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, component_id: the least doc_id that links reach."""
     rows = narrow(docs, doc_id=id_col, text=text_col)
     surveyed = save(_surveyed(rows))
-    crowd = np.zeros(BUCKETS, np.uint8)
-    for r in surveyed.where("n IS NOT NULL").groupBy("key").agg(F.sum("n").alias("n")).collect():
-        crowd[r["key"]] = r["n"].bit_length()
-    found = surveyed.where("n IS NULL").select("doc_id", "key")
+    crowd = _crowd(surveyed.where("counts IS NOT NULL").select("key", "counts"))
+    found = surveyed.where("counts IS NULL").select("doc_id", "key")
     labels = _linked(rows, crowd, similarity)
     known = found.groupBy("key").agg(F.min("doc_id").alias("least")).join(labels.withColumnRenamed("node", "key"), "key", "left").select("key", "least", F.coalesce("label", "key").alias("label"))
     owned = known.join(known.groupBy("label").agg(F.min("least").alias("component_id")), "label").select("key", "component_id")
