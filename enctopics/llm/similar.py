@@ -10,8 +10,10 @@ of 64 bits, too many for equal blocks of bits to be keys that tell much. So text
 2. Pairs that meet must have fitting sizes and fingerprints within RADIUS: chains of consecutive 16-bit segments
    have to keep their cumulative differences within proportional budgets, then the whole distance counts. Sets of under
    LEAST shingles, whose fingerprints are coarse, are not judged by them.
-3. What is left is verified by the exact similarity. Neighbours by size under a key come first. What they connect
-   needs no further comparison; then all pairs that meet under a key and aren't connected yet are compared.
+3. What is left is verified by the exact similarity. Neighbours by size under a key come first, then each text with
+   the pivot of its key, the text that meets most others. What they connect needs no further comparison; then all pairs
+   that meet under a key and aren't connected yet are compared. From the second step on, the parities of 512 cells of
+   either set, of which each unequal shingle turns one, prove most pairs apart before their sets are fetched.
 
 Texts of one set are one node, so copies cost nothing. Nulls: texts without a word, null ones too, are copies of
 each other. An empty table gives no rows. Other columns are ignored.
@@ -69,6 +71,12 @@ def _fingerprint(hashes: np.ndarray) -> int:
     return int(np.packbits(2 * ones > len(hashes), bitorder="little").view(np.int64)[0])
 
 
+def _parity(hashes: np.ndarray) -> np.ndarray:
+    """512 bits: whether an odd number of hashes falls into each cell. Each hash that only one of two sets has changes one bit at most."""
+    odd = np.bincount((hashes >> np.uint64(40)).astype(np.int64) & 511, minlength=512) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
+
+
 def _mapped(docs: DataFrame, of: Callable[[int, np.ndarray], tuple], schema: str) -> DataFrame:
     """The columns of `of` for the key and the shingles of each different text, as far as a worker knows: lists, one a column."""
     names = [c.split()[0] for c in schema.split(", ")]
@@ -92,25 +100,26 @@ def _mapped(docs: DataFrame, of: Callable[[int, np.ndarray], tuple], schema: str
 
 
 def _surveyed(docs: DataFrame) -> DataFrame:
-    """doc_id, key of each text's set, counts null; and slices (as key) of how many shingles fall into each cell."""
+    """doc_id, key and parity of each text's set, counts null; and slices (as key) of how many shingles fall into each cell."""
     kind = dict(docs.dtypes)["doc_id"]
-    names = ["doc_id", "key", "counts"]
+    names, longs = ["doc_id", "key", "parity", "counts"], pa.list_(pa.int64())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = np.zeros(BUCKETS, np.uint32)
         ids = None
         for batch in batches:
-            ids, keys = batch.column(0).type, []
+            ids, keys, odd = batch.column(0).type, [], []
             for t in batch.column(1):
                 hashes = shingles(t.as_buffer().to_pybytes() if t.is_valid else b"")
+                odd.append(_parity(hashes))
                 np.add.at(held, (hashes % np.uint64(BUCKETS)).astype(np.int64), 1)
                 keys.append(_key(hashes))
-            yield pa.record_batch([batch.column(0), pa.array(keys, pa.int64()), pa.nulls(len(keys), pa.binary())], names)
+            yield pa.record_batch([batch.column(0), pa.array(keys, pa.int64()), pa.array(odd, longs), pa.nulls(len(keys), pa.binary())], names)
         if ids is not None:
             slices = [zlib.compress(x.tobytes(), 1) for x in held.reshape(SLICES, -1)]
-            yield pa.record_batch([pa.nulls(SLICES, ids), pa.array(range(SLICES), pa.int64()), pa.array(slices, pa.binary())], names)
+            yield pa.record_batch([pa.nulls(SLICES, ids), pa.array(range(SLICES), pa.int64()), pa.nulls(SLICES, longs), pa.array(slices, pa.binary())], names)
 
-    return docs.mapInArrow(run, f"doc_id {kind}, key long, counts binary")
+    return docs.mapInArrow(run, f"doc_id {kind}, key long, parity array<long>, counts binary")
 
 
 def _crowd(slices: DataFrame) -> np.ndarray:
@@ -153,8 +162,8 @@ def _alike(pairs: DataFrame, docs: DataFrame, similarity: float) -> DataFrame:
     return shared.where(F.col("shared") >= _needed(F.col("n") - F.col("shared"), similarity)).select("a", "b")
 
 
-def _linked(docs: DataFrame, crowd: np.ndarray, similarity: float) -> DataFrame:
-    """node, label of the sets that are linked to another."""
+def _linked(docs: DataFrame, crowd: np.ndarray, parities: DataFrame, similarity: float) -> DataFrame:
+    """node, label of the sets that are linked to another; parities: key, parity of every set."""
 
     def first(key: int, hashes: np.ndarray) -> tuple:
         n = len(hashes)
@@ -173,13 +182,31 @@ def _linked(docs: DataFrame, crowd: np.ndarray, similarity: float) -> DataFrame:
     close = cut(met.where(F.col("before").isNotNull() & fits("n_before", "n", "fp_before", "fp")).select(F.col("before").alias("a"), F.col("key").alias("b")).distinct())
     links = cut(_alike(close, docs, similarity))
 
-    grouped = met.select("h", "key", "n", "fp").join(components(links).withColumnRenamed("node", "key"), "key", "left").select("h", "key", "n", "fp", F.coalesce("label", "key").alias("label"))
-    open_keys = grouped.groupBy("h").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("h")
-    grouped = cut(grouped.join(open_keys, "h", "left_semi"))
-    left, right = (grouped.select("h", *[F.col(c).alias(f"{c}{side}") for c in ("key", "n", "fp", "label")]) for side in ("_a", "_b"))
-    ahead = F.struct("n_a", "key_a") < F.struct("n_b", "key_b")
-    rest = left.join(right, "h").where((F.col("label_a") != F.col("label_b")) & ahead & fits("n_a", "n_b", "fp_a", "fp_b")).select(F.col("key_a").alias("a"), F.col("key_b").alias("b")).distinct()
-    rest = cut(rest.join(close, ["a", "b"], "left_anti"))
+    def still_open(rows: DataFrame, links: DataFrame) -> DataFrame:
+        """rows with the label of their component, of the keys under which several components meet."""
+        labelled = rows.join(components(links).withColumnRenamed("node", "key"), "key", "left").withColumn("label", F.coalesce("label", "key"))
+        several = labelled.groupBy("h").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("h")
+        return cut(labelled.join(several, "h", "left_semi"))
+
+    def apart(one: DataFrame, other: DataFrame, known: DataFrame) -> DataFrame:
+        """Pairs a, b of rows under one key that aren't connected, can't be told apart yet and haven't been compared."""
+        left, right = (df.select("h", *[F.col(c).alias(f"{c}{side}") for c in ("key", "n", "fp", "parity", "label")]) for df, side in ((one, "_a"), (other, "_b")))
+        small_n, large_n = F.least("n_a", "n_b"), F.greatest("n_a", "n_b")
+        unequal = sum((F.bit_count(F.col("parity_a")[i].bitwiseXOR(F.col("parity_b")[i])) for i in range(1, 8)), F.bit_count(F.col("parity_a")[0].bitwiseXOR(F.col("parity_b")[0])))
+        most = small_n + large_n - 2 * F.ceil((small_n + large_n) * F.lit(similarity / (1 + similarity)) - 1e-9)
+        judged = (small_n < LEAST) | _chained("fp_a", "fp_b")
+        met = left.join(right, "h").where((F.col("label_a") != F.col("label_b")) & (small_n >= _needed(large_n, similarity)) & (unequal <= most) & judged)
+        return cut(met.select(F.least("key_a", "key_b").alias("a"), F.greatest("key_a", "key_b").alias("b")).distinct().join(known, ["a", "b"], "left_anti"))
+
+    ordered = close.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    rows = still_open(met.select("h", "key", "n", "fp"), links).drop("label").join(parities, "key").select("h", "key", "n", "fp", "parity")
+    now = still_open(rows, links)
+    degree = now.join(now.groupBy("h").agg(F.count("*").alias("size")), "h").groupBy("key").agg(F.sum("size").alias("degree"))
+    pivots = now.join(degree, "key").groupBy("h").agg(F.max_by(F.struct("key", "n", "fp", "parity", "label"), F.struct("degree", "key")).alias("p")).select("h", "p.*")
+    by_pivot = apart(now, pivots, ordered)
+    links = cut(links.union(_alike(by_pivot, docs, similarity)).distinct())
+    now = still_open(rows, links)
+    rest = apart(now, now, ordered.union(by_pivot))
     return components(links if rest.isEmpty() else links.union(_alike(rest, docs, similarity)))
 
 
@@ -189,7 +216,8 @@ def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, id_col: str
     surveyed = save(_surveyed(rows))
     crowd = _crowd(surveyed.where("counts IS NOT NULL").select("key", "counts"))
     found = surveyed.where("counts IS NULL").select("doc_id", "key")
-    labels = _linked(rows, crowd, similarity)
+    parities = surveyed.where("counts IS NULL").groupBy("key").agg(F.first("parity").alias("parity"))
+    labels = _linked(rows, crowd, parities, similarity)
     known = found.groupBy("key").agg(F.min("doc_id").alias("least")).join(labels.withColumnRenamed("node", "key"), "key", "left").select("key", "least", F.coalesce("label", "key").alias("label"))
     owned = known.join(known.groupBy("label").agg(F.min("least").alias("component_id")), "label").select("key", "component_id")
     return found.join(owned, "key").select("doc_id", "component_id")
