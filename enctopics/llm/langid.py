@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import narrow
+from enctopics.llm.common import narrow, trimmed
 
 DIMS, CENTROIDS, SAMPLE, ROUNDS = 1 << 13, 6, 4000, 12
 REJECT, QUANTILE, LEAST = 0.5, 0.01, 60
@@ -167,7 +167,7 @@ def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str
             yield pa.record_batch([batch.column(0), pa.array(lang, pa.string()), pa.array(score), pa.array(rejected)], ["doc_id", "lang_pred", "score", "rejected"])
 
     rows = narrow(docs, doc_id=id_col, text=text_col)
-    return rows.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, lang_pred string, score double, rejected boolean")
+    return rows.mapInArrow(trimmed(run), f"doc_id {dict(rows.dtypes)['doc_id']}, lang_pred string, score double, rejected boolean")
 
 
 def accepted(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
@@ -178,4 +178,4 @@ def accepted(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame
         for batch in batches:
             yield batch.filter(pa.array(~_judge(batch.column(at), model)[2]))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(trimmed(run), docs.schema)

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import cut, narrow
+from enctopics.llm.common import cut, narrow, trimmed
 
 CAPACITY, END = 4096, 1
 #: Pieces of one length that are ranked together, at least, and parts of all lengths, at most, besides one a length; words and parts of words kept by a worker.
@@ -100,7 +100,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, id_col: st
             yield pa.record_batch([ids_of, pa.array(cols[1], pa.int32()), *[pa.array(c, pa.int64()) for c in cols[2:]]], ["doc_id", "piece", "start", "length", "ids_crc32"])
 
     rows = narrow(docs, doc_id=id_col, text=text_col)
-    return rows.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, piece int, start long, length long, ids_crc32 long")
+    return rows.mapInArrow(trimmed(run), f"doc_id {dict(rows.dtypes)['doc_id']}, piece int, start long, length long, ids_crc32 long")
 
 
 class Plan:

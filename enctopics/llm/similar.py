@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import cut, first_copies, narrow, save, small
+from enctopics.llm.common import cut, first_copies, narrow, save, small, trimmed
 from enctopics.llm.components import components
 
 WORDS, SIMILARITY, SEED, RADIUS, LEAST = 5, 0.8, 42, 26, 32
@@ -96,7 +96,7 @@ def _mapped(docs: DataFrame, of: Callable[[int, np.ndarray], tuple], schema: str
                 if made:
                     yield pa.record_batch([pa.concat_arrays([m[i] for m in made]) for i in range(len(names))], names)
 
-    return docs.select("text").mapInArrow(run, schema)
+    return docs.select("text").mapInArrow(trimmed(run), schema)
 
 
 def _surveyed(docs: DataFrame) -> DataFrame:
@@ -119,7 +119,7 @@ def _surveyed(docs: DataFrame) -> DataFrame:
             slices = [zlib.compress(x.tobytes(), 1) for x in held.reshape(SLICES, -1)]
             yield pa.record_batch([pa.nulls(SLICES, ids), pa.array(range(SLICES), pa.int64()), pa.nulls(SLICES, longs), pa.array(slices, pa.binary())], names)
 
-    return docs.mapInArrow(run, f"doc_id {kind}, key long, parity array<long>, counts binary")
+    return docs.mapInArrow(trimmed(run), f"doc_id {kind}, key long, parity array<long>, counts binary")
 
 
 def _crowd(slices: DataFrame) -> np.ndarray:

@@ -8,16 +8,18 @@ A byte goes if a LENGTH-byte string over it also starts in a document with a sma
 2. Rows meet by g, sorted. Runs with equal (g, c) are equal: all but the least document's go. Copies among SETTLED
    bytes of documents are settled before the shuffle, so a hot copy sends a row for as many bytes.
 3. A gram with several different runs leaves open which strings of the least document's runs repeat. Only those
-   runs are fetched as bytes and sorted by bucket-pointer refinement: buckets by 8 bytes are refined
-   by the bucket ids at later offsets, which are ids of earlier refinements, until what shares a bucket is equal over
-   LENGTH bytes.
-4. Places return to their documents, where they are merged.
+   runs are fetched as bytes and sorted by bucket-pointer refinement: buckets by 8 bytes are refined by the bucket ids
+   at the offset where they end, and these updated ids refine the next time, at 16, then 32 bytes, until what shares a
+   bucket is equal over LENGTH bytes. A place that is alone in its bucket is sorted no more.
+4. A gram with more than HOT open runs is dealt over many tasks: strings that begin early in their run share the bytes
+   before the gram, the others those after it, so each half goes by the gram and the bytes on that side.
+5. Places return to their documents, where they are merged.
 
-Hashes g and c have 64 and 40 bits and must both agree. Memory is bounded by these constants, a batch of documents
-and the different open runs of one gram.
+Hashes g and c have 64 bits each and must both agree: 128 bits for equal runs, bytes for all else. Memory is bounded
+by these constants, a batch of documents and the different open runs of one gram and its neighbouring bytes.
 
 Nulls: a null text is empty; a null id counts as larger than all others. Rows that share an id never match each
-other. Empty texts and tables are kept as they are. The operator keeps all columns of its input, whatever their names.
+other; 26 bits of a hash tell their texts apart. Empty texts and tables are kept as they are. The operator keeps all columns of its input, whatever their names.
 """
 
 from __future__ import annotations
@@ -27,15 +29,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import no_null, save
+from enctopics.llm.common import cut, no_null, save, small, trimmed
 
 LENGTH, GRAM = 50, 16
-#: Bytes of text that are hashed at once and that are settled before the shuffle, bytes of runs that are sorted at once, runs that are fetched at once.
-CHUNK, SETTLED, SORTED, FETCHED = 1 << 19, 1 << 22, 1 << 19, 5_000
-NO_ID = (1 << 63) - 1  # for a null id
+#: Bytes of text that are hashed at once and that are settled before the shuffle, bytes of runs that are sorted at once, runs that are fetched at once, open runs of a gram that one task may sort.
+CHUNK, SETTLED, SORTED, FETCHED, HOT = 1 << 19, 1 << 22, 1 << 19, 5_000, 500
+NO_ID, TAG = (1 << 63) - 1, (1 << 26) - 1  # for a null id; what is kept of the hash of a text
 _BASE = 0x9E3779B97F4A7C15
 _TABLE = np.random.default_rng(7).integers(1, 1 << 63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
 _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
@@ -50,14 +53,19 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS[size]
 
 
+def _grams(text: bytes, gram: int) -> np.ndarray:
+    """A hash for each place of a text where a gram starts."""
+    word = np.ndarray((len(text) - 7,), "<u8", text, strides=(1,))
+    h = word[: len(text) - gram + 1] * np.uint64(0xC2B2AE3D27D4EB4F) ^ (word[gram - 8 :] * np.uint64(0x165667B19E3779F9) >> np.uint64(29))
+    return (h ^ (h >> np.uint64(32))) * np.uint64(_BASE)
+
+
 def runs(text: bytes, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """g, c, start and number of strings of each run of a text."""
     n = len(text)
     if n < length:
         return np.zeros(0, np.uint64), np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
-    word = np.ndarray((n - 7,), "<u8", text, strides=(1,))
-    h = word[: n - gram + 1] * np.uint64(0xC2B2AE3D27D4EB4F) ^ (word[gram - 8 :] * np.uint64(0x165667B19E3779F9) >> np.uint64(29))
-    h = (h ^ (h >> np.uint64(32))) * np.uint64(_BASE)
+    h = _grams(text, gram)
     least, at, width = (h >> np.uint64(33)).astype(np.int32), np.arange(len(h), dtype=np.int32 if n < 1 << 31 else np.int64), 1
     span = length - gram + 1
 
@@ -88,12 +96,12 @@ def _pieces(text: bytes, length: int) -> Iterator[tuple[int, bytes]]:
 
 
 def _place(start: np.ndarray, many: np.ndarray, tag: np.ndarray | int) -> np.ndarray:
-    """Start, number of strings and tag as one number: 42, 6 and 15 bits."""
-    return (start << 21) | (many << 15) | tag
+    """Start, number of strings and tag as one number: 31, 6 and 26 bits."""
+    return (start << 32) | (many << 26) | tag
 
 
 def _placed(place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    return place >> 21, (place >> 15) & 63, place & 0x7FFF
+    return place >> 32, (place >> 26) & 63, place & TAG
 
 
 def _joined(doc: np.ndarray, tag: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple:
@@ -135,7 +143,7 @@ def _rows(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator
             doc, raw, tag = batch.column(0)[i].as_py(), batch.column(1)[i].as_buffer().to_pybytes(), batch.column(2)[i].as_py()
             for at, piece in _pieces(raw, length):
                 g, c, start, many = runs(piece, length, gram)
-                for col, x in zip(cols, (g.view(np.int64), (c >> np.uint64(24)).view(np.int64), np.full(len(g), doc), _place(start + at, many, tag))):
+                for col, x in zip(cols, (g.view(np.int64), c.view(np.int64), np.full(len(g), doc), _place(start + at, many, tag))):
                     col.append(x)
                 held += len(piece)
                 if held > SETTLED:
@@ -194,21 +202,25 @@ def _meet(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
 
 
 def refine(data: np.ndarray, starts: np.ndarray, group: np.ndarray, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
-    """Which of the strings at starts share their bucket with another, and the bucket of each of these.
+    """Which of the strings at starts share their group and bucket with another, and the bucket of each of these.
 
-    Bucket-pointer refinement: places are in buckets by 8 bytes, then by the pair of bucket ids at a place and 8 bytes
-    later. Strings of one group and bucket are refined by the ids 16 bytes later, and so on, up to their last 16
-    bytes; a string alone in its bucket is done.
+    Bucket-pointer refinement of all places of data: a bucket holds the places with equal bytes over some width; the pair
+    of bucket ids at a place and one width later refines it, so ids that one round has updated are what the next sorts by.
     """
-    padded = np.concatenate([data, np.zeros(64, np.uint8)])
-    ids = np.unique(np.ndarray((len(data),), "<u8", padded.tobytes(), strides=(1,)), return_inverse=True)[1].astype(np.int64)
-    ids = np.unique(ids * (len(ids) + 1) + np.concatenate([ids[8:], np.zeros(min(8, len(ids)), np.int64)]), return_inverse=True)[1].astype(np.int64)
-    left, bucket = np.arange(len(starts)), group.astype(np.int64)
-    for later in [*range(0, length - 16, 16), length - 16]:
-        bucket, size = np.unique(bucket * (len(ids) + 1) + ids[starts[left] + later], return_inverse=True, return_counts=True)[1:]
-        shared = size[bucket] > 1
-        left, bucket = left[shared], bucket[shared].astype(np.int64)
-    return left, bucket
+    n, width = len(data), 8
+    padded = np.concatenate([data, np.zeros(8, np.uint8)])
+    ids = np.unique(np.ndarray((n,), "<u8", padded.tobytes(), strides=(1,)), return_inverse=True)[1].astype(np.int64)
+    while width < length:
+        step = min(width, length - width)
+        later = np.concatenate([ids[step:] + 1, np.zeros(min(step, n), np.int64)])
+        top = int(ids.max(initial=0)) + 2
+        shared = np.flatnonzero(np.bincount(ids, minlength=1)[ids] > 1)
+        ids[shared] = top + np.unique(ids[shared] * top + later[shared], return_inverse=True)[1]
+        width += step
+    named = group.astype(np.int64) * (int(ids.max(initial=0)) + 1) + ids[starts]
+    bucket, size = np.unique(named, return_inverse=True, return_counts=True)[1:]
+    shared = size[bucket] > 1
+    return np.flatnonzero(shared), bucket[shared].astype(np.int64)
 
 
 def _sort(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
@@ -248,7 +260,19 @@ def _sort(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
         yield settled(part)
 
 
-def _fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _halves(a: dict, raw: bytes, length: int, gram: int) -> Iterator[tuple[int, int, int, bytes]]:
+    """Key, start, strings and bytes of the two halves of a run: those with much after the gram, those with much before it."""
+    held = (length - gram) // 2  # bytes that all strings of a half share on its side, at least
+    at = a["open"] - 1 + int(np.flatnonzero(_grams(raw, gram)[a["open"] - 1 :].view(np.int64) == a["g"])[0])
+    early = min(max(at - held, 0), a["open"])  # strings that start so far before the gram
+    key = lambda side, context: xxhash.xxh64_intdigest(context, (2 * a["g"] + side) & (1 << 64) - 1) - (1 << 63)
+    if early:
+        yield key(0, raw[at - held : at]), a["start"], early, raw[: early + length - 1]
+    if early < a["open"]:
+        yield key(1, raw[at + gram : at + gram + held]), a["start"] + early, a["open"] - early, raw[early:]
+
+
+def _fetch(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator[pa.RecordBatch]:
     """The bytes of the runs that are asked for, some thousands at a time."""
     out: list[tuple] = []
 
@@ -261,8 +285,10 @@ def _fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for i in range(len(batch)):
             doc, tag, raw = batch.column(0)[i].as_py(), batch.column(1)[i].as_py(), batch.column(2)[i].as_buffer().to_pybytes()
             for a in batch.column(3)[i].values.to_pylist():
-                out.append((a["g"], doc, tag, a["start"], a["open"], raw[a["start"] : a["end"]]))
-                if len(out) == FETCHED:
+                run = raw[a["start"] : a["end"]]
+                for g, start, many, part in _halves(a, run, length, gram) if a["hot"] else ((a["g"], a["start"], a["open"], run),):
+                    out.append((g, doc, tag, start, many, part))
+                if len(out) >= FETCHED:
                     yield some()
     if out:
         yield some()
@@ -274,19 +300,22 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", len
         raise ValueError("strings have 32 to 64 bytes, grams 8 to 16")
     doc = F.coalesce(docs[id_col].cast("long"), F.lit(NO_ID))
     text = no_null(docs[text_col])
-    tag = F.xxhash64(text).bitwiseAND(F.lit(0x7FFF))  # tells rows with one id but different texts apart
+    tag = F.xxhash64(text).bitwiseAND(F.lit(TAG))  # tells rows with one id but different texts apart
     own = [f"__c{i}" for i in range(len(docs.columns))]  # no name of docs can clash with ours
     body = own[docs.columns.index(text_col)]
     keyed = docs.select(doc.alias("__doc"), tag.alias("__tag"), *[docs[c].alias(o) for o, c in zip(own, docs.columns)])
     rows = docs.select(doc.alias("doc"), text.alias("text"), tag.alias("tag")).where(F.octet_length("text") >= length)
-    every = rows.mapInArrow(lambda b: _rows(b, length, gram), "g long, c long, doc long, place long")
-    met = save(every.repartition("g").sortWithinPartitions("g", "c", "doc").mapInArrow(lambda b: _meet(b, length), "g long, doc long, tag long, start long, end long, open long"))
-    asked = met.where("open > 0").groupBy("doc", "tag").agg(F.collect_list(F.struct("g", "start", "end", "open")).alias("asked"))
+    every = rows.mapInArrow(trimmed(lambda b: _rows(b, length, gram)), "g long, c long, doc long, place long")
+    met = save(every.repartition("g").sortWithinPartitions("g", "c", "doc").mapInArrow(trimmed(lambda b: _meet(b, length)), "g long, doc long, tag long, start long, end long, open long"))
+    opened = met.where("open > 0")
+    hot = cut(opened.groupBy("g").agg(F.count("*").alias("n")).where(F.col("n") > HOT).select("g", F.lit(True).alias("hot")))
+    opened = opened.join(small(hot, hot.count()), "g", "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
+    asked = opened.groupBy("doc", "tag").agg(F.collect_list(F.struct("g", "start", "end", "open", "hot")).alias("asked"))
     at = (F.col("__doc") == F.col("doc")) & (F.col("__tag") == F.col("tag"))
     # all columns go along, so that both joins with keyed read one and the same exchange of the texts
     wanted = keyed.join(asked, at).select("doc", "tag", F.col(body).alias("text"), "asked", *[o for o in own if o != body])
-    fetched = wanted.mapInArrow(_fetch, "g long, doc long, tag long, start long, many long, raw binary")
-    sorted_out = fetched.repartition("g").sortWithinPartitions("g").mapInArrow(lambda b: _sort(b, length), "doc long, tag long, start long, end long")
+    fetched = wanted.mapInArrow(trimmed(lambda b: _fetch(b, length, gram)), "g long, doc long, tag long, start long, many long, raw binary")
+    sorted_out = fetched.repartition("g").sortWithinPartitions("g").mapInArrow(trimmed(lambda b: _sort(b, length)), "doc long, tag long, start long, end long")
     places = met.where("open = 0").select("doc", "tag", "start", "end").union(sorted_out)
     removed = places.groupBy("doc", "tag").agg(F.array_sort(F.collect_set(F.struct("start", "end"))).alias("__removed"))
     return keyed.join(removed, at, "left").select(*[F.col(o).alias(c) for o, c in zip(own, docs.columns)], "__removed")
@@ -317,7 +346,7 @@ def digest(found: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
             yield pa.record_batch([batch.column(0), *[pa.array(x, pa.int64()) for x in cols[:3]], pa.array(cols[3], pa.string())], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
     rows = found.select(found[id_col].alias("doc_id"), found[text_col].alias("text"), "__removed")
-    return rows.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return rows.mapInArrow(trimmed(run), f"doc_id {dict(rows.dtypes)['doc_id']}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH) -> DataFrame:
@@ -334,4 +363,4 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             kept = pa.array(texts, batch.schema.field(at).type)
             yield pa.record_batch([kept if i == at else c for i, c in enumerate(batch.columns) if i != last], names=names)
 
-    return found.mapInArrow(run, docs.schema)
+    return found.mapInArrow(trimmed(run), docs.schema)

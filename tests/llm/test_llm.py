@@ -231,8 +231,9 @@ def cut_out(rows, length=50):
     return out
 
 
-@pytest.mark.parametrize("chunk,records", [(1 << 21, 10_000), (300, 7)])
-def test_suffix_dedup_against_brute_force(spark, monkeypatch, chunk, records):
+@pytest.mark.parametrize("chunk,records,hot", [(1 << 21, 10_000, 500), (300, 7, 0)])
+def test_suffix_dedup_against_brute_force(spark, monkeypatch, chunk, records, hot):
+    monkeypatch.setattr(suffixes, "HOT", hot)
     monkeypatch.setattr(suffixes, "CHUNK", chunk)
     monkeypatch.setattr(suffixes, "SORTED", chunk)
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(records))
