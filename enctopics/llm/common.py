@@ -95,10 +95,10 @@ def let(value: Column, body: Callable[[Column], Column]) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
-def save(df: DataFrame) -> DataFrame:
+def save(df: DataFrame, compression: str = "snappy") -> DataFrame:
     """df as a table in the shared folder: like cut(), with columns compressed, for the larger intermediate results."""
     path = f"{shared_folder(df.sparkSession).rstrip('/')}/{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("compression", compression).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 

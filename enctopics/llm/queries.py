@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from enctopics.llm import audio, chat, decontaminate, langid, packing, sharding, simhash, suffixes, token_counts, toxicity
-from enctopics.llm.common import cut, documents, narrow, remainder, word_bpe
+from enctopics.llm.common import cut, documents, narrow, remainder, save, word_bpe
 
 
 def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -32,15 +32,16 @@ def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Three edits a document, at places and of kinds that its id and their number give."""
-    docs = documents(spark, sf_dir)
-    draw = lambda what, k, n: F.pmod(F.xxhash64("doc_id", F.lit(what), F.lit(k)), n)
-    said = F.array(*map(F.lit, ["", " edited", "\n\n", "x", "  two  spaces ", "'s 12,5 %"]))
-    edits = F.array(*[F.struct(F.lit(k).alias("seq"), draw("start", k, F.length("text") + 1).alias("start"), draw("n_delete", k, F.lit(40)).alias("n_delete"), F.element_at(said, (draw("said", k, F.lit(6)) + 1).cast("int")).alias("inserted")) for k in range(3)])
+    """Trees of all documents, kept, then a batch of three edits a document, at places and of kinds that its id and their number give."""
     import public_tokenizers
 
-    counted = token_counts.count_tokens(docs.withColumn("edits", edits), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
-    return counted.select("doc_id", "n_tokens", "n_tokens_after", "n_chars_after", F.size("leaf_tokens").alias("n_leaves"), "chars_reencoded")
+    vocabulary = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
+    kept = save(token_counts.trees(documents(spark, sf_dir), *vocabulary), "zstd")
+    draw = lambda what, k, n: F.pmod(F.xxhash64("doc_id", F.lit(what), F.lit(k)), n)
+    said = F.array(*map(F.lit, ["", " edited", "\n\n", "x", "  two  spaces ", "'s 12,5 %"]))
+    edits = F.array(*[F.struct(F.lit(k).alias("seq"), draw("start", k, F.col("n_chars") + 1).alias("start"), draw("n_delete", k, F.lit(40)).alias("n_delete"), F.element_at(said, (draw("said", k, F.lit(6)) + 1).cast("int")).alias("inserted")) for k in range(3)])
+    after = token_counts.edited(kept.withColumn("edits", edits), *vocabulary)
+    return after.select("doc_id", F.col("n_tokens_before").alias("n_tokens"), F.col("n_tokens").alias("n_tokens_after"), F.col("n_chars").alias("n_chars_after"), F.size("leaf_tokens").alias("n_leaves"), "chars_reencoded")
 
 
 def op6_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,6 +6,9 @@ sums over subtrees. An edit goes down the tree by characters, takes the leaves t
 either side (whether a cut is one depends on the characters next to it), encodes these anew and updates the sums
 above them; the rest of the text isn't read again. The count equals that of the whole edited text.
 
+trees() gives a table with the leaves of each document and their counts, which is kept; edited() takes such a table and
+a batch of edits, and gives the table for the next batch. Texts are encoded whole once, when they come in.
+
 Nulls: a null text is empty, null edits are none, an edit beyond the end is moved to the end. Edits of a document
 apply one after the other; ties in their order go by start, then length, then text. Repeated rows each get a row.
 An empty table gives no rows. Other columns are ignored.
@@ -22,9 +25,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import free_name, narrow
+from enctopics.llm.common import free_name, narrow, trimmed
 
 LEAF = 512
+#: Texts whose trees are held at once.
+ROWS = 256
 _CUT = re.compile(r"(?<=\S)(?= \S)")
 EDITS = "array<struct<seq:int,start:bigint,n_delete:bigint,inserted:string>>"
 
@@ -53,10 +58,11 @@ def leaves(text: str, size: int = LEAF) -> list[str]:
 class TokenTree:
     """Leaves of one text, with sums of characters and tokens over a complete binary tree."""
 
-    def __init__(self, text: str, encode):
+    def __init__(self, text: str | list[str], encode, counts: list[int] | None = None):
+        """Of a text, or of kept leaves and their counts, which are taken as they are."""
         self.encode, self.reencoded = encode, 0
-        self.leaves = leaves(text)
-        self.counts = [self._count(x) for x in self.leaves]
+        self.leaves = leaves(text) if counts is None else list(text)
+        self.counts = [self._count(x) for x in self.leaves] if counts is None else list(counts)
         self._grow()
         self.reencoded = 0
 
@@ -132,23 +138,45 @@ def with_edits(docs: DataFrame, edits: DataFrame, id_col: str = "doc_id", edits_
     return docs.drop(edits_col).join(listed, docs[id_col].eqNullSafe(listed[name]), "left").drop(name)
 
 
-def count_tokens(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", edits_col: str = "edits") -> DataFrame:
-    """doc_id, n_tokens, n_tokens_after, n_chars_after, leaf_chars and leaf_tokens after the edits, chars_reencoded."""
+TREE = ["leaves", "leaf_tokens", "n_tokens", "n_chars"]
+_TREE = "leaves array<string>, leaf_tokens array<int>, n_tokens long, n_chars long"
+
+
+def _columns(rows: list[TokenTree]) -> list[pa.Array]:
+    lists = [pa.array([t.leaves for t in rows], pa.list_(pa.string())), pa.array([t.counts for t in rows], pa.list_(pa.int32()))]
+    return [*lists, pa.array([t.total for t in rows], pa.int64()), pa.array([t.length for t in rows], pa.int64())]
+
+
+def trees(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, leaves, leaf_tokens, n_tokens, n_chars: the segment tree of each text, as its leaves."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encode = encoder(ranks, pattern).encode_ordinary
+        for batch in batches:
+            for at in range(0, batch.num_rows, ROWS):
+                made = [TokenTree(t.as_py() or "", encode) for t in batch.column(1)[at : at + ROWS]]
+                yield pa.record_batch([batch.column(0)[at : at + ROWS], *_columns(made)], ["doc_id", *TREE])
+
+    rows = narrow(docs, doc_id=id_col, text=text_col)
+    return rows.mapInArrow(trimmed(run), f"doc_id {dict(rows.dtypes)['doc_id']}, {_TREE}")
+
+
+def edited(kept: DataFrame, ranks: str, pattern: str, edits_col: str = "edits") -> DataFrame:
+    """The table of trees after the edits of each row, with n_tokens_before and chars_reencoded: characters of the leaves that were encoded anew."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = encoder(ranks, pattern).encode_ordinary
         for batch in batches:
-            out = []
-            for t, edits in zip(batch.column(1), batch.column(2)):
-                tree = TokenTree(t.as_py() or "", encode)
-                before = tree.total
-                for e in edits.as_py() or ():
-                    if e:
-                        tree.edit(e["start"] or 0, e["n_delete"] or 0, e["inserted"] or "")
-                out.append((before, tree.total, tree.length, list(map(len, tree.leaves)), tree.counts, tree.reencoded))
-            cols = list(zip(*out)) if out else [()] * 6
-            kinds = [pa.int64()] * 3 + [pa.list_(pa.int32())] * 2 + [pa.int64()]
-            yield pa.record_batch([batch.column(0), *[pa.array(c, k) for c, k in zip(cols, kinds)]], ["doc_id", "n_tokens", "n_tokens_after", "n_chars_after", "leaf_chars", "leaf_tokens", "chars_reencoded"])
-
-    rows = narrow(docs, doc_id=id_col, text=text_col, edits=edits_col)
-    return rows.mapInArrow(run, f"doc_id {dict(rows.dtypes)['doc_id']}, n_tokens long, n_tokens_after long, n_chars_after long, leaf_chars array<int>, leaf_tokens array<int>, chars_reencoded long")
+            for at in range(0, batch.num_rows, ROWS):
+                ids, texts, counts, edits = (c[at : at + ROWS] for c in batch.columns)
+                made = [TokenTree(x.as_py(), encode, n.as_py()) for x, n in zip(texts, counts)]
+                before = [t.total for t in made]
+                for tree, es in zip(made, edits):
+                    for e in es.as_py() or ():
+                        if e:
+                            tree.edit(e["start"] or 0, e["n_delete"] or 0, e["inserted"] or "")
+                more = [pa.array(before, pa.int64()), pa.array([t.reencoded for t in made], pa.int64())]
+                yield pa.record_batch([ids, *_columns(made), *more], ["doc_id", *TREE, "n_tokens_before", "chars_reencoded"])
+
+    rows = kept.select("doc_id", "leaves", "leaf_tokens", edits_col)
+    return rows.mapInArrow(trimmed(run), f"doc_id {dict(rows.dtypes)['doc_id']}, {_TREE}, n_tokens_before long, chars_reencoded long")

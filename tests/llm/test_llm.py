@@ -294,9 +294,34 @@ def test_counts_of_odd_rows(spark, odd, none):
 
     args = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
     edits = spark.createDataFrame([(2, 1, 3, 2, "zz"), (2, 0, 99999, 5, None), (7, 0, 0, 0, "x")], "doc_id long, seq int, start long, n_delete long, inserted string")
-    got = token_counts.count_tokens(token_counts.with_edits(odd, edits), *args).collect()
+    got = token_counts.edited(token_counts.with_edits(token_counts.trees(odd, *args), edits), *args).collect()
     assert len(got) == 6 and {r.n_tokens for r in got if r.doc_id in (None, 1, 3)} == {0}
-    assert token_counts.count_tokens(token_counts.with_edits(none, edits), *args).isEmpty()
+    assert token_counts.edited(token_counts.with_edits(token_counts.trees(none, *args), edits), *args).isEmpty()
+    named = token_counts.with_edits(odd.withColumn("edits", F.lit(1)).withColumn("edits_of", F.lit(2)), edits)
+    assert {*named.columns} == {*odd.columns, "edits_of", "edits"} and named.where("doc_id = 1 AND edits IS NULL").count() == 1
+
+
+def test_kept_trees_take_one_batch_of_edits_after_the_other(spark, tmp_path):
+    import public_tokenizers
+
+    args = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
+    encode = token_counts.encoder(*args).encode_ordinary
+    rng, now = random.Random(4), dict(enumerate(["some words to count " * 400, *texts(12)]))
+    kept = token_counts.trees(frame(spark, list(now.values())), *args)
+    for batch in range(3):
+        kept.write.parquet(f"{tmp_path}/{batch}")
+        kept = spark.read.parquet(f"{tmp_path}/{batch}")
+        edits = []
+        for i, t in now.items():
+            for seq in range(rng.randrange(3)):
+                at, n, said = rng.randint(0, len(t)), rng.choice([0, 3, 70]), rng.choice(["", " x", "more words ", "\n"])
+                edits.append((i, seq, at, n, said))
+                t = t[:at] + said + t[at + n :]
+            now[i] = t
+        kept = token_counts.edited(token_counts.with_edits(kept, spark.createDataFrame(edits, "doc_id long, seq int, start long, n_delete long, inserted string")), *args)
+        got = {r.doc_id: r for r in kept.collect()}
+        assert all("".join(got[i].leaves) == t and got[i].n_tokens == len(encode(t)) and got[i].n_chars == len(t) for i, t in now.items())
+        assert got[0].chars_reencoded < 4000
 
 
 # 6
