@@ -3,7 +3,8 @@
 Samples become overlapping frames, their spectra 12 pitch classes. Sixteen rectangle filters over the integral image
 of these, each as wide as its place in WIDTHS says, compare the logarithms of two areas; two bits of each make one 32-bit
 integer a frame. Recordings share integers where they sound alike: for two recordings, a histogram of the
-differences of places finds their offset, and the share of unequal bits over the overlap decides.
+differences of places finds their offset, and the share of unequal bits over the overlap decides. Only offsets count at
+which OVERLAP frames, or all of the shorter recording, lie over each other: fewer frames agree by chance.
 
 Recordings of one fingerprint form a class, and are compared once. Integers meet in an index where one
 of three blocks of their bits is equal: cuts between two frames and noise leave few integers as they were, while blocks
@@ -28,7 +29,7 @@ from enctopics.llm.common import cut, narrow, small
 
 RATE, FRAME, HOP, SPAN = 4000, 1024, 256, 12
 WIDTHS, EDGES = (2, 4, 8, 12), (-0.25, 0.0, 0.25)
-ERROR, VOTES = 0.25, 2
+ERROR, VOTES, OVERLAP = 0.25, 2, 16
 #: First bit and width of the blocks under which integers meet; cells of a histogram that is kept whole.
 BLOCKS, DENSE = ((0, 11), (11, 11), (22, 10)), 1 << 22
 
@@ -148,8 +149,16 @@ class _Index:
         self.owner = np.repeat(np.arange(len(recordings)), self.size)
         self.place = np.arange(len(self.frames)) - self.first[self.owner]
         orders = [np.argsort(k, kind="stable") for k in _keys(self.frames)]
+        self.masks: dict[int, np.ndarray] = {}  # cells of the histogram with enough overlap, for queries of one length
         self.sorted = [(k[o], o) for k, o in zip(_keys(self.frames), orders)]
 
+    def over(self, n_query: int, owner: np.ndarray, offset: np.ndarray) -> np.ndarray:
+        """Frames of a query that lie over frames of each owner at its offset."""
+        return np.minimum(n_query - np.maximum(-offset, 0), self.size[owner] - np.maximum(offset, 0))
+
+    def enough(self, n_query: int, owner: np.ndarray, offset: np.ndarray) -> np.ndarray:
+        return self.over(n_query, owner, offset) >= np.minimum(OVERLAP, np.minimum(n_query, self.size[owner]))
+
     def best(self, query: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Recordings that share a key with the query, the offset with most votes (then the least), its votes."""
         hits, froms = [], []
@@ -164,18 +173,23 @@ class _Index:
         code = self.owner[hit] * wide + self.place[hit] - start + len(query)
         if len(self.size) * wide <= DENSE:
             votes = np.bincount(code, minlength=len(self.size) * wide).reshape(-1, wide)
+            if len(query) not in self.masks:
+                self.masks = {len(query): self.enough(len(query), np.arange(len(self.size))[:, None], np.arange(wide) - len(query))}
+            votes *= self.masks[len(query)]
             at = votes.argmax(axis=1)
             most = votes[np.arange(len(at)), at]
             owner = np.flatnonzero(most)
             return owner, at[owner] - len(query), most[owner]
         code, votes = np.unique(code, return_counts=True)
+        far = self.enough(len(query), code // wide, code % wide - len(query))
+        code, votes = code[far], votes[far]
         code, votes = (x[np.lexsort((code, -votes, code // wide))] for x in (code, votes))
         owner, at = np.unique(code // wide, return_index=True)
         return owner, code[at] % wide - len(query), votes[at]
 
     def wrong(self, query: np.ndarray, owner: np.ndarray, offset: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Unequal bits, and frames, of the overlap of the query with each owner at its offset."""
-        n = np.minimum(len(query) - np.maximum(-offset, 0), self.size[owner] - np.maximum(offset, 0))
+        n = self.over(len(query), owner, offset)
         bits = np.zeros(len(owner), np.int64)
         start = self.first[owner] + np.maximum(offset, 0)
         run = max(1, DENSE // max(1, int(n.max(initial=1))))
@@ -200,6 +214,8 @@ def _blocks(rows: DataFrame, name: str, frames: int) -> tuple[DataFrame, int]:
 def align(prints: DataFrame, queries: DataFrame, error: float = ERROR, votes: int = VOTES) -> DataFrame:
     """query_id (a class), class_id, copies, offset, votes, bit_error, n_frames: classes that sound like the query's.
 
+    Queries and recordings meet in blocks, the stated queries against all rows.
+
     Of each two the offset with most votes, then the least offset, counts; the query's own class isn't listed.
     """
     every = cut(classes(prints))

@@ -184,7 +184,7 @@ def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, id_col: str
     parts = spark.createDataFrame([(x, -(-n // part)) for x, n in histogram.items()], "length long, parts int")
     dealt = found.join(F.broadcast(parts), "length").withColumn("part", F.pmod(F.xxhash64("row"), F.col("parts")))
     before = Window.partitionBy("length").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    bases = dealt.groupBy("length", "part").count().select("length", "part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("base"))
+    bases = dealt.groupBy("length", "part").count().select("length", "part", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("base"))  # PARTS rows and one a length at most
     inside = Window.partitionBy("length", "part").orderBy("doc_id", "piece", "row")
     ranked = dealt.withColumn("n", F.row_number().over(inside)).join(F.broadcast(bases), ["length", "part"]).select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("base") + F.col("n") - 1).alias("rank"))
     table = np.array(steps, np.int64).reshape(-1, 6)

@@ -3,8 +3,9 @@
 A size-weighted sample of hashed keys gives quantile boundaries. They cut the key space into many more
 ranges than shards; ranges that turn out overfull (one hot key, or an unlucky sample) are subdivided by row.
 Exact sizes of the ranges, summed in order, then place every row by the middle of its own extent, so a shard
-differs from the mean by at most about one row. Equal texts have equal keys and stay together unless their
-group is overfull.
+differs from the mean by at most about one row. Equal texts have equal keys and lie next to each other; their group is
+split where a border between two shards falls into it, and where it is overfull or has more than ROWS_A_RANGE rows,
+since sizes come first.
 
 Nulls: a null text counts as no bytes, null ids are ordinary rows. Repeated rows each get a slot of their own.
 An empty table gives an empty result. Other columns of the input are ignored.
@@ -15,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import cut, narrow, no_null
+from enctopics.llm.common import cut, narrow, no_null, small
 
 #: Fewest ranges a shard is made of, most ranges in all, rows a range should have, sampled keys a range.
 RANGES_A_SHARD, MOST_RANGES, ROWS_A_RANGE, SAMPLES_A_RANGE = 32, 4096, 50_000, 8
@@ -55,14 +56,14 @@ def shard(docs: DataFrame, n_shards: int = 24, balance: str = "bytes", id_col: s
     placed = rows.withColumn("range", _below(F.col("key"), bounds))
 
     even = max(1, total // ranges)
-    parts = placed.groupBy("range").agg(F.greatest(F.lit(1), F.ceil(F.sum("weight") / (2 * even))).alias("parts"))
+    parts = placed.groupBy("range").agg(F.greatest(F.lit(1), F.ceil(F.sum("weight") / (2 * even)), F.ceil(F.count("*") / ROWS_A_RANGE)).alias("parts"))
     placed = placed.join(F.broadcast(parts), "range").withColumn(
         "part", F.when(F.col("parts") > 1, F.pmod(F.xxhash64("row"), F.col("parts"))).otherwise(F.lit(0))
     )
 
     in_order = Window.orderBy("range", "part")
     before = in_order.rowsBetween(Window.unboundedPreceding, -1)
-    extents = (
+    extents = cut(
         placed.groupBy("range", "part")
         .agg(F.sum("weight").alias("w"), F.count("*").alias("c"))
         .select("range", "part", F.coalesce(F.sum("w").over(before), F.lit(0)).alias("w0"), F.coalesce(F.sum("c").over(before), F.lit(0)).alias("c0"))
@@ -70,7 +71,7 @@ def shard(docs: DataFrame, n_shards: int = 24, balance: str = "bytes", id_col: s
     inside = Window.partitionBy("range", "part").orderBy("key", "doc_id", "row")
     mass = F.col("w0") + F.sum("weight").over(inside.rowsBetween(Window.unboundedPreceding, 0))
     dealt = cut(
-        placed.join(F.broadcast(extents), ["range", "part"])
+        placed.join(small(extents, extents.count()), ["range", "part"])
         .withColumn("index", F.col("c0") + F.row_number().over(inside) - 1)
         .withColumn("twice", 2 * mass - F.col("weight"))
         .select("doc_id", "size", "text_crc32", "index", F.expr(f"cast(least({n_shards - 1}, twice * {n_shards} div (2 * {total})) as int)").alias("shard"))

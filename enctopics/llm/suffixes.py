@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import cut, no_null, save, small, trimmed
+from enctopics.llm.common import cut, free_name, no_null, save, small, trimmed
 
 LENGTH, GRAM = 50, 16
 #: Bytes of text that are hashed at once and that are settled before the shuffle, bytes of runs that are sorted at once, runs that are fetched at once, open runs of a gram that one task may sort.
@@ -294,8 +294,8 @@ def _fetch(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterato
         yield some()
 
 
-def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """The columns of docs and `__removed`: start and end of what is to go, in bytes, in order and apart from each other."""
+def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, gram: int = GRAM, name: str = "__removed") -> DataFrame:
+    """The columns of docs and, under name, start and end of what is to go, in bytes, in order and apart from each other."""
     if not 32 <= length <= 64 or not 8 <= gram <= 16:
         raise ValueError("strings have 32 to 64 bytes, grams 8 to 16")
     doc = F.coalesce(docs[id_col].cast("long"), F.lit(NO_ID))
@@ -317,8 +317,8 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", len
     fetched = wanted.mapInArrow(trimmed(lambda b: _fetch(b, length, gram)), "g long, doc long, tag long, start long, many long, raw binary")
     sorted_out = fetched.repartition("g").sortWithinPartitions("g").mapInArrow(trimmed(lambda b: _sort(b, length)), "doc long, tag long, start long, end long")
     places = met.where("open = 0").select("doc", "tag", "start", "end").union(sorted_out)
-    removed = places.groupBy("doc", "tag").agg(F.array_sort(F.collect_set(F.struct("start", "end"))).alias("__removed"))
-    return keyed.join(removed, at, "left").select(*[F.col(o).alias(c) for o, c in zip(own, docs.columns)], "__removed")
+    removed = places.groupBy("doc", "tag").agg(F.array_sort(F.collect_set(F.struct("start", "end"))).alias("__gone"))
+    return keyed.join(removed, at, "left").select(*[F.col(o).alias(c) for o, c in zip(own, docs.columns)], F.col("__gone").alias(name))
 
 
 def keep(text: bytes, removed: list) -> tuple[bytes, int]:
@@ -351,8 +351,8 @@ def digest(found: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
 
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH) -> DataFrame:
     """docs with the repeated strings cut out of the texts; characters that are cut in two go as a whole."""
-    found = repeats(docs, id_col, text_col, length)
-    at, last, names = found.columns.index(text_col), found.columns.index("__removed"), list(docs.columns)
+    found = repeats(docs, id_col, text_col, length, name=free_name(docs, "removed"))
+    at, last, names = found.columns.index(text_col), len(docs.columns), list(docs.columns)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -212,6 +212,46 @@ def test_contamination_of_odd_rows(spark, odd, none):
     assert decontaminate.contamination(none, bench).isEmpty() and decontaminate.contamination(odd, bench.limit(0)).isEmpty()
 
 
+def test_multi_index_finds_what_is_similar(spark):
+    """Recall of the index: items with random edits, down to a similarity of 0.8."""
+    from collections import Counter
+
+    rng = random.Random(77)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(5))
+    items = [[word() for _ in range(rng.randint(25, 60))] for _ in range(12)]
+    shingles = lambda w: Counter(tuple(w[i : i + 5]) for i in range(len(w) - 4))
+    ts, want = [], set()
+    for _ in range(240):
+        j = rng.randrange(len(items))
+        w = list(items[j])
+        for _ in range(rng.choice([0, 1, 1, 2])):
+            w[rng.choice([0, 1, 2, len(w) - 2, len(w) - 1, rng.randrange(len(w))])] = word()
+        a, b = shingles(w), shingles(items[j])
+        if sum((a & b).values()) >= 0.8 * sum((a | b).values()):
+            want.add((len(ts), j))
+        ts.append(" ".join([*(word() for _ in range(9)), *w, *(word() for _ in range(9))]))
+    got = {(r.doc_id, r.item_id) for r in decontaminate.contamination(frame(spark, ts), spark.createDataFrame([(j, " ".join(w)) for j, w in enumerate(items)], "item_id long, text string")).collect()}
+    assert len(want) > 120 and got <= want | {(i, j) for i, j in got} and len(got & want) >= 0.98 * len(want) and not {i for i, _ in got} - {i for i, _ in want}
+
+
+def test_a_text_that_repeats_itself_is_no_trouble(spark):
+    bench = spark.createDataFrame([(1, "same " * 30), (2, "a b " * 100)], "item_id long, text string")
+    got = decontaminate.contamination(frame(spark, ["same " * 20_000, "a b " * 5_000, "Same " * 25]), bench).collect()
+    assert {(r.doc_id, r.item_id, r.start_word) for r in got} == {(0, 1, 0), (1, 2, 0), (2, 1, 0)}
+
+
+def test_stages_keep_columns_called_like_their_own(spark):
+    import corpus_pipeline
+
+    docs = frame(spark, ["same words here and there " * 5] * 2 + ["other things altogether " * 9])
+    for c in ("id", "_id", "copy", "__id", "__copy", "key", "__removed", "h"):
+        docs = docs.withColumn(c, F.lit(c))
+    bench = spark.createDataFrame([(1, "other things altogether " * 5)], "item_id long, text string")
+    assert decontaminate.clean(docs, bench).columns == docs.columns and decontaminate.clean(docs, bench).count() == 2
+    for kept in (similar.one_of_each(docs), simhash.one_of_each(docs), corpus_pipeline.suffix_dedup(spark, docs, "")):
+        assert kept.columns == docs.columns and {r["__copy"] for r in kept.collect()} == {"__copy"}
+
+
 # 4
 
 def cut_out(rows, length=50):
@@ -352,7 +392,7 @@ def test_recordings_that_are_cut_anywhere_or_noisy_are_found(spark, monkeypatch,
     prints = {i: audio.fingerprint(x) for i, x in sounds.items()}
 
     def error(q, f):
-        every = [(q[max(-d, 0) :], f[max(d, 0) :]) for d in range(8 - len(q), len(f) - 7)]
+        every = [(q[max(-d, 0) :], f[max(d, 0) :]) for d in range(16 - len(q), len(f) - 15)]
         return min(np.bitwise_count(a[: len(b)] ^ b[: len(a)]).mean() / 32 for a, b in every)
 
     brute = {(i, 100 * k + i) for i in range(12) for k in range(1, 7) if error(prints[i], prints[100 * k + i]) <= audio.ERROR}
@@ -366,6 +406,17 @@ def test_recordings_that_are_cut_anywhere_or_noisy_are_found(spark, monkeypatch,
         assert r.n_frames == min(len(a), len(b)) and abs(np.bitwise_count(a[: len(b)] ^ b[: len(a)]).mean() / 32 - r.bit_error) < 1e-6
 
 
+def test_unrelated_and_damaged_recordings_match_nothing(spark, none):
+    rng = np.random.default_rng(5)
+    rows = [(i, rng.normal(0, 0.2, 64).tolist()) for i in range(60)]
+    prints = audio.fingerprints(spark.createDataFrame(rows, "id long, v array<double>"), "id", "v", audio.melody)
+    assert audio.align(prints, prints.select(F.col("id").alias("class_id"))).isEmpty()
+    cells = spark.createDataFrame([(1, bytearray(b"RIFF")), (2, bytearray(b"")), (3, bytearray(b"no sound at all" * 9)), (4, None)], "id long, wav binary")
+    assert [r.frames for r in audio.fingerprints(cells, "id", "wav").collect()] == [[]] * 4
+    empty = audio.fingerprints(cells.limit(0), "id", "wav")
+    assert audio.align(empty, audio.class_of(empty).select("class_id").distinct()).isEmpty()
+
+
 def test_recordings_from_wav_and_odd_rows(spark):
     import io
     import wave
@@ -485,6 +536,23 @@ def test_toxic_scores(spark, lexicon, odd, none):
     assert {r.score for r in toxicity.score(odd, empty).collect()} == {0.0}
 
 
+def test_spelled_out_words_of_any_shape_and_length_are_read(lexicon):
+    read = toxicity.Reader(lexicon.model, lambda words: words)
+    for hidden in ("s t.u p.i d", "x s.t.u.p.i.d", "stupid" + "_stupid" * 20, "s t u p i d " * 20):
+        assert "stupid" in read(hidden), hidden
+    assert "a" * 300 + "b" in read("so " + "a" * 300 + "b")
+    long = "y o u s t u p i d " * 300
+    assert "stupid" in read(long) and len(toxicity.decode(long.strip(), lexicon.model, True)) >= len(long) // 2 - 1
+
+
+def test_toxicity_held_out(spark):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{n}.parquet") for n in ("documents", "labels"))
+    got = toxicity.score(docs, toxicity.learn(docs, labels.where(remainder(3) != 1))).join(labels, "doc_id").where(remainder(3) == 1).collect()
+    toxic, other = ([r.score for r in got if r.toxic == k] for k in (1, 0))
+    assert len(toxic) >= 5 and np.mean([(a > b) + (a == b) / 2 for a in toxic for b in other]) > 0.85
+    assert np.mean([s >= 0.7 for s in other]) < 0.05
+
+
 # 10
 
 @pytest.mark.parametrize("balance", ["bytes", "rows"])
