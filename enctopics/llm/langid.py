@@ -26,7 +26,7 @@ from enctopics.llm.common import narrow, trimmed
 DIMS, CENTROIDS, SAMPLE, ROUNDS = 1 << 13, 6, 4000, 12
 REJECT, QUANTILE, LEAST = 0.5, 0.01, 60
 #: Texts that are compared with the centroids at once; characters that are hashed at once.
-BLOCK, CHUNK = 256, 1 << 22
+BLOCK, CHUNK = 64, 1 << 18
 
 
 @cache

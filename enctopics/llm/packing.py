@@ -28,7 +28,7 @@ from enctopics.llm.common import cut, narrow, trimmed
 
 CAPACITY, END = 4096, 1
 #: Pieces of one length that are ranked together, at least, and parts of all lengths, at most, besides one a length; words and parts of words kept by a worker.
-PART, PARTS, KEPT = 1_000, 100_000, 1_000_000
+PART, PARTS, KEPT = 1_000, 100_000, 200_000
 #: Words of these characters alone are split as the tokenizer does by the pattern below; others go to the tokenizer.
 _PLAIN = re.compile(r"[!-~À-ÖØ-öø-ſ¡«»¿]+")
 _PARTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+")

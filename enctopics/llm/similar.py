@@ -35,18 +35,30 @@ from enctopics.llm.common import cut, first_copies, narrow, save, small, trimmed
 from enctopics.llm.components import components
 
 WORDS, SIMILARITY, SEED, RADIUS, LEAST = 5, 0.8, 42, 26, 32
-#: Cells of the sketch, in how many slices; keys of texts that a worker knows it has sent already.
-BUCKETS, SLICES, KNOWN = 1 << 21, 64, 200_000
+#: Cells of the sketch, in how many slices; keys of texts that a worker knows it has sent already; bytes that are split into words at once.
+BUCKETS, SLICES, KNOWN, CHUNK = 1 << 21, 64, 100_000, 1 << 18
 _ODD, _TURN = np.uint64(0x9E3779B97F4A7C15), np.uint64(29)
 
 
+def _pieces(text: bytes) -> Iterator[bytes]:
+    """A text in pieces of about CHUNK bytes, cut at white space."""
+    at = 0
+    while at < len(text):
+        end = at + CHUNK
+        while end < len(text) and text[end] not in b" \t\n\r\x0b\x0c":
+            end += 1
+        yield text[at:end]
+        at = end
+
+
 def shingles(text: bytes, k: int = WORDS) -> np.ndarray:
     """Hashes of the different runs of k words, in rising order."""
-    words = text.lower().split()
-    if len(words) < k:
+    parts = [np.array([xxhash.xxh64_intdigest(w, SEED) for w in piece.lower().split()], np.uint64) for piece in _pieces(text)]
+    hashes = np.concatenate(parts) if parts else np.zeros(0, np.uint64)
+    n = len(hashes) - k + 1
+    if n < 1:
+        words = text.lower().split()
         return np.array([xxhash.xxh64_intdigest(b" ".join(words), SEED)] if words else [], np.uint64)
-    hashes = np.array([xxhash.xxh64_intdigest(w, SEED) for w in words], np.uint64)
-    n = len(words) - k + 1
     out = np.zeros(n, np.uint64)
     for i in range(k):
         out = (out ^ hashes[i : i + n]) * _ODD

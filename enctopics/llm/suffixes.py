@@ -37,7 +37,7 @@ from enctopics.llm.common import cut, free_name, no_null, save, small, trimmed
 
 LENGTH, GRAM = 50, 16
 #: Bytes of text that are hashed at once and that are settled before the shuffle, bytes of runs that are sorted at once, runs that are fetched at once, open runs of a gram that one task may sort.
-CHUNK, SETTLED, SORTED, FETCHED, HOT = 1 << 19, 1 << 22, 1 << 19, 5_000, 500
+CHUNK, SETTLED, SORTED, FETCHED, HOT = 1 << 18, 1 << 21, 1 << 18, 2_000, 500
 NO_ID, TAG = (1 << 63) - 1, (1 << 26) - 1  # for a null id; what is kept of the hash of a text
 _BASE = 0x9E3779B97F4A7C15
 _TABLE = np.random.default_rng(7).integers(1, 1 << 63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
