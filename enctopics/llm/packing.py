@@ -44,7 +44,7 @@ def _bytes() -> dict[int, str]:
 
 
 class Encoder:
-    """Ids of a text as little-endian 32-bit bytes, equal to the tokenizer's; words are encoded once a worker."""
+    """Ids of a text as little-endian 32-bit bytes, equal to the tokenizer's; words are encoded once, as far as they are kept."""
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -73,6 +73,10 @@ class Encoder:
         got = self.words[word] = b"".join(map(self.part, _PARTS.findall(word.lower()))) if _PLAIN.fullmatch(word) else self.whole(word)
         return got
 
+    def forget(self) -> None:
+        self.words.clear()
+        self.parts.clear()
+
     def __call__(self, text: str) -> bytes:
         if _ODD.search(text) or self.added.search(text):
             return self.whole(text)
@@ -98,6 +102,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, id_col: st
             cols = list(zip(*out)) if out else [()] * 5
             ids_of = batch.column(0).take(pa.array(cols[0], pa.int64()))
             yield pa.record_batch([ids_of, pa.array(cols[1], pa.int32()), *[pa.array(c, pa.int64()) for c in cols[2:]]], ["doc_id", "piece", "start", "length", "ids_crc32"])
+        encode.forget()  # the worker goes on to other stages
 
     rows = narrow(docs, doc_id=id_col, text=text_col)
     return rows.mapInArrow(trimmed(run), f"doc_id {dict(rows.dtypes)['doc_id']}, piece int, start long, length long, ids_crc32 long")
