@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from enctopics.llm.common import narrow, trimmed
+from enctopics.llm.common import give_back, narrow, trimmed
 
 DIMS, CENTROIDS, SAMPLE, ROUNDS = 1 << 13, 6, 4000, 12
 REJECT, QUANTILE, LEAST = 0.5, 0.01, 60
@@ -119,14 +119,18 @@ def learn(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     chosen = chosen.groupBy("lang", "key").agg(F.first("text").alias("text")).select("lang", "key", "text")
     got: dict[str, list] = {}
     for r in chosen.mapInArrow(_vectors, "lang string, key long, places array<int>, hits array<int>").toLocalIterator():
-        tf = np.zeros(DIMS, np.float32)
-        tf[r["places"]] = r["hits"]
-        got.setdefault(r["lang"], []).append((r["key"], _weighted(tf, idf)))
+        got.setdefault(r["lang"], []).append((r["key"], np.array(r["places"], np.int32), np.array(r["hits"], np.int32)))
     langs, centroids, floor = sorted(got), [], []
     for lang in langs:
-        x = np.stack([v for _, v in sorted(got[lang], key=lambda kv: kv[0])])  # in one order, so that a run again learns the same
+        sample = sorted(got.pop(lang), key=lambda v: v[0])  # in one order, so that a run again learns the same
+        x = np.zeros((len(sample), DIMS), np.float32)
+        for row, (_, places, hits) in zip(x, sample):
+            row[places] = hits
+            row[:] = _weighted(row, idf)
         centroids.append(_k_means(x, CENTROIDS))
         floor.append(REJECT * np.quantile((x @ centroids[-1].T).max(axis=1), QUANTILE))
+        del x
+    give_back()
     owner = np.repeat(np.arange(len(langs)), [len(c) for c in centroids]) if langs else np.zeros(0, int)
     return Model(langs, idf, np.concatenate(centroids) if langs else np.zeros((0, DIMS), np.float32), owner, np.array(floor))
 

@@ -194,11 +194,11 @@ def _linked(docs: DataFrame, crowd: np.ndarray, parities: DataFrame, similarity:
     close = cut(met.where(F.col("before").isNotNull() & fits("n_before", "n", "fp_before", "fp")).select(F.col("before").alias("a"), F.col("key").alias("b")).distinct())
     links = cut(_alike(close, docs, similarity))
 
-    def still_open(rows: DataFrame, links: DataFrame) -> DataFrame:
+    def still_open(rows: DataFrame, labels: DataFrame) -> DataFrame:
         """rows with the label of their component, of the keys under which several components meet."""
-        labelled = rows.join(components(links).withColumnRenamed("node", "key"), "key", "left").withColumn("label", F.coalesce("label", "key"))
+        labelled = rows.join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("label", F.coalesce("label", "key"))
         several = labelled.groupBy("h").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("h")
-        return cut(labelled.join(several, "h", "left_semi"))
+        return labelled.join(several, "h", "left_semi").select("h", "key", "n", "fp", "label", *(["parity"] if "parity" in rows.columns else []))
 
     def apart(one: DataFrame, other: DataFrame, known: DataFrame) -> DataFrame:
         """Pairs a, b of rows under one key that aren't connected, can't be told apart yet and haven't been compared."""
@@ -211,15 +211,15 @@ def _linked(docs: DataFrame, crowd: np.ndarray, parities: DataFrame, similarity:
         return cut(met.select(F.least("key_a", "key_b").alias("a"), F.greatest("key_a", "key_b").alias("b")).distinct().join(known, ["a", "b"], "left_anti"))
 
     ordered = close.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    rows = still_open(met.select("h", "key", "n", "fp"), links).drop("label").join(parities, "key").select("h", "key", "n", "fp", "parity")
-    now = still_open(rows, links)
+    now = cut(still_open(met, components(links)).join(parities, "key"))
     degree = now.join(now.groupBy("h").agg(F.count("*").alias("size")), "h").groupBy("key").agg(F.sum("size").alias("degree"))
     pivots = now.join(degree, "key").groupBy("h").agg(F.max_by(F.struct("key", "n", "fp", "parity", "label"), F.struct("degree", "key")).alias("p")).select("h", "p.*")
     by_pivot = apart(now, pivots, ordered)
     links = cut(links.union(_alike(by_pivot, docs, similarity)).distinct())
-    now = still_open(rows, links)
-    rest = apart(now, now, ordered.union(by_pivot))
-    return components(links if rest.isEmpty() else links.union(_alike(rest, docs, similarity)))
+    labels = cut(components(links))
+    rest = cut(still_open(now.drop("label"), labels))
+    rest = apart(rest, rest, ordered.union(by_pivot))
+    return labels if rest.isEmpty() else components(links.union(_alike(rest, docs, similarity)))
 
 
 def near_duplicates(docs: DataFrame, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
