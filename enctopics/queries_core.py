@@ -9,7 +9,7 @@ from enctopics.config import Config
 from enctopics.functions import crypto
 from enctopics.operators import abstracts, baselines, centres, dynamic, index, kestimate, metrics, relate, search, tokens, vectors
 from enctopics.plans import batch, static
-from enctopics.registry import A, C10, N, OCC, P, SEP, TF, query
+from enctopics.registry import A, C10, N, OCC, P, SEP, TF, centres_sql, eligible_sql, query
 from enctopics.session import kept
 from enctopics.sources.tables import table
 from enctopics.streaming import stream
@@ -221,12 +221,12 @@ def uniqueness_vs_top(spark: SparkSession, d: str) -> DataFrame:
     return centres.uniqueness(a, a.join(F.broadcast(top_ten(a).select("tok")), "tok", "left_semi").select("doc_id"))
 
 
-@query("eligible_centres")
+@query("eligible_centres", f"WITH RECURSIVE {eligible_sql()} SELECT tok, new_docs, seen_docs, rank FROM el")
 def eligible_centres(spark: SparkSession, d: str) -> DataFrame:
     return centres.eligible(kept(trimmed(spark, d)))
 
 
-@query("centrality")
+@query("centrality", f"WITH RECURSIVE {centres_sql()} SELECT tok, new_docs, seen_docs, el.rank, round(q, 6) AS q, round(phi, 6) AS phi FROM sc el")
 def centrality(spark: SparkSession, d: str) -> DataFrame:
     a = kept(trimmed(spark, d))
     return rounded(centres.centrality(centres.eligible(a), kestimate.separation(a)), "q", "phi")
@@ -237,17 +237,21 @@ def _centres(a: DataFrame, zero: str = "unit", inclusive: bool = False) -> DataF
     return rounded(centres.choose(a, k, kestimate.separation(a), inclusive, zero), "phi")
 
 
-@query("centres")
+_CENTRES = "SELECT CAST(rank AS INT) AS rank, tok, new_docs, seen_docs, round(phi, 6) AS phi FROM ce"
+_INFINITE = "CASE WHEN seen_docs > 0 THEN new_docs / seen_docs * q * (1 - q) WHEN q * (1 - q) = 0 THEN 0 ELSE CAST('inf' AS DOUBLE) END"
+
+
+@query("centres", f"WITH RECURSIVE {centres_sql()} {_CENTRES}")
 def chosen_centres(spark: SparkSession, d: str) -> DataFrame:
     return _centres(kept(trimmed(spark, d)))
 
 
-@query("centres_infinite")
+@query("centres_infinite", f"WITH RECURSIVE {centres_sql(phi=_INFINITE)} {_CENTRES}")
 def centres_infinite(spark: SparkSession, d: str) -> DataFrame:
     return _centres(kept(trimmed(spark, d)), "infinite")
 
 
-@query("centres_inclusive")
+@query("centres_inclusive", f"WITH RECURSIVE {centres_sql('>=')} {_CENTRES}")
 def centres_inclusive(spark: SparkSession, d: str) -> DataFrame:
     return _centres(kept(trimmed(spark, d)), inclusive=True)
 
@@ -584,7 +588,11 @@ def baseline_fixed_ten(spark: SparkSession, d: str) -> DataFrame:
     return baselines.fixed_k(kept(trimmed(spark, d)))
 
 
-@query("baseline_prior")
+_PRIOR = centres_sql() + """, c AS MATERIALIZED (SELECT tok AS centre, rank FROM ce),
+    met AS (SELECT c.centre, t.tok, count(*) AS co FROM c JOIN a x ON x.tok = c.centre JOIN a t ON t.doc_id = x.doc_id WHERE t.tok NOT IN (SELECT centre FROM c) GROUP BY c.centre, t.tok)"""
+
+
+@query("baseline_prior", f"WITH RECURSIVE {_PRIOR} {_ASSIGN.format(edges='met', score='co')}")
 def baseline_prior(spark: SparkSession, d: str) -> DataFrame:
     return baselines.prior_encrypted(kept(trimmed(spark, d)))
 

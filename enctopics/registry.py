@@ -46,3 +46,19 @@ C10 = A + """, c AS MATERIALIZED (SELECT tok AS centre, row_number() OVER (ORDER
         met AS MATERIALIZED (SELECT c.centre, t.tok, t.doc_id, x.f AS fc, t.f FROM c JOIN a x ON x.tok = c.centre JOIN a t ON t.doc_id = x.doc_id WHERE t.tok NOT IN (SELECT centre FROM c)),
         agg AS MATERIALIZED (SELECT centre, tok, count(*) AS co, CAST(sum(f) AS BIGINT) AS a, CAST(sum(fc) AS BIGINT) AS b, CAST(sum(f * f) AS BIGINT) AS w, CAST(sum(f * f * fc) AS BIGINT) AS g, CAST(sum(fc * fc) AS BIGINT) AS wc FROM met GROUP BY centre, tok),
         rel AS MATERIALIZED (SELECT centre, tok, co, (g / (a * b) - CASE WHEN t.tf > a THEN (t.tf2 - w) / (t.tf - a) ELSE 0 END) / t.tf AS r FROM agg JOIN ast t USING (tok))"""
+
+#: The walk over tokens by rank, one row a step, with the documents covered so far; {more} is > or >=.
+WALK = """tk AS MATERIALIZED (SELECT row_number() OVER (ORDER BY count(*) DESC, tok) AS rank, tok, list(doc_id) AS docs FROM a GROUP BY tok),
+        w AS (SELECT CAST(0 AS BIGINT) AS rank, CAST(NULL AS VARCHAR) AS tok, CAST([] AS BIGINT[]) AS covered, CAST(0 AS BIGINT) AS new_docs, CAST(0 AS BIGINT) AS seen_docs, false AS kept
+            UNION ALL SELECT rank, tok, CASE WHEN new_docs {more} seen_docs THEN list_distinct(list_concat(covered, docs)) ELSE covered END, new_docs, seen_docs, new_docs {more} seen_docs
+            FROM (SELECT t.rank, t.tok, t.docs, w.covered, len(t.docs) - len(list_intersect(t.docs, w.covered)) AS new_docs, len(list_intersect(t.docs, w.covered)) AS seen_docs FROM w JOIN tk t ON t.rank = w.rank + 1)),
+        el AS MATERIALIZED (SELECT tok, new_docs, seen_docs, rank FROM w WHERE kept)"""
+
+
+def eligible_sql(more: str = ">") -> str:
+    return f"{SEP}, {WALK.format(more=more)}"
+
+
+def centres_sql(more: str = ">", phi: str = "new_docs / greatest(seen_docs, 1) * q * (1 - q)") -> str:
+    return eligible_sql(more) + f""", sc AS MATERIALIZED (SELECT el.*, q, {phi} AS phi FROM el JOIN sep USING (tok)),
+        ce AS MATERIALIZED (SELECT row_number() OVER (ORDER BY round(phi, 9) DESC, new_docs DESC, tok) AS rank, tok, new_docs, seen_docs, phi FROM (SELECT * EXCLUDE (rank) FROM sc) QUALIFY rank <= (SELECT ceil(sum(q) - 1e-9) FROM sep))"""
