@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -9,9 +11,18 @@ from pyspark.sql import functions as F
 DETERMINISTIC, PROBABILISTIC = {"keyed-hash", "siv", "deterministic-rsa"}, {"gcm", "cbc-random-iv", "elgamal", "paillier"}
 
 
+def mac_pads(key: str) -> tuple[bytes, bytes]:
+    """What a keyed digest (HMAC with SHA-256) puts before the message and before the inner digest."""
+    raw = key.encode()
+    raw = hashlib.sha256(raw).digest() if len(raw) > 64 else raw
+    block = raw.ljust(64, b"\0")
+    return bytes(x ^ 0x36 for x in block), bytes(x ^ 0x5C for x in block)
+
+
 def handle(token: Column, key: str) -> Column:
     """A keyed digest that stands for a token in the cloud."""
-    return F.sha2(F.concat(F.lit(key), token), 256)
+    inner, outer = (F.lit(bytearray(x)) for x in mac_pads(key))
+    return F.sha2(F.concat(outer, F.unhex(F.sha2(F.concat(inner, token.cast("binary")), 256))), 256)
 
 
 def _key(key: str) -> Column:

@@ -11,12 +11,15 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
+from enctopics.functions.crypto import mac_pads
 
-def register(spark: SparkSession, **views: DataFrame) -> None:
-    """Views by name, and the functions token_handle(key, tok) and tokens_of(text)."""
+
+def register(spark: SparkSession, key: str, **views: DataFrame) -> None:
+    """Views by name, and the functions token_handle(tok), under key, and tokens_of(text)."""
     for name, df in views.items():
         df.createOrReplaceTempView(name)
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION token_handle(k STRING, tok STRING) RETURNS STRING RETURN sha2(concat(k, tok), 256)")
+    inner, outer = (x.hex() for x in mac_pads(key))
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION token_handle(tok STRING) RETURNS STRING RETURN sha2(concat(X'{outer}', unhex(sha2(concat(X'{inner}', cast(tok AS BINARY)), 256))), 256)")
     spark.udtf.register("tokens_of", token_udtf)
 
 
@@ -45,7 +48,3 @@ def coherency_udf(v: pd.Series) -> float:
     x /= np.linalg.norm(x, axis=1, keepdims=True)
     p = len(x)
     return float("nan") if p < 2 else float(((x.sum(axis=0) ** 2).sum() - p) / (p * (p - 1)))
-
-
-def with_handles(df: DataFrame, key: str) -> DataFrame:
-    return df.withColumn("handle", F.expr(f"token_handle('{key}', tok)"))

@@ -123,13 +123,13 @@ def attach(new: DataFrame, abstracts: DataFrame, theta: float) -> DataFrame:
     lead_f, lead_tok, lead_id = found["f"].to_numpy(), found["tok"].to_numpy(object), found["cluster_id"].to_numpy()
 
     def finish(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        mine = set(lead_tok)
+        mine = dict(zip(lead_tok, lead_id))
         for pdf in batches:
             out = []
             sims = np.stack(pdf["vec"].to_list()) @ lead.T if lead is not None and len(pdf) else None
             for i, (tok, f, own, own_sim) in enumerate(zip(pdf["tok"], pdf["f"], pdf["own"], pdf["own_sim"])):
                 if tok in mine:
-                    out.append((tok, int(lead_id[list(lead_tok).index(tok)]), 1.0, True))
+                    out.append((tok, int(mine[tok]), 1.0, True))
                     continue
                 cluster, sim = (own, own_sim) if own_sim > theta else (-1, -2.0)
                 if sims is not None:
@@ -143,6 +143,14 @@ def attach(new: DataFrame, abstracts: DataFrame, theta: float) -> DataFrame:
     return rows.select("tok", "f", "vec", "own", "own_sim").mapInPandas(finish, "tok string, cluster_id long, sim double, founded boolean")
 
 
+def alone(new: DataFrame, clusters: DataFrame, placed: DataFrame) -> DataFrame:
+    """tok, cluster_id, sim, founded: one cluster, beyond all of clusters and placed, for new tokens that no vector describes."""
+    last = F.coalesce(F.max("cluster_id"), F.lit(-1))
+    top = clusters.select(F.col("cluster_id").cast("long").alias("cluster_id")).union(placed.select("cluster_id")).agg(last.alias("top"))
+    first = new.agg(F.min("tok").alias("first"))
+    return new.select("tok").crossJoin(F.broadcast(top)).crossJoin(F.broadcast(first)).select("tok", (F.col("top") + 1).alias("cluster_id"), F.lit(0.0).alias("sim"), (F.col("tok") == F.col("first")).alias("founded"))
+
+
 def attach_by_relatedness(postings: DataFrame, new: DataFrame, centres: DataFrame) -> DataFrame:
     """tok, cluster_id of new tokens by relatedness to the centres over the merged postings; -1 where they meet none."""
     edges = relate.relatedness(postings, centres).join(new.select("tok"), "tok", "left_semi")

@@ -15,8 +15,8 @@ def benchmark_queries(benchmark: DataFrame, stats: DataFrame, n: int = 3) -> Dat
     return toks.join(stats.select("tok", "df"), "tok").withColumn("rk", F.row_number().over(order)).where(F.col("rk") <= n).select("query_id", "tok")
 
 
-def _scored(queries: DataFrame, postings: DataFrame, docs: int) -> DataFrame:
-    df = postings.groupBy("tok").agg(F.count("*").alias("df"))
+def _scored(queries: DataFrame, postings: DataFrame, docs: int, stats: DataFrame | None = None) -> DataFrame:
+    df = postings.groupBy("tok").agg(F.count("*").alias("df")) if stats is None else stats.select("tok", "df")
     hits = queries.join(df, "tok").join(postings, "tok")
     return hits.groupBy("query_id", "doc_id").agg(F.round(F.sum(F.col("f") * F.log(F.lit(float(docs)) / F.col("df"))), 6).alias("score"), F.count("*").alias("hits"))
 
@@ -26,9 +26,19 @@ def top(scored: DataFrame, k: int = 10) -> DataFrame:
     return scored.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "doc_id", "score", "rank")
 
 
-def full(queries: DataFrame, postings: DataFrame, docs: int, k: int = 10) -> DataFrame:
-    """query_id, doc_id, score, rank over the whole index."""
-    return top(_scored(queries, postings, docs), k)
+def full(queries: DataFrame, postings: DataFrame, docs: int, k: int = 10, stats: DataFrame | None = None) -> DataFrame:
+    """query_id, doc_id, score, rank over the whole index; stats (tok, df) spare the count over all of it."""
+    return top(_scored(queries, postings, docs, stats), k)
+
+
+def from_store(queries: DataFrame, store: DataFrame, routed: DataFrame, stats: DataFrame, docs: int, k: int = 10) -> DataFrame:
+    """As pruned(), on postings stored by cluster (cluster_id, tok, doc_id, f) of which store holds the routed clusters.
+
+    Frequencies come from stats, so that nothing but the routed clusters is read.
+    """
+    hits = queries.join(routed, "query_id").join(store, ["cluster_id", "tok"]).join(stats.select("tok", "df"), "tok")
+    score = F.round(F.sum(F.col("f") * F.log(F.lit(float(docs)) / F.col("df"))), 6)
+    return top(hits.groupBy("query_id", "doc_id").agg(score.alias("score"), F.count("*").alias("hits")), k)
 
 
 def score_abstracts(queries: DataFrame, abstracts: DataFrame, sims: DataFrame | None = None) -> DataFrame:
@@ -64,11 +74,11 @@ def expand(queries: DataFrame, sims: DataFrame, top_n: int = 3) -> DataFrame:
     return queries.unionByName(queries.join(more, F.col("tok") == F.col("a")).select("query_id", F.col("b").alias("tok"))).distinct()
 
 
-def pruned(queries: DataFrame, postings: DataFrame, clusters: DataFrame, abstracts: DataFrame, docs: int, c: int = 3, k: int = 10, sims: DataFrame | None = None) -> DataFrame:
+def pruned(queries: DataFrame, postings: DataFrame, clusters: DataFrame, abstracts: DataFrame, docs: int, c: int = 3, k: int = 10, sims: DataFrame | None = None, stats: DataFrame | None = None) -> DataFrame:
     """As full(), over the routed clusters of each query only."""
     routed = route(score_abstracts(queries, abstracts, sims), c)
     inside = queries.join(clusters.select("tok", "cluster_id"), "tok").join(routed, ["query_id", "cluster_id"], "left_semi").select("query_id", "tok")
-    return full(inside, postings, docs, k)
+    return full(inside, postings, docs, k, stats)
 
 
 def cost(queries: DataFrame, postings: DataFrame, clusters: DataFrame | None = None, routed: DataFrame | None = None) -> DataFrame:

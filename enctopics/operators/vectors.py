@@ -36,11 +36,15 @@ def table(df: DataFrame, tok: str, vec: str) -> DataFrame:
 
 
 def hashed_profiles(postings: DataFrame, dims: int = 64) -> DataFrame:
-    """tok, vec: signed sums of a token's frequencies over hashed documents, a dense stand-in for its profile."""
+    """tok, vec: signed sums of a token's frequencies over hashed documents, a dense stand-in for its profile.
+
+    Cosines are those of the profiles but for noise of 1 / sqrt(dims).
+    """
     at, sign = F.pmod(F.xxhash64("doc_id"), F.lit(dims)).cast("int"), 1 - 2 * F.pmod(F.xxhash64("doc_id", F.lit("sign")), F.lit(2))
     cells = postings.groupBy("tok", at.alias("at")).agg(F.sum(F.col("f") * sign).cast("double").alias("x"))
-    m = cells.groupBy("tok").agg(F.map_from_entries(F.collect_list(F.struct("at", "x"))).alias("m"))
-    return unit(m.select("tok", F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0.0))).alias("vec")))
+    x = F.col("x")
+    m = cells.where("x <> 0").groupBy("tok").agg(F.map_from_entries(F.collect_list(F.struct("at", "x"))).alias("m"), F.sqrt(F.sum(x * x)).alias("len"))
+    return m.select("tok", F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0.0)) / F.col("len")).alias("vec"))
 
 
 def profile(postings: DataFrame) -> DataFrame:
@@ -57,8 +61,8 @@ def doc_cosine(postings: DataFrame, left: DataFrame, right: DataFrame) -> DataFr
     return a.join(b, "doc_id").groupBy("a", "b").agg(F.sum(F.col("xa") * F.col("xb")).alias("sim"))
 
 
-def nearest(queries: DataFrame, vecs: DataFrame, top: int) -> DataFrame:
-    """query tok, tok, sim: the nearest vectors of a few queries, which have been counted by the caller."""
-    q = queries.select(F.col("tok").alias("query"), F.col("vec").alias("qv"))
-    sims = vecs.join(F.broadcast(q), F.col("tok") != F.col("query")).select("query", "tok", dot(F.col("vec"), F.col("qv")).alias("sim"))
-    return sims.withColumn("rk", F.row_number().over(Window.partitionBy("query").orderBy(F.desc("sim"), "tok"))).where(F.col("rk") <= top)
+def within(rows: DataFrame) -> DataFrame:
+    """a, b, sim for the pairs of tokens of one cluster, from cluster_id, tok, vec; abstracts are short."""
+    a = rows.select("cluster_id", F.col("tok").alias("a"), F.col("vec").alias("va"))
+    b = rows.select("cluster_id", F.col("tok").alias("b"), F.col("vec").alias("vb"))
+    return a.join(b, "cluster_id").where("a < b").select("a", "b", dot(F.col("va"), F.col("vb")).alias("sim"))

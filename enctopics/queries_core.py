@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from enctopics.config import Config
 from enctopics.functions import crypto
 from enctopics.operators import abstracts, baselines, centres, dynamic, index, kestimate, metrics, relate, search, tokens, vectors
-from enctopics.plans import batch, static
-from enctopics.registry import A, C10, N, OCC, P, SEP, TF, centres_sql, eligible_sql, query
-from enctopics.session import kept
+from enctopics.plans import batch, encrypted, static
+from enctopics.registry import A, C10, N, OCC, P, SEP, STATIC, TF, centres_sql, eligible_sql, encrypted_sql, handle_sql, query
+from enctopics.session import kept, new_path
+from enctopics.sources import sinks
 from enctopics.sources.tables import table
 from enctopics.streaming import stream
 
@@ -69,7 +72,7 @@ def keyword_postings_position(spark: SparkSession, d: str) -> DataFrame:
     return tokens.keywords(docs(spark, d), 10, score="position")
 
 
-@query("encrypted_index", f"WITH {P} SELECT sha256('{CFG.key}' || tok) AS handle, doc_id, f FROM p")
+@query("encrypted_index", f"WITH {P} SELECT {handle_sql(CFG.key)} AS handle, doc_id, f FROM p")
 def encrypted_index(spark: SparkSession, d: str) -> DataFrame:
     return index.encrypt(postings(spark, d), CFG.key)
 
@@ -342,7 +345,10 @@ def assign_by_count(spark: SparkSession, d: str) -> DataFrame:
     return relate.distribute(relate.cooccurrence(a, c), c, a, score="co")
 
 
-@query("static_clusters")
+_STATIC = f"WITH RECURSIVE {STATIC} {_ASSIGN.format(edges='rel', score='round(r, 12)')}"
+
+
+@query("static_clusters", _STATIC)
 def static_clusters(spark: SparkSession, d: str) -> DataFrame:
     return static.cluster(docs(spark, d)).clusters
 
@@ -407,10 +413,78 @@ def search_full(spark: SparkSession, d: str) -> DataFrame:
 
 @query("search_pruned")
 def search_pruned(spark: SparkSession, d: str) -> DataFrame:
+    """Postings are stored by cluster; only the folders of routed clusters are read."""
     made = static.cluster(docs(spark, d))
-    q = asked(spark, d, made.trimmed)
+    stats = kept(index.token_stats(made.trimmed))
+    q = kept(search.benchmark_queries(table(spark, d, "benchmark"), stats))
+    routed = kept(search.route(search.score_abstracts(q, made.abstracts, vectors.doc_cosine(made.trimmed, q, made.abstracts))))
+    path = new_path(spark, "by-cluster")
+    sinks.write_by_cluster(made.trimmed, made.clusters, path, 64)
+    store = sinks.read_clusters(spark, path, routed, 64)
+    return search.from_store(q, store, routed, stats, docs(spark, d).count())
+
+
+@query("search_pruned_in_memory")
+def search_pruned_in_memory(spark: SparkSession, d: str) -> DataFrame:
+    """The same over the index as it is; the rows are those of search_pruned."""
+    made = static.cluster(docs(spark, d))
+    stats = kept(index.token_stats(made.trimmed))
+    q = kept(search.benchmark_queries(table(spark, d, "benchmark"), stats))
     sims = vectors.doc_cosine(made.trimmed, q, made.abstracts)
-    return search.pruned(q, made.trimmed, made.clusters, made.abstracts, docs(spark, d).count(), sims=sims)
+    return search.pruned(q, made.trimmed, made.clusters, made.abstracts, docs(spark, d).count(), sims=sims, stats=stats)
+
+
+# ---- the same in the cloud
+
+@query("encrypted_k", encrypted_sql(f"WITH {SEP} SELECT count(*) AS m, round(sum(q), 6) AS trace, CAST(ceil(sum(q) - 1e-9) AS BIGINT) AS k FROM sep", CFG.key))
+def encrypted_k(spark: SparkSession, d: str) -> DataFrame:
+    cloud = encrypted.upload(kept(postings(spark, d)), CFG.key)
+    return kestimate.estimate_k(kestimate.trim(cloud.index.withColumnRenamed("handle", "tok")))
+
+
+@query("encrypted_clusters", encrypted_sql(f"SELECT tok AS handle, cluster_id, is_centre FROM ({_STATIC})", CFG.key))
+def encrypted_clusters(spark: SparkSession, d: str) -> DataFrame:
+    """What the cloud makes of handles."""
+    return encrypted.run(docs(spark, d))[2].clusters.select(F.col("tok").alias("handle"), "cluster_id", "is_centre")
+
+
+@query("encrypted_abstracts", encrypted_sql(f"WITH x AS ({_STATIC}), y AS (WITH {P} SELECT * FROM st), n AS (SELECT DISTINCT tok AS plain, {handle_sql(CFG.key)} AS tok FROM (SELECT unnest(regexp_extract_all(lower(text), '\\p{{L}}{{3,}}')) AS tok FROM documents)) SELECT cluster_id, plain AS tok, tf AS f, CAST(row_number() OVER (PARTITION BY cluster_id ORDER BY tf DESC, x.tok) AS INT) AS rank FROM x JOIN y USING (tok) JOIN n USING (tok) WHERE cluster_id >= 0 QUALIFY rank <= 10", CFG.key))
+def encrypted_abstracts(spark: SparkSession, d: str) -> DataFrame:
+    """Abstracts of the cloud's clusters, opened at the edge."""
+    _, cloud, made = encrypted.run(docs(spark, d))
+    return encrypted.revealed(made, cloud, CFG.key)
+
+
+@query("encrypted_search", f"WITH {P}, {_QUERIES}, {_FULL} SELECT query_id, doc_id, score, rank FROM top")
+def encrypted_search(spark: SparkSession, d: str) -> DataFrame:
+    """Handles of the benchmark queries over the cloud's index: what the search over plain tokens gives."""
+    p = kept(postings(spark, d))
+    cloud = encrypted.upload(p, CFG.key)
+    return search.full(encrypted.ask(asked(spark, d, p), CFG.key), cloud.index.withColumnRenamed("handle", "tok"), docs(spark, d).count())
+
+
+@query("encrypted_search_pruned")
+def encrypted_search_pruned(spark: SparkSession, d: str) -> DataFrame:
+    """Routed at the edge by opened abstracts, answered in the cloud from the routed clusters of handles."""
+    p, cloud, made = encrypted.run(docs(spark, d))
+    q = asked(spark, d, kestimate.trim(p))
+    tops = kept(encrypted.revealed(made, cloud, CFG.key))
+    routed = kept(encrypted.routes(q, tops, p))
+    inside = made.trimmed.join(made.clusters.select("tok", "cluster_id"), "tok")
+    store = inside.join(routed.select("cluster_id").distinct(), "cluster_id", "left_semi")
+    return search.from_store(encrypted.ask(q, CFG.key), store, routed, index.token_stats(made.trimmed), docs(spark, d).count())
+
+
+@query("encrypted_update")
+def encrypted_update(spark: SparkSession, d: str) -> DataFrame:
+    """New tokens of the later batches, placed at the edge, as it pushes them: handles, envelopes and clusters."""
+    pb = dealt_postings(spark, d)
+    base = kept(pb.where("batch_id = 0").select("tok", "doc_id", "f"))
+    state = batch.start(base)
+    after = batch.step(state, pb.where("batch_id > 0").select("tok", "doc_id", "f"), Config(unit=1e9))
+    fresh = after.clustering.clusters.join(base.select("tok").distinct(), "tok", "left_anti")
+    pushed = encrypted.add(encrypted.upload(base, CFG.key), fresh, CFG.key)
+    return pushed.select("handle", F.base64("sealed").alias("sealed"), "cluster_id")
 
 
 @query("search_expanded")
@@ -549,8 +623,15 @@ def attach_by_relatedness(spark: SparkSession, d: str) -> DataFrame:
     return dynamic.attach_by_relatedness(pb.select("tok", "doc_id", "f"), index.new_tokens(pb.where("batch_id > 0"), base), c)
 
 
+def arriving(documents: DataFrame, seed: int = 0, n: int = CFG.keywords_per_doc) -> DataFrame:
+    """Postings with batch_id: the keywords of each batch are chosen by what is known when it comes, the batch itself."""
+    dealt = kept(batches(documents, seed))
+    base = tokens.keywords(dealt.where("batch_id = 0"), n).withColumn("batch_id", F.lit(0))
+    return kept(reduce(DataFrame.unionByName, [index.temporary(dealt.where(F.col("batch_id") == i), i, n) for i in range(1, len(SIZES))], base))
+
+
 def run_batches(spark: SparkSession, d: str, cfg: Config, allow_recluster: bool = True) -> batch.State:
-    pb = dealt_postings(spark, d)
+    pb = arriving(docs(spark, d))
     one = lambda i: kept(pb.where(F.col("batch_id") == i).select("tok", "doc_id", "f"))
     state = batch.start(one(0), cfg)
     for i in range(1, 6):
@@ -563,6 +644,19 @@ def batch_update_log(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(list(run_batches(spark, d, Config(unit=10.0)).log), batch.LOG)
 
 
+@query("batch_word_vectors")
+def batch_word_vectors(spark: SparkSession, d: str) -> DataFrame:
+    """The update log with word vectors, trained on the base, for new tokens and their threshold; a token that the base lacks has none and founds."""
+    documents = docs(spark, d)
+    pb = arriving(documents)
+    base = documents.join(pb.where("batch_id = 0").select("doc_id").distinct(), "doc_id", "left_semi")
+    words = kept(vectors.word2vec(documents if base.isEmpty() else base))
+    state = batch.start(kept(pb.where("batch_id = 0").select("tok", "doc_id", "f")), Config(unit=10.0))
+    for i in range(1, 3):
+        state = batch.step(state, kept(pb.where(F.col("batch_id") == i).select("tok", "doc_id", "f")), Config(unit=10.0), words=words)
+    return state.clustering.clusters
+
+
 @query("baseline_no_recluster")
 def baseline_no_recluster(spark: SparkSession, d: str) -> DataFrame:
     return run_batches(spark, d, Config(unit=10.0), allow_recluster=False).clustering.clusters

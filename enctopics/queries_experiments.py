@@ -6,11 +6,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from enctopics.config import Config
-from enctopics.operators import kestimate, tokens
+from enctopics.operators import kestimate
 from enctopics.plans import experiments as x
-from enctopics.queries_core import batches
+from enctopics.queries_core import arriving
 from enctopics.registry import query
-from enctopics.session import kept
 from enctopics.sources.tables import conversation_docs, page_text, table
 
 _EX = ", ".join(f"('{t}', {i + 1}, {f})" for t, row in x.EXAMPLE.items() for i, f in enumerate(row) if f)
@@ -55,8 +54,7 @@ def search_time_boxes(spark: SparkSession, d: str) -> DataFrame:
 
 def _deal(spark: SparkSession, d: str):
     docs = table(spark, d, "documents")
-    p = kept(tokens.keywords(docs, 10))
-    return lambda seed: p.join(batches(docs.select("doc_id"), seed), "doc_id")
+    return lambda seed: arriving(docs, seed)
 
 
 @query("exp_updates")

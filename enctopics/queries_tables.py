@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from enctopics.operators import asof, tokens
 from enctopics.operators.vectors import dot, norm
-from enctopics.registry import OCC, P, query
+from enctopics.registry import OCC, P, handle_sql, query
 from enctopics.sources.tables import conversation_docs, page_text, table
 
 T = table
@@ -333,10 +333,10 @@ def strat_sample(spark: SparkSession, d: str) -> DataFrame:
     return T(spark, d, "documents").select("doc_id", "lang", F.row_number().over(w).alias("rn")).where("rn <= 50").drop("rn")
 
 
-@query("sql_face", f"WITH {P} SELECT sha256('fixture-key' || tok) AS handle, df FROM st WHERE df >= 3")
+@query("sql_face", f"WITH {P} SELECT {handle_sql('fixture-key')} AS handle, df FROM st WHERE df >= 3")
 def sql_face(spark: SparkSession, d: str) -> DataFrame:
     """Views and a registered function, from SQL."""
     from enctopics.functions import sql
 
-    sql.register(spark, postings=tokens.keywords(T(spark, d, "documents"), 10))
-    return spark.sql("SELECT token_handle('fixture-key', tok) AS handle, count(*) AS df FROM postings GROUP BY tok HAVING count(*) >= 3")
+    sql.register(spark, "fixture-key", postings=tokens.keywords(T(spark, d, "documents"), 10))
+    return spark.sql("SELECT token_handle(tok) AS handle, count(*) AS df FROM postings GROUP BY tok HAVING count(*) >= 3")

@@ -6,6 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from enctopics.functions.crypto import mac_pads
+
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 SQL: dict[str, str] = {}
@@ -28,11 +30,11 @@ OCC = r"occ AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '\p{L}{3,}
 TF = OCC + ", tf AS (SELECT doc_id, tok, count(*) AS f FROM occ GROUP BY doc_id, tok)"
 
 
-def postings_sql(n: int = 10, min_df: int = 2) -> str:
+def postings_sql(n: int = 10, min_df: int = 2, name: str = "tok") -> str:
     return TF + f""", wdf AS (SELECT tok, count(*) AS wdf FROM tf GROUP BY tok HAVING count(*) >= {min_df}),
         rk AS (SELECT tok, doc_id, f, row_number() OVER (PARTITION BY doc_id ORDER BY round(f * ln((SELECT CAST(count(*) AS DOUBLE) FROM documents) / wdf), 6) DESC, tok) AS rk
             FROM tf JOIN wdf USING (tok)),
-        p AS MATERIALIZED (SELECT tok, doc_id, f FROM rk WHERE rk <= {n}),
+        p AS MATERIALIZED (SELECT {name} AS tok, doc_id, f FROM rk WHERE rk <= {n}),
         st AS MATERIALIZED (SELECT tok, count(*) AS df, CAST(sum(f) AS BIGINT) AS tf, CAST(sum(f * f) AS BIGINT) AS tf2 FROM p GROUP BY tok)"""
 
 
@@ -41,6 +43,17 @@ A = P + """, a AS MATERIALIZED (SELECT p.* FROM p SEMI JOIN (SELECT tok FROM st
         ast AS MATERIALIZED (SELECT tok, count(*) AS df, CAST(sum(f) AS BIGINT) AS tf, CAST(sum(f * f) AS BIGINT) AS tf2 FROM a GROUP BY tok)"""
 N = A + ", n AS (SELECT tok, doc_id, f, f / max(f) OVER (PARTITION BY doc_id) AS n FROM a)"
 SEP = N + """, sep AS MATERIALIZED (SELECT tok, sum(n * s) / sum(n) AS q FROM (SELECT tok, n, f / sum(f) OVER (PARTITION BY doc_id) AS s FROM n) GROUP BY tok)"""
+def handle_sql(key: str, tok: str = "tok") -> str:
+    """The keyed digest of a token."""
+    inner, outer = (f"unhex('{x.hex()}')" for x in mac_pads(key))
+    return f"sha256({outer} || unhex(sha256({inner} || encode({tok}))))"
+
+
+def encrypted_sql(sql: str, key: str) -> str:
+    """SQL over P, with handles for tokens from the index on."""
+    return sql.replace(P, postings_sql(name=handle_sql(key)))
+
+
 #: The ten most widespread tokens as centres, and the pairs that meet.
 C10 = A + """, c AS MATERIALIZED (SELECT tok AS centre, row_number() OVER (ORDER BY df DESC, tok) AS rank FROM ast ORDER BY df DESC, tok LIMIT 10),
         met AS MATERIALIZED (SELECT c.centre, t.tok, t.doc_id, x.f AS fc, t.f FROM c JOIN a x ON x.tok = c.centre JOIN a t ON t.doc_id = x.doc_id WHERE t.tok NOT IN (SELECT centre FROM c)),
@@ -62,3 +75,7 @@ def eligible_sql(more: str = ">") -> str:
 def centres_sql(more: str = ">", phi: str = "new_docs / greatest(seen_docs, 1) * q * (1 - q)") -> str:
     return eligible_sql(more) + f""", sc AS MATERIALIZED (SELECT el.*, q, {phi} AS phi FROM el JOIN sep USING (tok)),
         ce AS MATERIALIZED (SELECT row_number() OVER (ORDER BY round(phi, 9) DESC, new_docs DESC, tok) AS rank, tok, new_docs, seen_docs, phi FROM (SELECT * EXCLUDE (rank) FROM sc) QUALIFY rank <= (SELECT ceil(sum(q) - 1e-9) FROM sep))"""
+
+
+#: The static scheme: chosen centres, and the pairs that meet, as for the ten above.
+STATIC = centres_sql() + ", c AS MATERIALIZED (SELECT tok AS centre, rank FROM ce)" + C10[C10.index("LIMIT 10)") + len("LIMIT 10)") :]

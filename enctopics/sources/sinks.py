@@ -17,10 +17,14 @@ def write_by_cluster(postings: DataFrame, clusters: DataFrame, path: str, folder
     rows.repartition("part").sortWithinPartitions("part", "cluster_id", "tok").write.mode("overwrite").partitionBy("part").parquet(path)
 
 
-def read_clusters(spark: SparkSession, path: str, cluster_ids: list[int], folders: int = 4096) -> DataFrame:
-    """Postings of some clusters: whole folders are left out, and row groups of other clusters in those that stay."""
-    parts = spark.createDataFrame([(c,) for c in cluster_ids], "cluster_id int").select(F.pmod(F.hash("cluster_id"), F.lit(folders)).alias("p")).distinct()
-    return spark.read.parquet(path).where(F.col("part").isin([r.p for r in parts.collect()]) & F.col("cluster_id").isin(cluster_ids))
+def read_clusters(spark: SparkSession, path: str, routed: DataFrame, folders: int = 4096) -> DataFrame:
+    """Postings of the clusters of routed: their folders only, and of these the rows of the clusters themselves.
+
+    What comes to the driver are numbers of folders, at most so many as there are.
+    """
+    ids = routed.select("cluster_id").distinct()
+    parts = [r.p for r in ids.select(F.pmod(F.hash("cluster_id"), F.lit(folders)).alias("p")).distinct().collect()]
+    return spark.read.parquet(path).where(F.col("part").isin(parts)).join(ids, "cluster_id", "left_semi").drop("part")
 
 
 class Versions:

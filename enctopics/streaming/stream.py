@@ -13,10 +13,14 @@ from enctopics.session import kept
 from enctopics.sources.sinks import Versions
 
 
+#: At a threshold of 0.1 the noise of profiles has to be far less.
+COLD_DIMS = 1024
+
+
 def cold_start(postings: DataFrame, theta: float = 0.1, cfg: Config = Config()) -> DataFrame:
     """tok, cluster_id, sim, founded: tokens by falling frequency join the nearest founder beyond theta, or found."""
     stats = index.token_stats(postings)
-    rows = stats.join(vectors.hashed_profiles(postings), "tok").select("tok", F.col("tf").alias("f"), "vec")
+    rows = stats.join(vectors.hashed_profiles(postings, COLD_DIMS), "tok").select("tok", F.col("tf").alias("f"), "vec")
     none = rows.select(F.lit(0).cast("long").alias("cluster_id"), "tok", "vec").limit(0)
     return dynamic.attach(rows, none, theta)
 

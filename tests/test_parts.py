@@ -46,6 +46,15 @@ def test_cloud_tables_hold_no_plain_text(docs):
         schemas.require(p.drop("f"), schemas.POSTINGS)
 
 
+def test_handles_are_keyed_macs(spark):
+    import hashlib
+    import hmac
+
+    for key in ("k", "a key longer than a block " * 4):
+        got = spark.createDataFrame([("wörd",)], "tok string").select(crypto.handle(F.col("tok"), key)).first()[0]
+        assert got == hmac.new(key.encode(), "wörd".encode(), hashlib.sha256).hexdigest()
+
+
 def test_handles_give_the_same_number_of_clusters(docs):
     p = kestimate.trim(tokens.keywords(docs))
     e = index.encrypt(p, "k").withColumnRenamed("handle", "tok")
@@ -135,7 +144,7 @@ def test_udfs_agree_with_expressions(spark):
     v = blobs(spark, 1.0)
     got = {r.label: r.c for r in v.groupBy("label").agg(sql.coherency_udf("vec").alias("c")).collect()}
     assert sum(got.values()) / 4 == pytest.approx(metrics.coherency(v).first().coherency, abs=1e-6)
-    sql.register(spark, t=spark.createDataFrame([("Ab cde fgh",)], "text string"))
+    sql.register(spark, "k", t=spark.createDataFrame([("Ab cde fgh",)], "text string"))
     assert [r.tok for r in spark.sql("SELECT x.tok FROM t, LATERAL tokens_of(text) x").collect()] == ["cde", "fgh"]
 
 
