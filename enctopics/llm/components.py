@@ -8,13 +8,14 @@ from pyspark.sql import functions as F
 from enctopics.llm.common import cut
 
 
-#: Edges of a partition, at least, where there are fewer partitions than the shuffle makes.
+#: Edges of a partition, about: small tables would else be written as very many files in every round.
 EDGES = 5_000
 
 
-def _by_minimum(pairs: DataFrame) -> DataFrame:
+def _by_minimum(pairs: DataFrame, few: int) -> DataFrame:
     """Each pair (u, v) with the least v of its u; sums before the shuffle, and a join that Spark can split."""
-    return pairs.join(pairs.groupBy("u").agg(F.min("v").alias("m")), "u")
+    pairs = pairs.coalesce(few)
+    return pairs.join(pairs.groupBy("u").agg(F.min("v").alias("m")), "u").coalesce(few)
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -33,6 +34,6 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         seen = state
         few = max(1, min(parts, -(-state[0] // EDGES)))  # no more partitions than the edges need
         both = now.union(now.select("v", "u"))
-        large = _by_minimum(both).select("u", "v", F.least("u", "m").alias("m")).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        small = _by_minimum(large)
+        large = _by_minimum(both, few).select("u", "v", F.least("u", "m").alias("m")).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        small = _by_minimum(large, few)
         now = cut(small.select("u", F.col("m").alias("v")).union(small.where("v <> m").select("v", "m")).distinct().coalesce(few))
