@@ -41,7 +41,7 @@ _MIXED = rf"[^\W_]*(?:[^\W\d_][{_MARKS}]+[^\W\d_]|[{_MARKS}][^\W\d_])[{_MARKS}\w
 _SPACED = r"(?<!\w)\w(?:[ .\-_*]\w){3,}(?!\w)"
 _REPEATED = r"[^\W_]*([^\W\d_])\1\1[^\W_]*"
 _SUSPECT = re.compile(f"{_SPACED}|{_MIXED}|{_REPEATED}")
-_SPELLED = re.compile(_SPACED)
+_SPELLED, _GAPS = re.compile(_SPACED), re.compile(r"[ .\-_*]\w[ .\-_*]\w[ .\-_*]")  # every spelled-out word holds such gaps
 _WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -146,7 +146,8 @@ class Reader:
         text = text.lower()
         found: set = set()
         different = set(text.split())
-        different.update(m[0] for m in _SPELLED.finditer(text))
+        if _GAPS.search(text):
+            different.update(m[0] for m in _SPELLED.finditer(text))
         known = self.read.get
         for t in different:
             if (got := known(t)) is None:
