@@ -15,6 +15,7 @@ from enctopics.functions.statistics import student_quantile
 from enctopics.operators import baselines, centres, index, kestimate, metrics, relate, search, tokens, vectors
 from enctopics.plans import batch, static
 from enctopics.session import kept
+from enctopics.streaming import stream
 
 #: Samplings whose jobs are on their way at once.
 AT_ONCE = 5
@@ -108,29 +109,30 @@ def _searches(docs: DataFrame, benchmark: DataFrame, cfg: Config = Config()):
     }
 
 
-def search_relevance(docs: DataFrame, benchmark: DataFrame, cfg: Config = Config()) -> DataFrame:
-    """scheme, query_id, tsap, n_relevant."""
-    _, ways = _searches(docs, benchmark, cfg)
-    truth = kept(search.relevance(benchmark, docs))
+def search_relevance(corpora: dict[str, DataFrame], benchmark: DataFrame, cfg: Config = Config()) -> DataFrame:
+    """corpus, scheme, query_id, tsap, n_relevant; a corpus with no passage of an item has no rows."""
     out = None
-    for name, run in ways.items():
-        row = metrics.tsap(run(), truth, cfg.tsap_n).select(F.lit(name).alias("scheme"), "query_id", "tsap", "n_relevant")
-        out = row if out is None else out.unionByName(row)
+    for corpus, docs in corpora.items():
+        _, ways = _searches(docs, benchmark, cfg)
+        truth = kept(search.relevance(benchmark, docs))
+        for name, run in ways.items():
+            row = metrics.tsap(run(), truth, cfg.tsap_n).select(F.lit(corpus).alias("corpus"), F.lit(name).alias("scheme"), "query_id", "tsap", "n_relevant")
+            out = row if out is None else out.unionByName(row)
     return out
 
 
-def search_time(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, cfg: Config = Config()) -> DataFrame:
-    """scheme, runs, and least, quartiles and most of the milliseconds for the whole set of queries."""
-    _, ways = _searches(docs, benchmark, cfg)
+def search_time(spark: SparkSession, corpora: dict[str, DataFrame], benchmark: DataFrame, cfg: Config = Config()) -> DataFrame:
+    """corpus, scheme, runs, and least, quartiles and most of the milliseconds for the whole set of queries."""
     rows = []
-    for name, run in ways.items():
-        for i in range(cfg.runs):
-            began = time.perf_counter()
-            run().write.format("noop").mode("overwrite").save()
-            rows.append((name, i, 1000 * (time.perf_counter() - began)))
-    t = spark.createDataFrame(rows, "scheme string, run int, ms double")
+    for corpus, docs in corpora.items():
+        for name, run in _searches(docs, benchmark, cfg)[1].items():
+            for i in range(cfg.runs):
+                began = time.perf_counter()
+                run().write.format("noop").mode("overwrite").save()
+                rows.append((corpus, name, i, 1000 * (time.perf_counter() - began)))
+    t = spark.createDataFrame(rows, "corpus string, scheme string, run int, ms double")
     part = lambda p: F.percentile("ms", p)
-    return t.groupBy("scheme").agg(F.count("*").alias("runs"), F.min("ms").alias("least"), part(0.25).alias("q1"), part(0.5).alias("median"), part(0.75).alias("q3"), F.max("ms").alias("most"))
+    return t.groupBy("corpus", "scheme").agg(F.count("*").alias("runs"), F.min("ms").alias("least"), part(0.25).alias("q1"), part(0.5).alias("median"), part(0.75).alias("q3"), F.max("ms").alias("most"))
 
 
 def _coherency_of(state: batch.State) -> float:
@@ -165,6 +167,27 @@ def updates(spark: SparkSession, deal, samplings: int = 10, cfg: Config = Config
     return spark.createDataFrame(found, "seed int, batch_id int, recluster boolean, with_reclustering double, without double")
 
 
+def stream_replay(spark: SparkSession, docs: DataFrame, folder: str, cfg: Config = Config()) -> DataFrame:
+    """version, streamed, batched, differing: documents come one a file; tokens with a cluster after each under the stream
+    scheme and under the batch scheme with batches of the same documents, and rows that only one of them has. Every version is gone
+    through in turn, as the scheme does: for small corpora."""
+    ids = [r.doc_id for r in docs.select("doc_id").distinct().orderBy("doc_id").toLocalIterator()]
+    for i in ids:
+        docs.where(F.col("doc_id") == i).coalesce(1).write.mode("append").parquet(f"{folder}/in")
+    versions = stream.run(spark, f"{folder}/in", f"{folder}/state", f"{folder}/marks", cfg)
+    rows, state, seen = [], None, None
+    for v in range(len(ids)):
+        now = versions.read("postings", v)
+        came = now if seen is None else now.join(seen.select("doc_id").distinct(), "doc_id", "left_anti")
+        whole = docs.join(kept(came.select("doc_id").distinct()), "doc_id", "left_semi")
+        temp = kept(tokens.keywords(whole, cfg.keywords_per_doc, score="tf", min_df=1))
+        state = stream.first_state(temp, cfg) if state is None else batch.step(state, temp, cfg)
+        a, b = versions.read("clusters", v).select("tok", "cluster_id"), state.clustering.clusters.select("tok", "cluster_id")
+        rows.append((v, a.count(), b.count(), a.exceptAll(b).count() + b.exceptAll(a).count()))
+        seen = now
+    return spark.createDataFrame(rows, "version int, streamed long, batched long, differing long")
+
+
 def interval(df: DataFrame, by: str | tuple[str, ...], value: str, n: int, confidence: float = 0.95) -> DataFrame:
     """Mean and half width of the confidence interval of n values a group."""
     t = student_quantile(n - 1, confidence) if n > 1 else math.nan

@@ -42,14 +42,18 @@ def ablations(spark: SparkSession, d: str) -> DataFrame:
     return x.ablations(spark, table(spark, d, "documents"))
 
 
+def _corpora(spark: SparkSession, d: str) -> dict[str, DataFrame]:
+    return {"documents": table(spark, d, "documents"), "conversations": conversation_docs(table(spark, d, "conversations")), "pages": page_text(table(spark, d, "pages"))}
+
+
 @query("exp_search_relevance")
 def search_relevance(spark: SparkSession, d: str) -> DataFrame:
-    return x.search_relevance(table(spark, d, "documents"), table(spark, d, "benchmark"))
+    return x.search_relevance(_corpora(spark, d), table(spark, d, "benchmark"))
 
 
 @query("search_time_boxes")
 def search_time_boxes(spark: SparkSession, d: str) -> DataFrame:
-    return x.search_time(spark, table(spark, d, "documents"), table(spark, d, "benchmark"))
+    return x.search_time(spark, _corpora(spark, d), table(spark, d, "benchmark"))
 
 
 def _deal(spark: SparkSession, d: str):

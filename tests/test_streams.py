@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from enctopics import queries_streams as q
 from enctopics.operators import tokens
+from enctopics.plans import experiments
 from enctopics.registry import SQL
 from enctopics.streaming import events as ev
 from enctopics.streaming import stream
@@ -64,3 +65,9 @@ def test_totals_with_a_state_of_their_own(spark, tmp_path):
     rows.writeStream.foreachBatch(keep).outputMode("update").option("checkpointLocation", str(tmp_path / "marks")).trigger(availableNow=True).start().awaitTermination()
     want = {r.tok: r.n for r in tokens.tokenize(docs).groupBy("tok").agg(F.count("*").alias("n")).collect()}
     assert {k: v for batch in seen for k, v in batch.items()} == want and seen[1]["two"] == 3
+
+
+def test_a_stream_is_batches_of_one_document(spark, tmp_path):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").where("n_chars < 3000").orderBy("doc_id").limit(2).select("doc_id", "text")
+    got = experiments.stream_replay(spark, docs, str(tmp_path)).collect()
+    assert [(r.version, r.differing) for r in got] == [(0, 0), (1, 0)] and all(r.streamed == r.batched > 0 for r in got)
