@@ -53,7 +53,21 @@ def search_relevance(spark: SparkSession, d: str) -> DataFrame:
 
 @query("search_time_boxes")
 def search_time_boxes(spark: SparkSession, d: str) -> DataFrame:
-    return x.search_time(spark, _corpora(spark, d), table(spark, d, "benchmark"))
+    return _times(spark, d, "documents")
+
+
+@query("search_time_boxes_conversations")
+def search_time_boxes_conversations(spark: SparkSession, d: str) -> DataFrame:
+    return _times(spark, d, "conversations")
+
+
+@query("search_time_boxes_pages")
+def search_time_boxes_pages(spark: SparkSession, d: str) -> DataFrame:
+    return _times(spark, d, "pages")
+
+
+def _times(spark: SparkSession, d: str, corpus: str) -> DataFrame:
+    return x.search_time(spark, {corpus: _corpora(spark, d)[corpus]}, table(spark, d, "benchmark"))
 
 
 def _deal(spark: SparkSession, d: str):
