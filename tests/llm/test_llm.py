@@ -590,3 +590,19 @@ def test_pipeline_stages(spark):
     last = corpus_pipeline.STAGES[-1][1](spark, before, "/root/testdata/sf0.001").collect()
     assert {r.doc_id for r in last} == {r.doc_id for r in before.collect()}
     check_packing(last)
+
+
+def test_near_misses_cost_one_key_and_no_sets(spark, monkeypatch):
+    """Long texts just under the similarity: of the many keys under which the same ones meet one is kept, and parities tell them apart."""
+    rng, saved = random.Random(5), []
+    words = lambda n: [f"w{rng.randrange(10**9)}" for _ in range(n)]
+    base = words(824)
+    ts = [" ".join(base + words(176)) for _ in range(4)] + [" ".join(base[:400]), " ".join(base[:395] + words(5))]
+    kept = similar.save
+    monkeypatch.setattr(similar, "save", lambda df, *a: saved.append(kept(df, *a)) or saved[-1])
+    found = {r.doc_id: r.component_id for r in similar.near_duplicates(frame(spark, ts)).collect()}
+    assert found == {0: 0, 1: 1, 2: 2, 3: 3, 4: 4, 5: 4}
+    met = [df for df in saved if "fp" in df.columns][-1]
+    members = [tuple(sorted(r.keys)) for r in met.groupBy("h").agg(F.collect_set("key").alias("keys")).collect()]
+    assert len(members) == len(set(members)) > 1
+    assert {r.key for df in saved if "hashes" in df.columns for r in df.collect()} == {similar._key(similar.shingles(t.encode())) for t in ts[4:]}
