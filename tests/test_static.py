@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import random
 
 import numpy as np
@@ -138,3 +139,23 @@ def test_attachment_is_the_loop(spark, n_abstracts):
     b = spark.createDataFrame([(c, f"a{c}", v) for c, v in have], "cluster_id long, tok string, vec array<double>")
     got = {r.tok: (r.cluster_id, r.founded) for r in dynamic.attach(a, b, 0.6).collect()}
     assert got == loop(new, have, 0.6)
+
+
+def test_attachment_takes_vectors_by_their_places(spark):
+    """Vectors that no worker could hold densely: 300 new tokens of 2**30 places, a few of them not zero."""
+    rng = random.Random(3)
+    made = [(f"t{i}", rng.randint(1, 9), {rng.choice((1, 5, 7, 9, 1 << 29)): rng.choice((-1.0, 1.0, 2.0)) for _ in range(rng.randint(1, 3))}) for i in range(300)]
+    made = [(t, f, {k: v / math.sqrt(sum(x * x for x in vec.values())) for k, v in sorted(vec.items())}) for t, f, vec in made]
+    shape = "tok string, f long, at array<int>, x array<double>"
+    new = spark.createDataFrame([(t, f, list(vec), list(vec.values())) for t, f, vec in made], shape)
+    none = new.select(F.lit(0).cast("long").alias("cluster_id"), "tok", "at", "x").limit(0)
+    dot = lambda a, b: sum(v * b.get(k, 0.0) for k, v in a.items())
+    founders, want = [], {}
+    for t, f, vec in sorted(made, key=lambda r: (-r[1], r[0])):
+        sims = [dot(vec, other) for other in founders]
+        if not sims or max(sims) <= 0.5 + 1e-9:
+            founders.append(vec)
+            want[t] = (len(founders) - 1, True)
+        else:
+            want[t] = (min(range(len(sims)), key=lambda i: (-round(sims[i], 9), i)), False)
+    assert {r.tok: (r.cluster_id, r.founded) for r in dynamic.attach(new, none, 0.5 + 1e-9).collect()} == want
