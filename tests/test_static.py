@@ -159,3 +159,22 @@ def test_attachment_takes_vectors_by_their_places(spark):
         else:
             want[t] = (min(range(len(sims)), key=lambda i: (-round(sims[i], 9), i)), False)
     assert {r.tok: (r.cluster_id, r.founded) for r in dynamic.attach(new, none, 0.5 + 1e-9).collect()} == want
+
+
+def test_disparity_rows_are_not_joined_with_each_other(spark):
+    """Rows of all documents of one of a pair, as a plain loop gives them; no full join of them."""
+    rng = random.Random(8)
+    f = {(f"t{rng.randint(0, 12)}", rng.randint(0, 50)): rng.randint(1, 5) for _ in range(200)}
+    rows = frame(spark, [(t, d, n) for (t, d), n in f.items()])
+    c = centres.by_document_count(index.token_stats(rows), 3)
+    names = {r.tok for r in c.collect()}
+    docs = {t: {d: n for (u, d), n in f.items() if u == t} for t, _ in f}
+    want = {}
+    for x in names:
+        for t in docs.keys() - names:
+            if docs[x].keys() & docs[t].keys():
+                mine, its = ({d: n for d, n in docs[u].items() if d not in docs[v]} for u, v in ((t, x), (x, t)))
+                want |= {(x, t, d): n / sum(part.values()) for part in (mine, its) for d, n in part.items()}
+    made = relate.disparity_by_document(rows, c)
+    assert {(r.centre, r.tok, r.doc_id): r.phi for r in made.collect()} == pytest.approx(want)
+    assert "FullOuter" not in made._jdf.queryExecution().toString()
