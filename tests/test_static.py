@@ -178,3 +178,19 @@ def test_disparity_rows_are_not_joined_with_each_other(spark):
     made = relate.disparity_by_document(rows, c)
     assert {(r.centre, r.tok, r.doc_id): r.phi for r in made.collect()} == pytest.approx(want)
     assert "FullOuter" not in made._jdf.queryExecution().toString()
+
+
+def test_worked_example_reads_the_documents(spark):
+    """As the SQL has it over the same table."""
+    import duckdb
+
+    from enctopics import queries_experiments
+    from enctopics.registry import SQL
+
+    d = "/root/testdata/sf0.001"
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{d}/documents.parquet'")
+    made = queries_experiments.worked_example(spark, d)
+    assert made.inputFiles()
+    want = {(t, o): q for t, o, q in con.execute(SQL["worked_example"]).fetchall()}
+    assert {(r.tok, r.other): r.q for r in made.collect()} == pytest.approx(want, abs=1e-6) and len(want) > 5
