@@ -4,7 +4,8 @@ Samples become overlapping frames, their spectra 12 pitch classes. Sixteen recta
 of these, each as wide as its place in WIDTHS says, compare the logarithms of two areas; two bits of each make one 32-bit
 integer a frame. Recordings share integers where they sound alike: for two recordings, a histogram of the
 differences of places finds their offset, and the share of unequal bits over the overlap decides. Only offsets count at
-which OVERLAP frames, or all of the shorter recording, lie over each other: fewer frames agree by chance.
+which OVERLAP frames, or all of the shorter recording, lie over each other: fewer frames agree by chance. Of under SURE
+frames fewer bits may be wrong, so that chance brings an overlap no more easily than SURE frames with ERROR of their bits wrong.
 
 Recordings of one fingerprint form a class, and are compared once. Integers meet in an index where one
 of three blocks of their bits is equal: cuts between two frames and noise leave few integers as they were, while blocks
@@ -29,7 +30,7 @@ from enctopics.llm.common import cut, narrow, small
 
 RATE, FRAME, HOP, SPAN = 4000, 1024, 256, 12
 WIDTHS, EDGES = (2, 4, 8, 12), (-0.25, 0.0, 0.25)
-ERROR, VOTES, OVERLAP = 0.25, 2, 16
+ERROR, VOTES, OVERLAP, SURE = 0.25, 2, 16, 40
 #: First bit and width of the blocks under which integers meet; cells of a histogram that is kept whole.
 BLOCKS, DENSE = ((0, 11), (11, 11), (22, 10)), 1 << 22
 
@@ -202,6 +203,11 @@ class _Index:
         return bits, n
 
 
+def allowed(n: np.ndarray, error: float = ERROR) -> np.ndarray:
+    """The share of wrong bits up to which n frames count: chance has half of them wrong, give or take 1 / sqrt(n)."""
+    return np.clip(0.5 - (0.5 - error) * np.sqrt(SURE / n), 0.0, error)
+
+
 def _blocks(rows: DataFrame, name: str, frames: int) -> tuple[DataFrame, int]:
     """Recordings of like length as lists of about so many frames, and at most how many lists."""
     length = F.floor(F.log2(F.size("frames"))).cast("int")
@@ -234,7 +240,7 @@ def align(prints: DataFrame, queries: DataFrame, error: float = ERROR, votes: in
                     enough = most >= votes
                     owner, offset, most = owner[enough], offset[enough], most[enough]
                     bits, n = index.wrong(query, owner, offset)
-                    near = np.flatnonzero(np.round(bits / (32 * n), 6) <= error)
+                    near = np.flatnonzero(np.round(bits / (32 * n), 6) <= allowed(n, error))
                     found = [owner[near], offset[near].astype(np.int32), most[near], bits[near] / (32 * n[near]), n[near].astype(np.int32)]
                     yield pa.record_batch([q_ids.take(pa.array(np.full(len(near), at))), ids.take(pa.array(found[0])), *map(pa.array, found[1:])], ["query_id", "class_id", "offset", "votes", "bit_error", "n_frames"])
 

@@ -417,6 +417,20 @@ def test_unrelated_and_damaged_recordings_match_nothing(spark, none):
     assert audio.align(empty, audio.class_of(empty).select("class_id").distinct()).isEmpty()
 
 
+def test_short_overlaps_need_fewer_wrong_bits(spark):
+    rng = np.random.default_rng(7)
+    query = rng.integers(0, 1 << 32, 48).astype(np.uint32)
+
+    def ends_like(start, wrong):
+        flips = (rng.random((len(start), 32)) < wrong).astype(np.uint32) @ (np.uint32(1) << np.arange(32, dtype=np.uint32))
+        return np.concatenate([rng.integers(0, 1 << 32, 48 - len(start)).astype(np.uint32), start ^ flips.astype(np.uint32)])
+
+    prints = {0: query, 1: ends_like(query[:16], 0.05), 2: ends_like(query[:16], 0.2), 3: ends_like(query[:44], 0.2), 4: query[20:26]}
+    table = spark.createDataFrame([(i, f.view(np.int32).tolist()) for i, f in prints.items()], "id long, frames array<int>")
+    got = {r.class_id: r for r in audio.align(table, spark.createDataFrame([(0,)], "class_id long")).collect()}
+    assert set(got) == {1, 3, 4} and (got[1].n_frames, got[3].n_frames, got[4].bit_error) == (16, 44, 0)
+
+
 def test_recordings_from_wav_and_odd_rows(spark):
     import io
     import wave
