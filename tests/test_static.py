@@ -141,6 +141,32 @@ def test_attachment_is_the_loop(spark, n_abstracts):
     assert got == loop(new, have, 0.6)
 
 
+def test_attachment_by_blocks_is_the_loop_and_brings_no_vector_to_the_driver(spark, monkeypatch):
+    rng = np.random.default_rng(11)
+    unit = lambda n: (lambda v: v / np.linalg.norm(v, axis=1, keepdims=True))(np.where(rng.random((n, 24)) < 0.3, rng.integers(1, 4, (n, 24)), 0) + np.eye(24)[rng.integers(0, 24, n)])
+    nv, av = unit(90), unit(40)
+    new = [(f"n{i:02d}", int(f), v.tolist()) for i, (f, v) in enumerate(zip(rng.integers(1, 6, 90), nv))]
+    tops = [(i // 4, f"a{i:02d}", v.tolist()) for i, v in enumerate(av)]
+    want, have = {}, [(c, np.array(v)) for c, _, v in tops]
+    for tok, _, v in sorted(new, key=lambda r: (-r[1], r[0])):
+        sims = [(round(float(np.dot(x, v)), 12), -c) for c, x in have]
+        best = max(sims)
+        if best[0] > 0.7:
+            want[tok] = (-best[1], False)
+        else:
+            last = max(c for c, _ in have) + 1
+            have.append((last, np.array(v)))
+            want[tok] = (last, True)
+    assert 5 < sum(f for _, f in want.values()) < 85
+    a, b = spark.createDataFrame(new, "tok string, f long, vec array<double>"), spark.createDataFrame(tops, "cluster_id long, tok string, vec array<double>")
+    monkeypatch.setattr(type(a), "toArrow", None)
+    for held, compared in ((1 << 21, 100_000), (40, 13)):
+        monkeypatch.setattr(dynamic, "HELD", held)
+        monkeypatch.setattr(dynamic, "COMPARED", compared)
+        assert {r.tok: (r.cluster_id, r.founded) for r in dynamic.attach(a, b, 0.7).collect()} == want
+        assert dynamic.attach(a.limit(0), b, 0.7).count() == 0 and dynamic.attach(a, b, -1.5).where("founded").isEmpty()
+
+
 def test_attachment_takes_vectors_by_their_places(spark):
     """Vectors that no worker could hold densely: 300 new tokens of 2**30 places, a few of them not zero."""
     rng = random.Random(3)
