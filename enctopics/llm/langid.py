@@ -107,7 +107,7 @@ def learn(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     rows = narrow(labelled, doc_id=id_col, text=text_col, lang=lang_col).where("lang IS NOT NULL AND text IS NOT NULL")
     size = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().collect()}
     df = np.zeros(DIMS + 1, np.int64)
-    for r in rows.select("text").mapInArrow(_frequencies, "place long, n long").groupBy("place").agg(F.sum("n").alias("n")).collect():
+    for r in rows.select("text").mapInArrow(trimmed(_frequencies), "place long, n long").groupBy("place").agg(F.sum("n").alias("n")).collect():
         df[r["place"]] = r["n"]
     idf = (np.log((1 + df[-1]) / (1 + df[:DIMS])) + 1).astype(np.float32)
     a_lang = max(SAMPLE // max(len(size), 1), 1)
@@ -118,7 +118,7 @@ def learn(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     chosen = rows.withColumn("key", key).where(F.shiftrightunsigned("key", 11).cast("double") < share * float(1 << 53))
     chosen = chosen.groupBy("lang", "key").agg(F.first("text").alias("text")).select("lang", "key", "text")
     got: dict[str, list] = {}
-    for r in chosen.mapInArrow(_vectors, "lang string, key long, places array<int>, hits array<int>").toLocalIterator():
+    for r in chosen.mapInArrow(trimmed(_vectors), "lang string, key long, places array<int>, hits array<int>").toLocalIterator():
         got.setdefault(r["lang"], []).append((r["key"], np.array(r["places"], np.int32), np.array(r["hits"], np.int32)))
     langs, centroids, floor = sorted(got), [], []
     for lang in langs:

@@ -620,3 +620,24 @@ def test_near_misses_cost_one_key_and_no_sets(spark, monkeypatch):
     members = [tuple(sorted(r.keys)) for r in met.groupBy("h").agg(F.collect_set("key").alias("keys")).collect()]
     assert len(members) == len(set(members)) > 1
     assert {r.key for df in saved if "hashes" in df.columns for r in df.collect()} == {similar._key(similar.shingles(t.encode())) for t in ts[4:]}
+
+
+def test_pipeline_hands_texts_to_workers_in_small_batches(spark):
+    import pyarrow as pa
+
+    import corpus_pipeline
+    from enctopics.llm.common import BATCH_BYTES
+
+    def sizes(batches):
+        for b in batches:
+            yield pa.record_batch([pa.array([b.num_rows])], ["n"])
+
+    key, docs = "spark.sql.execution.arrow.maxBytesPerBatch", spark.range(0, 400, 1, 1).select(F.col("id").alias("doc_id"), F.expr("repeat('ein Wort ', 10000)").alias("text"), F.lit("de").alias("lang"))
+    try:
+        for said, most in ((None, 2 * BATCH_BYTES), (str(1 << 20), 2 << 20)):  # a limit of the session's own stays
+            spark.conf.unset(key) if said is None else spark.conf.set(key, said)
+            assert corpus_pipeline.STAGES[0][1](spark, docs, "").count() == 400
+            got = [r.n for r in docs.mapInArrow(sizes, "n long").collect()]
+            assert sum(got) == 400 and max(got) * 90_000 <= most
+    finally:
+        spark.conf.unset(key)
