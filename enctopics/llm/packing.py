@@ -1,6 +1,6 @@
 """Best-fit packing of token sequences with large-item matching, on the histogram of their lengths.
 
-Texts are tokenized once; longer ones are cut into pieces of the capacity. The plan is made from how many pieces
+Texts are tokenized once, plain ones many at a time, so that each different part of a word is looked up once for all of them; longer ones are cut into pieces of the capacity. The plan is made from how many pieces
 have each length, at most CAPACITY numbers: lengths above a third of the capacity are matched greedily, the longest
 with the longest that still fits, at most two a bin; the smaller ones, longest first, go where they leave least.
 A step of the plan fills many equal bins at once, so its size depends on the capacity and not on the documents.
@@ -14,9 +14,10 @@ are packed each. An empty table gives no rows. Other columns are ignored.
 from __future__ import annotations
 
 import re
+import struct
 import zlib
 from bisect import bisect_left, insort
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import cache
 
 import numpy as np
@@ -31,9 +32,33 @@ CAPACITY, END = 4096, 1
 PART, PARTS, KEPT = 1_000, 100_000, 200_000
 #: Words of these characters alone are split as the tokenizer does by the pattern below; others go to the tokenizer.
 _PLAIN = re.compile(r"[!-~À-ÖØ-öø-ſ¡«»¿]+")
+#: Texts of these characters alone are split many at a time, about CHUNK characters; each of them is as long in lower case.
+_PLAIN_TEXT, CHUNK = re.compile(r"[!-~À-ÖØ-öø-įı-ſ¡«»¿ \t\n\r\x0b\x0c]*"), 1 << 21
 _PARTS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
 #: White space for Python that isn't for the tokenizer.
 _ODD = re.compile("[\x1c-\x1f]")
+_SPACE = re.compile(r"\s")
+#: What a byte of such texts belongs to: white space, letters, digits, others; the second byte of a character to what the first does.
+_BLANK, _LETTER, _DIGIT, _OTHER, _SECOND = range(5)
+_KINDS = np.full(256, _OTHER, np.uint8)
+_KINDS[list(b" \t\n\r\x0b\x0c")], _KINDS[ord("a") : ord("z") + 1], _KINDS[ord("0") : ord("9") + 1], _KINDS[0xC3:0xC6], _KINDS[0x80:0xC0] = _BLANK, _LETTER, _DIGIT, _LETTER, _SECOND
+
+
+def _starts(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which bytes of plain lower-case text begin a part, as _PARTS has them, and which aren't white space; blanks have to be around it."""
+    kind = _KINDS[data]
+    second = np.flatnonzero(kind == _SECOND)
+    kind[second] = kind[second - 1]
+    begins = np.zeros(len(data), bool)
+    begins[1:] = (kind[1:] != kind[:-1]) | (kind[1:] == _DIGIT)
+    begins[second] = False
+    at = np.flatnonzero((data[1:-3] == ord("'")) & (kind[:-4] != _OTHER)) + 1  # 's and its like, where a run of others begins
+    one, two = data[at + 1], data[at + 2]
+    length = np.where(np.isin(one, list(b"stmd")), 2, 0) + np.where(((one == ord("r")) | (one == ord("v"))) & (two == ord("e")) | (one == ord("l")) & (two == ord("l")), 3, 0)
+    at, length = at[length > 0], length[length > 0]
+    begins[at + 1] = False
+    begins[at + length] = True
+    return begins, kind != _BLANK
 
 
 @cache
@@ -52,19 +77,23 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         added = [re.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.added = re.compile("|".join(added) or r"(?!)", re.IGNORECASE)  # texts with one of these go to the tokenizer whole
+        self.model = self.tokenizer.model  # asking for it anew costs as much as a part
         self.words: dict[str, bytes] = {}
         self.parts: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
     def part(self, part: str) -> bytes:
         if (got := self.parts.get(part)) is None:
-            if len(self.parts) >= KEPT:
-                self.parts.clear()
-            table = _bytes()
-            seen = part if part.isascii() else "".join(table[b] for b in part.encode())
-            got = self.parts[part] = np.array([t.id for t in self.tokenizer.model.tokenize(seen)], "<u4").tobytes()
+            if len(self.parts) >= KEPT // 2:
+                self.older, self.parts = self.parts, {}
+            if (got := self.older.get(part)) is None:
+                seen = part if part.isascii() else part.encode().decode("latin-1").translate(_bytes())
+                ids = [t.id for t in self.model.tokenize(seen)]
+                got = struct.pack(f"<{len(ids)}I", *ids)
+            self.parts[part] = got
         return got
 
     def word(self, word: str) -> bytes:
@@ -75,7 +104,7 @@ class Encoder:
 
     def forget(self) -> None:
         self.words.clear()
-        self.parts.clear()
+        self.parts, self.older = {}, {}
 
     def __call__(self, text: str) -> bytes:
         if _ODD.search(text) or self.added.search(text):
@@ -83,6 +112,53 @@ class Encoder:
         known = self.words.get
         return b"".join([known(w) or self.word(w) for w in text.split()])
 
+    def _plain(self, texts: list[str]) -> list[bytes]:
+        """Ids of plain texts: each different part is looked up once."""
+        raw = [t.lower().encode() for t in texts]
+        data = np.frombuffer(b" " + b" ".join(raw) + b"    ", np.uint8)
+        begins, solid = _starts(data)
+        begins &= solid
+        first = np.flatnonzero(begins)
+        packed, at = data[solid], np.flatnonzero(begins[solid]).astype(np.int32)
+        offsets = np.append(at, np.int32(len(packed)))
+        found = pa.Array.from_buffers(pa.string(), len(at), [None, pa.py_buffer(offsets), pa.py_buffer(packed)]).dictionary_encode()
+        known, codes = self.parts.get, found.indices.to_numpy()
+        ids = [known(p) or self.part(p) for p in found.dictionary.to_pylist()]
+        sizes = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+        counts, begin = sizes[codes], np.cumsum(sizes) - sizes
+        ends = np.cumsum(counts)
+        gathered = np.frombuffer(b"".join(ids), "<u4")[np.repeat(begin[codes] - ends + counts, counts) + np.arange(counts.sum())]
+        past = np.cumsum([len(r) + 1 for r in raw]) + 1  # where each text ends, the blank behind it included
+        cuts = np.append(0, ends)[np.searchsorted(first, past)].tolist()
+        return [gathered[a:z].tobytes() for a, z in zip([0, *cuts], cuts)]
+
+    def many(self, texts: Iterable[str]) -> list[bytes]:
+        """Ids of each text."""
+        out: list[list[bytes]] = []
+        held: list[tuple[int, str]] = []
+        size = 0
+
+        def flush() -> None:
+            for (row, _), ids in zip(held, self._plain([t for _, t in held])):
+                out[row].append(ids)
+            held.clear()
+
+        for row, text in enumerate(texts):
+            out.append([])
+            if self.added.search(text) or not _PLAIN_TEXT.fullmatch(text):
+                out[row].append(self(text))
+                continue
+            at = 0
+            while at < len(text):
+                end = m.start() if (m := _SPACE.search(text, at + CHUNK)) else len(text)
+                held.append((row, text[at:end]))
+                size, at = size + end - at, end
+                if size >= CHUNK:
+                    flush()
+                    size = 0
+        flush()
+        return [b"".join(parts) for parts in out]
+
 
 @cache
 def encoder(path: str) -> Encoder:
@@ -96,8 +172,8 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, id_col: st
         encode, end = encoder(tokenizer), np.array([END], "<u4").tobytes()
         for batch in batches:
             out = []
-            for row, t in enumerate(batch.column(1)):
-                ids = encode(t.as_py() or "") + end
+            for row, ids in enumerate(encode.many(t.as_py() or "" for t in batch.column(1))):
+                ids += end
                 out += [(row, k, at // 4, min(4 * capacity, len(ids) - at) // 4, zlib.crc32(ids[at : at + 4 * capacity])) for k, at in enumerate(range(0, len(ids), 4 * capacity))]
             cols = list(zip(*out)) if out else [()] * 5
             ids_of = batch.column(0).take(pa.array(cols[0], pa.int64()))

@@ -496,6 +496,22 @@ def test_packing_against_the_tokenizer(spark, odd, none):
     assert packing.pack(odd, word_bpe()).count() == 6 and packing.pack(none, word_bpe()).isEmpty()
 
 
+def test_many_texts_are_encoded_together_by_their_different_parts(monkeypatch):
+    from tokenizers import Tokenizer
+
+    rng, tokenizer = random.Random(8), Tokenizer.from_file(word_bpe())
+    signs = [*"'''stmdrelvxy0 1_ -.!éÉſİ«»Ç\n\t\"", "'s", "'re", "'LL ", "don't", "''t", "<|endoftext|>", "\xa0", "日"]
+    ts = ["".join(rng.choice(signs) for _ in range(rng.randrange(50))) for _ in range(3000)] + ["", " ", "x" * 300]
+    want = [np.array(tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in ts]
+    for chunk in (1, 40, 1 << 21):
+        monkeypatch.setattr(packing, "CHUNK", chunk)
+        assert packing.Encoder(word_bpe()).many(ts) == want
+    encode, asked = packing.Encoder(word_bpe()), []
+    monkeypatch.setattr(encode, "part", lambda p: asked.append(p) or b"\1\0\0\0")
+    assert encode.many([f"Word, other {i % 10}{i % 7}" for i in range(5000)]) == [b"\1\0\0\0" * 5] * 5000
+    assert sorted(asked) == sorted([*"0123456789", ",", "other", "word"])
+
+
 @pytest.mark.parametrize("seed", range(6))
 def test_plans_place_all_and_waste_little(seed):
     rng = random.Random(seed)
