@@ -638,6 +638,43 @@ def test_near_misses_cost_one_key_and_no_sets(spark, monkeypatch):
     assert {r.key for df in saved if "hashes" in df.columns for r in df.collect()} == {similar._key(similar.shingles(t.encode())) for t in ts[4:]}
 
 
+def test_pairs_of_a_dense_group_are_compared_under_one_key(spark, monkeypatch):
+    """Texts that mostly lie just over or just under the similarity: pivots connect most, and what is left comes once and not under each of many keys."""
+    rng, made, met = random.Random(7), [], similar._met
+    base = [f"w{rng.randrange(10**9)}" for _ in range(150)]
+
+    def edited(n):
+        new = list(base)
+        for at in rng.sample(range(150), n):
+            new[at] = f"w{rng.randrange(10**9)}"
+        return " ".join(new)
+
+    ts = [edited(rng.choice((1, 2, 3, 4, 6))) for _ in range(120)]
+    sets = [set(similar.shingles(t.encode()).tolist()) for t in ts]
+    label = list(range(len(ts)))
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if 5 * len(a & sets[j]) >= 4 * len(a | sets[j]):
+                x, y = label[i], label[j]
+                label = [min(x, y) if v in (x, y) else v for v in label]
+    assert 1 < len(set(label)) < 100
+
+    def counted(one, other, *more):
+        if "own" in one.columns:  # after the pivots
+            rows = met(one, other, *more)
+            made.append((rows.count(), rows.distinct().count(), met(one, other, more[0]).count()))
+        return met(one, other, *more)
+
+    monkeypatch.setattr(similar, "_met", counted)
+    for pivots, own in ((4, 16), (1, 1)):
+        monkeypatch.setattr(similar, "PIVOTS", pivots)
+        monkeypatch.setattr(similar, "OWN", own)
+        found = {r.doc_id: r.component_id for r in similar.near_duplicates(frame(spark, ts)).collect()}
+        assert [found[i] for i in range(len(ts))] == label
+    (rows, pairs, all_rows), (_, same, _) = made
+    assert 0 < pairs == rows <= same < all_rows / 20
+
+
 def test_pipeline_hands_texts_to_workers_in_small_batches(spark):
     import pyarrow as pa
 
