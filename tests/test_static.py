@@ -206,6 +206,22 @@ def test_disparity_rows_are_not_joined_with_each_other(spark):
     assert "FullOuter" not in made._jdf.queryExecution().toString()
 
 
+def _exchanged(spark, made):
+    """The names of the columns of each exchange of a plan."""
+    import re
+
+    text = spark._jvm.org.apache.spark.sql.api.python.PythonSQLUtils.explainString(made._jdf.queryExecution(), "formatted")
+    return [{c.split("#")[0] for c in line.split(", ")} for line in re.findall(r"\) Exchange *\nInput \[\d+\]: \[(.*)\]", text)]
+
+
+def test_rows_of_disparity_are_not_shuffled(spark):
+    """Neither as rows nor as a centre's documents beside each token; what a pair shares goes by pairs."""
+    a = frame(spark, [(f"t{t}", d, 1 + t) for t in range(9) for d in range(40) if (d + t) % (t + 1) == 0])
+    c = centres.by_document_count(index.token_stats(a), 2)
+    found = _exchanged(spark, relate.disparity_by_document(a, c))
+    assert found and not [e for e in found if {"docs", "b"} <= e or {"at", "b"} <= e or {"f", "a"} <= e]
+
+
 def test_worked_example_reads_the_documents(spark):
     """As the SQL has it over the same table."""
     import duckdb
