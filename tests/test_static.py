@@ -222,6 +222,12 @@ def test_rows_of_disparity_are_not_shuffled(spark):
     assert found and not [e for e in found if {"docs", "b"} <= e or {"at", "b"} <= e or {"f", "a"} <= e]
 
 
+def test_rows_of_relative_cooccurrence_are_not_shuffled(spark):
+    a = frame(spark, [(f"t{t}", d, 1 + t) for t in range(9) for d in range(40) if (d + t) % (t + 1) == 0])
+    found = _exchanged(spark, relate.relative_by_document(a, centres.by_document_count(index.token_stats(a), 2)))
+    assert found and not [e for e in found if {"docs", "b"} <= e or {"at", "b"} <= e or {"rho"} <= e or {"f", "a"} <= e]
+
+
 def test_worked_example_reads_the_documents(spark):
     """As the SQL has it over the same table."""
     import duckdb
